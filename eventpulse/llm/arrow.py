@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
@@ -28,7 +29,7 @@ def slices(batch: pa.RecordBatch, text: str, most: int = SLICE_CHARS) -> Iterato
         yield batch
         return
     start = size = 0
-    for i, n in enumerate(x.as_py() or 0 for x in pa.compute.binary_length(col)):
+    for i, n in enumerate(x.as_py() or 0 for x in pc.binary_length(col)):
         if size and size + n > most:
             yield batch.slice(start, i - start)
             start, size = i, 0
