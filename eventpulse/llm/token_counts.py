@@ -2,7 +2,7 @@
 
 A text longer than a chunk is encoded piece by piece, each piece beginning inside the one
 before. Two pieces are spliced at a place where a token begins in both, right after
-white space: no token, contraction, special string or normalisation of this kind of
+ASCII white space: no token, contraction, special string or normalisation of this kind of
 tokenizer reaches across white space, so from there on both encodings are the whole text's, and
 the tokens that both have between that place and the end of the overlap must agree. Where the
 overlap holds no such place it is doubled, up to the whole text.
@@ -11,6 +11,7 @@ overlap holds no such place it is doubled, up to the whole text.
 from __future__ import annotations
 
 import os
+import re
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -20,8 +21,12 @@ from pyspark.sql import DataFrame
 from eventpulse.llm.arrow import map_batches, slices, text_of
 
 CHUNK, OVERLAP, LIMIT = 16_384, 256, 2048
-#: Distinct words whose encodings the library keeps.
-CACHED_WORDS = 200_000
+#: Distinct words a worker remembers before it starts anew.
+REMEMBERED = 500_000
+#: The ASCII white space.
+BLANKS = " \t\n\r\x0b\x0c"
+_BLANK = str.maketrans(dict.fromkeys(BLANKS, " "))
+_OTHER = re.compile(r"[\t-\r]").search
 
 
 @lru_cache(maxsize=4)
@@ -32,11 +37,35 @@ def _tokenizer(path: str):
     t = Tokenizer.from_file(path)
     t.no_truncation()
     t.no_padding()
-    if hasattr(t.model, "_resize_cache"):
-        t.model._resize_cache(CACHED_WORDS)
     return t
 
 
+class WordCounts:
+    """Token counts of texts as sums over their words, each distinct word encoded once.
+
+    Words end at ASCII white space, across which nothing of the tokenizer reaches (see above).
+    """
+
+    def __init__(self, tok, remembered: int = REMEMBERED):
+        self.tok, self.remembered, self.known = tok, remembered, {"": 0}
+
+    def counts(self, texts: list[str]) -> list[int]:
+        if len(self.known) > self.remembered:
+            self.known = {"": 0}
+        known = self.known
+        split = [t.translate(_BLANK).split(" ") if _OTHER(t) else t.split(" ") for t in texts]
+        new = list({w for words in split for w in words if w not in known})
+        for lo in range(0, len(new), 10_000):
+            part = new[lo : lo + 10_000]
+            known.update(zip(part, map(len, self.tok.encode_batch_fast(part, add_special_tokens=False)), strict=True))
+        return [sum(map(known.__getitem__, words)) for words in split]
+
+
+@lru_cache(maxsize=4)
+def _word_counts(path: str) -> WordCounts:
+    return WordCounts(_tokenizer(path))
+
+
 def _encoded(tok, text: str, base: int) -> list[tuple[int, int]]:
     """(offset in the whole text, id) of each token."""
     e = tok.encode(text, add_special_tokens=False)
@@ -47,11 +76,11 @@ def _splice(text: str, left: list[tuple[int, int]], right: list[tuple[int, int]]
     """The first place in [lo, hi) where both begin a token after white space and agree up to the
     last white space before hi, where the left piece may have been cut."""
     end = hi
-    while end > lo and not text[end - 1].isspace():
+    while end > lo and text[end - 1] not in BLANKS:
         end -= 1
     starts = {a for a, _ in right}
     for p in dict.fromkeys(a for a, _ in left if lo < a < end):
-        if p in starts and text[p - 1].isspace():
+        if p in starts and text[p - 1] in BLANKS:
             held = lambda x: [t for t in x if p <= t[0] < end]  # noqa: B023, E731
             return p if held(left) == held(right) else None
     return None
@@ -92,12 +121,12 @@ def counts(df: DataFrame, path: str, text: str = "text", chunk: int = CHUNK, ove
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok, names = _tokenizer(path), [f.split()[0] for f in COUNTS.split(", ")]
+        tok, words, names = _tokenizer(path), _word_counts(path), [f.split()[0] for f in COUNTS.split(", ")]
         for whole in batches:
             for b in slices(whole, "text"):
                 texts = b.column("text").to_pylist()
-                short = iter(tok.encode_batch_fast([t for t in texts if len(t) <= chunk], add_special_tokens=False))
-                n = [len(next(short)) if len(t) <= chunk else count_long(tok, t, chunk, overlap) for t in texts]
+                short = iter(words.counts([t for t in texts if len(t) <= chunk]))
+                n = [next(short) if len(t) <= chunk else count_long(tok, t, chunk, overlap) for t in texts]
                 yield pa.RecordBatch.from_arrays([
                     b.column("doc_id"), pa.array([len(t.encode()) for t in texts], pa.int64()), pa.array(n, pa.int64()),
                     pa.array([x > limit for x in n], pa.bool_()),
