@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from eventpulse.llm import bpe, media, minhash, token_counts, url_filters
+from eventpulse.llm import bpe, media, minhash, mixing, token_counts, url_filters
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -39,6 +39,12 @@ def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filters.filter_urls(pages, URL_RULES).select("page_id", "host", "path", "rule", "verdict")
 
 
+def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The mix of all documents by the weights of their sources."""
+    found = mixing.mix(_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "size", "source_size", "target", "taken", "source", "copies")
+
+
 def op10_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Near-duplicate classes of all documents."""
     return minhash.near_duplicates(_table(spark, sf_dir, "documents"))
@@ -49,6 +55,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_media_avi": op3_media_avi,
     "op5_token_counts": op5_token_counts,
     "op7_url_filter": op7_url_filter,
+    "op8_mixing": op8_mixing,
     "op10_minhash": op10_minhash,
 }
 
