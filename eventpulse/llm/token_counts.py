@@ -1,11 +1,12 @@
 """Token counts of huge texts from overlapping chunks that are spliced where they agree.
 
 A text longer than a chunk is encoded piece by piece, each piece beginning inside the one
-before. Two pieces are spliced at a place where a token begins in both, right after
-ASCII white space: no token, contraction, special string or normalisation of this kind of
-tokenizer reaches across white space, so from there on both encodings are the whole text's, and
-the tokens that both have between that place and the end of the overlap must agree. Where the
-overlap holds no such place it is doubled, up to the whole text.
+before. Two pieces are spliced at a place where a word begins in both, right after ASCII white
+space: no token, contraction, special string or normalisation of this kind of tokenizer
+reaches across white space, so from there on both encodings are the whole text's, and the token
+counts that both have between that place and the end of the overlap must agree. Where the
+overlap holds no such place it is doubled, up to the whole text. Encoding a piece encodes its
+distinct words, of which a worker remembers a bounded number.
 """
 
 from __future__ import annotations
@@ -15,6 +16,7 @@ import re
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
@@ -49,16 +51,28 @@ class WordCounts:
     def __init__(self, tok, remembered: int = REMEMBERED):
         self.tok, self.remembered, self.known = tok, remembered, {"": 0}
 
-    def counts(self, texts: list[str]) -> list[int]:
+    def _split(self, text: str) -> list[str]:
+        return text.translate(_BLANK).split(" ") if _OTHER(text) else text.split(" ")
+
+    def _learn(self, split: list[list[str]]) -> None:
         if len(self.known) > self.remembered:
             self.known = {"": 0}
-        known = self.known
-        split = [t.translate(_BLANK).split(" ") if _OTHER(t) else t.split(" ") for t in texts]
-        new = list({w for words in split for w in words if w not in known})
+        new = list({w for words in split for w in words if w not in self.known})
         for lo in range(0, len(new), 10_000):
             part = new[lo : lo + 10_000]
-            known.update(zip(part, map(len, self.tok.encode_batch_fast(part, add_special_tokens=False)), strict=True))
-        return [sum(map(known.__getitem__, words)) for words in split]
+            self.known.update(zip(part, map(len, self.tok.encode_batch_fast(part, add_special_tokens=False)), strict=True))
+
+    def words(self, text: str) -> tuple[list[str], np.ndarray]:
+        """The words of a text, with empty ones between neighbouring blanks, and the tokens of each."""
+        own = self._split(text)
+        self._learn([own])
+        return own, np.fromiter(map(self.known.__getitem__, own), dtype=np.int64, count=len(own))
+
+    def counts(self, texts: list[str]) -> list[int]:
+        """The tokens of each text."""
+        split = [self._split(t) for t in texts]
+        self._learn(split)
+        return [sum(map(self.known.__getitem__, words)) for words in split]
 
 
 @lru_cache(maxsize=4)
@@ -66,48 +80,49 @@ def _word_counts(path: str) -> WordCounts:
     return WordCounts(_tokenizer(path))
 
 
-def _encoded(tok, text: str, base: int) -> list[tuple[int, int]]:
-    """(offset in the whole text, id) of each token."""
-    e = tok.encode(text, add_special_tokens=False)
-    return [(base + a, i) for (a, _), i in zip(e.offsets, e.ids, strict=True)]
+def _encoded(words: WordCounts, text: str, base: int) -> tuple[np.ndarray, np.ndarray]:
+    """(offset in the whole text, tokens) of each word of a piece; a piece's ends may cut words."""
+    own, n = words.words(text)
+    size = np.fromiter(map(len, own), dtype=np.int64, count=len(own))
+    at = base + np.cumsum(size + 1) - size - 1
+    return at[size > 0], n[size > 0]
 
 
-def _splice(text: str, left: list[tuple[int, int]], right: list[tuple[int, int]], lo: int, hi: int) -> int | None:
-    """The first place in [lo, hi) where both begin a token after white space and agree up to the
-    last white space before hi, where the left piece may have been cut."""
+def _splice(text: str, left: tuple[np.ndarray, np.ndarray], right: tuple[np.ndarray, np.ndarray], lo: int, hi: int) -> int | None:
+    """The first place in (lo, hi) where a word begins in both pieces and from which they agree up to
+    the last white space before hi, where the left piece may have been cut."""
     end = hi
     while end > lo and text[end - 1] not in BLANKS:
         end -= 1
-    starts = {a for a, _ in right}
-    for p in dict.fromkeys(a for a, _ in left if lo < a < end):
-        if p in starts and text[p - 1] in BLANKS:
-            held = lambda x: [t for t in x if p <= t[0] < end]  # noqa: B023, E731
-            return p if held(left) == held(right) else None
+    a, b = [(at[(at > lo) & (at < end)], n[(at > lo) & (at < end)]) for at, n in (left, right)]
+    common = np.intersect1d(a[0], b[0], assume_unique=True)
+    for p in common.tolist():
+        if text[p - 1] in BLANKS:
+            same = all(np.array_equal(x[a[0] >= p], y[b[0] >= p]) for x, y in zip(a, b, strict=True))
+            return p if same else None
     return None
 
 
-def count_long(tok, text: str, chunk: int = CHUNK, overlap: int = OVERLAP) -> int:
+def count_long(words: WordCounts, text: str, chunk: int = CHUNK, overlap: int = OVERLAP) -> int:
     """Tokens of ``text``, of which ``chunk`` characters and the overlaps are encoded at once."""
-    at, total, piece_end = 0, 0, min(len(text), chunk)
-    left = _encoded(tok, text[:piece_end], 0)
-    counted_from = 0
+    at, total, piece_end, counted_from = 0, 0, min(len(text), chunk), 0
+    left = _encoded(words, text[:piece_end], 0)
     while piece_end < len(text):
         width = overlap
         while True:
             begin = max(at, piece_end - width)
             end = min(len(text), begin + chunk + width)
-            right = _encoded(tok, text[begin:end], begin)
+            right = _encoded(words, text[begin:end], begin)
             p = _splice(text, left, right, begin, piece_end)
             if p is not None:
-                total += sum(counted_from <= a < p for a, _ in left)
+                total += int(left[1][(left[0] >= counted_from) & (left[0] < p)].sum())
                 break
             if begin == at:  # nothing to align with: take both pieces as one
-                piece_end, p = end, counted_from
+                p = counted_from
                 break
             width *= 2
-        left, counted_from = right, p
-        at, piece_end = begin, end
-    return total + sum(a >= counted_from for a, _ in left)
+        left, counted_from, at, piece_end = right, p, begin, end
+    return total + int(left[1][left[0] >= counted_from].sum())
 
 
 COUNTS = "doc_id long, n_bytes long, n_tokens long, over_limit boolean"
@@ -121,12 +136,12 @@ def counts(df: DataFrame, path: str, text: str = "text", chunk: int = CHUNK, ove
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok, words, names = _tokenizer(path), _word_counts(path), [f.split()[0] for f in COUNTS.split(", ")]
+        words, names = _word_counts(path), [f.split()[0] for f in COUNTS.split(", ")]
         for whole in batches:
             for b in slices(whole, "text"):
                 texts = b.column("text").to_pylist()
                 short = iter(words.counts([t for t in texts if len(t) <= chunk]))
-                n = [next(short) if len(t) <= chunk else count_long(tok, t, chunk, overlap) for t in texts]
+                n = [next(short) if len(t) <= chunk else count_long(words, t, chunk, overlap) for t in texts]
                 yield pa.RecordBatch.from_arrays([
                     b.column("doc_id"), pa.array([len(t.encode()) for t in texts], pa.int64()), pa.array(n, pa.int64()),
                     pa.array([x > limit for x in n], pa.bool_()),
