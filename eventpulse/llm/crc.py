@@ -24,6 +24,12 @@ def labelled(labels: DataFrame, target: str, most: int, key: str = "doc_id") ->
     return rows.where("y = 1").orderBy(*order).limit(most).unionAll(rows.where("y = 0").orderBy(*order).limit(most))
 
 
+def labelled_evenly(labels: DataFrame, target: str, most: int, key: str = "doc_id") -> DataFrame:
+    """(key, y) of at most ``most`` rows that may be learnt from, in an order by hash, whatever their class."""
+    rows = labels.where(F.col(key).isNotNull() & F.col(target).isNotNull() & ~held_out(key))
+    return rows.groupBy(key).agg(F.max(F.col(target).cast("int")).alias("y")).orderBy(F.xxhash64(key), F.col(key)).limit(most)
+
+
 def sample(docs: DataFrame, labels: DataFrame, target: str, most: int, key: str = "doc_id") -> DataFrame:
     """The documents of :func:`labelled`, joined by a broadcast of 2 * ``most`` rows at most."""
     return docs.join(F.broadcast(labelled(labels, target, most, key)), key)
