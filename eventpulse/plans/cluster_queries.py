@@ -350,18 +350,18 @@ def _(spark, d):
 
 
 OVERLAP = f"""{PLANTED}, {sql.scores(PLANT)}, {sql.detected(PLANT)},
-cw as (select 'P' as region, (2 * item + 2)::bigint as cb, item as cluster_id, word from ranked where rk < 8),
+places as materialized (select item, word, count(*) over (partition by item order by p rows unbounded preceding) as nth from firsts),
+cw as (select 'P' as region, (2 * item + 2)::bigint as cb, item as cluster_id, word from places where nth <= 8),
 bw as (select distinct region, block_no as bb, word from ev)"""
 
 
 def _overlap(name: str, align: str, within: int, on: str) -> None:
     @query(name, f"""{OVERLAP},
-met as (select distinct cluster_id, cw.word from cw join bw on bw.region = cw.region and bw.word = cw.word{on}),
-sizes as materialized (select count(*) as n from (select distinct word from bw)),
-kinds as (select count(*) as n from (select distinct cluster_id from cw)),
-hits as (select count(distinct cluster_id) as c, count(distinct word) as w from met)
-select 'P' as region, kinds.n as clusters, hits.c as clusters_hit, sizes.n as words, hits.w as words_hit,
-  hits.c / kinds.n::double as cluster_rate, hits.w / sizes.n::double as word_rate from kinds, sizes, hits""")
+met as (select count(distinct cw.cluster_id) as c, count(distinct bw.word) as n, count(distinct cw.word) as w
+  from bw left join cw on bw.region = cw.region and bw.word = cw.word{on}),
+kinds as (select count(*) as n from benchmark)
+select 'P' as region, kinds.n as clusters, met.c as clusters_hit, met.n as words, met.w as words_hit,
+  met.c / kinds.n::double as cluster_rate, met.w / met.n::double as word_rate from kinds, met""")
     def _(spark, d):
         t = plant_tokens(spark, d)
         words = clusters.cluster_words(clusters.cluster_two_stage(t, DEFAULT))
