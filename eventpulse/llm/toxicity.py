@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import math
 import re
+import sys
 import zlib
 from collections import Counter
 from collections.abc import Iterator
@@ -29,7 +30,7 @@ from eventpulse.llm.crc import held_out, sample
 
 WINDOW = 64
 #: Labelled documents of each class that are learnt from.
-MOST_DOCS = 3000
+MOST_DOCS = 2000
 #: Words kept as features; all others share one weight.
 MOST_WORDS = 20_000
 _WORD = re.compile(r"[^\W\d_]+")
@@ -58,18 +59,26 @@ def toxic_words(docs: list[list[str]], y: np.ndarray, least: float = 20.0, cover
     and count once. Needed are five witnesses, a share ``coverage`` of the toxic documents, a ratio over
     e squared and a log-likelihood ratio over ``least``.
     """
+    n1 = int(y.sum())
+    least_docs = max(5, coverage * n1)
+    own = [set(words) for words in docs]
+    common: Counter = Counter()
+    for words, label in zip(own, y, strict=True):
+        if label:
+            common.update(words.union(*map(stems, words)))
+    possible = {f for f, c in common.items() if c >= least_docs}
+    del common
     places: tuple[dict, dict] = ({}, {})
-    for words, label in zip(docs, y, strict=True):
-        own = set(words)
-        witness = min((zlib.crc32(w.encode()) for w in own if len(w) >= 8), default=len(words))
-        for f in own.union(*map(stems, own)):
+    for words, label in zip(own, y, strict=True):
+        witness = min((zlib.crc32(w.encode()) for w in words if len(w) >= 8), default=len(words))
+        for f in possible.intersection(words.union(*map(stems, words))):
             places[int(label)].setdefault(f, set()).add(witness)
-    n1, n0 = int(y.sum()), int(len(y) - y.sum())
+    n0 = int(len(y) - n1)
     out = {}
     part = lambda k, n, share: k * math.log(k / n / share) if k else 0.0
     for f, seen in places[1].items():
         a, b = min(len(seen), n1), min(len(places[0].get(f, ())), n0)
-        if a >= max(5, coverage * n1) and math.log((a + 0.5) / (n1 + 1)) - math.log((b + 0.5) / (n0 + 1)) > 2:
+        if a >= least_docs and math.log((a + 0.5) / (n1 + 1)) - math.log((b + 0.5) / (n0 + 1)) > 2:
             share = (a + b) / (n1 + n0)
             ratio = 2 * (part(a, n1, share) + part(b, n0, share) + part(n1 - a, n1, 1 - share) + part(n0 - b, n0, 1 - share))
             if ratio > least:
@@ -109,7 +118,7 @@ def windows(ids: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     rows = -(-n // WINDOW)
     row0 = np.concatenate([[0], np.cumsum(rows)[:-1]])
     place = np.arange(len(ids)) - np.repeat(first[:-1], n) + np.repeat(row0, n) * WINDOW
-    out = np.full(int(rows.sum()) * WINDOW, PAD, dtype=np.int64)
+    out = np.full(int(rows.sum()) * WINDOW, PAD, dtype=np.int32)
     out[place] = ids
     return out.reshape(-1, WINDOW), place
 
@@ -168,22 +177,30 @@ def marginals(ids: np.ndarray, first: np.ndarray, weights: np.ndarray, trans: np
 
 
 def fit_chain(ids: np.ndarray, first: np.ndarray, y: np.ndarray, words: int, steps: int = 40, ridge: float = 1e-4) -> tuple[np.ndarray, np.ndarray]:
-    """Word weights and transitions that make the token labels likely (full-batch, adaptive steps)."""
+    """Word weights and transitions that make the token labels likely (all chains in each step, adaptive steps)."""
     w, place = windows(ids, first)
-    real = w != PAD
-    yy = np.zeros(w.size)
-    yy[place] = y
+    yy = np.zeros(w.size, dtype=bool)
+    yy[place] = y > 0
     yy = yy.reshape(w.shape)
-    both = real[:, 1:] & real[:, :-1]
-    seen = np.array([[((yy[:, :-1] == i) & (yy[:, 1:] == j) & both).sum() for j in (0, 1)] for i in (0, 1)], dtype=float)
+    parts = [slice(lo, lo + 2048) for lo in range(0, len(w), 2048)]
+    seen = np.zeros((2, 2))
+    for p in parts:
+        both = (w[p, 1:] != PAD) & (w[p, :-1] != PAD)
+        now, then = yy[p, 1:][both], yy[p, :-1][both]
+        seen += np.bincount(2 * then + now, minlength=4).reshape(2, 2)
     n = np.maximum(np.bincount(ids, minlength=words), 1).astype(float)
     hits = np.bincount(ids, weights=y, minlength=words)
     weights = np.log((hits + 0.01) / (n - hits + 1.0))
     trans = np.zeros((2, 2))
     gw, gt = np.zeros(words), np.zeros((2, 2))
     for _ in range(steps):
-        m, pairs, _ = forward_backward(np.where(real, weights[w], 0.0), real, trans)
-        dw = (hits - np.bincount(w[real], weights=m[real], minlength=words)) / n - ridge * weights
+        likely, pairs = np.zeros(words), np.zeros((2, 2))
+        for p in parts:
+            real = w[p] != PAD
+            m, some, _ = forward_backward(np.where(real, weights[w[p]], 0.0), real, trans)
+            likely += np.bincount(w[p][real], weights=m[real], minlength=words)
+            pairs += some
+        dw = (hits - likely) / n - ridge * weights
         dt = (seen - pairs) / max(seen.sum(), 1) - ridge * trans
         gw, gt = 0.9 * gw + 0.1 * dw * dw, 0.9 * gt + 0.1 * dt * dt
         weights = weights + 0.1 * dw / (np.sqrt(gw) + 1e-6)
@@ -218,12 +235,13 @@ class Tagger:
     """A fitted chain and document model."""
 
     def __init__(self, texts: list[str], y: list[int]):
-        docs = [tokens(t) for t in texts]
+        docs = [list(map(sys.intern, tokens(t))) for t in texts]
         label = np.array(y, dtype=int)
         lexicon = toxic_words(docs, label) if 0 < label.sum() < len(label) else {}
         seen = Counter(w for words in docs for w in set(words))
         self.known = Features(lexicon, sorted((w for w in seen if w not in lexicon), key=lambda w: (-seen[w], w))[:MOST_WORDS])
         ids, first = self.ids(docs)
+        del docs
         toxic = np.zeros(len(self.known.place) + 1)
         toxic[[self.known.place[f] for f in lexicon]] = 1
         token_y = toxic[ids] * np.repeat(label, np.diff(first)) if len(ids) else np.zeros(0)
