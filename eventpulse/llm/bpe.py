@@ -31,7 +31,9 @@ SPLIT = r"'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+
 #: Texts with other characters are split by the library, whose Unicode tables may be of another age.
 PLAIN = r"[^\x00-ɏͰ-ͳΑ-Ρα-ωА-я -⁣₠-₿]"
 #: Distinct words a worker remembers before it starts anew.
-REMEMBERED = 300_000
+REMEMBERED = 200_000
+#: Pairs of tokens whose verdict a worker remembers.
+PAIRS = 400_000
 
 
 def _byte_alphabet() -> dict[str, int]:
@@ -77,7 +79,7 @@ class ByteBpe:
                     found.append((parts[x][side], parts[x][2]))
                     x = parts[x][side]
                 edges[t] = found[::-1]
-        self.apart: dict[tuple[int, int], bool] = {}
+        self.apart: dict[int, bool] = {}
         self.packed = [i.to_bytes(4, "little") for i in range(len(self.bytes))]
         self.words: dict[str, bytes] = {}
         self.split = regex.compile(SPLIT).findall
@@ -115,11 +117,11 @@ class ByteBpe:
                     p = last[start]
                     if p < 0:
                         break
-                    ok = apart.get((p, t))
+                    ok = apart.get(p << 20 | t)
                     if ok is None:
-                        if len(apart) > 2_000_000:
+                        if len(apart) > PAIRS:
                             apart.clear()
-                        ok = apart[p, t] = self._stay_apart(p, t)
+                        ok = apart[p << 20 | t] = self._stay_apart(p, t)
                     if ok:
                         break
                 else:
