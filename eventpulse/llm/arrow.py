@@ -40,4 +40,5 @@ def slices(batch: pa.RecordBatch, text: str, most: int = SLICE_CHARS) -> Iterato
 
 def text_of(df: DataFrame, *cols: str, text: str = "text") -> DataFrame:
     """The named columns and the text, null texts as empty ones."""
+    cols = [F.col(c).cast("long").alias(c) if c == "doc_id" else F.col(c) for c in cols]
     return df.select(*cols, F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))

@@ -55,7 +55,7 @@ def toxic_words(docs: list[list[str]], y: np.ndarray, least: float = 20.0, cover
     """Words and beginnings of words that toxic documents have significantly more often than others, with
     their log-likelihood ratios.
 
-    A document is a witness under the smallest hash of its long words; near copies mostly share it
+    A document is a witness under the smallest hash of its long words (or the hash of all); near copies mostly share it
     and count once. Needed are five witnesses, a share ``coverage`` of the toxic documents, a ratio over
     e squared and a log-likelihood ratio over ``least``.
     """
@@ -70,7 +70,8 @@ def toxic_words(docs: list[list[str]], y: np.ndarray, least: float = 20.0, cover
     del common
     places: tuple[dict, dict] = ({}, {})
     for words, label in zip(own, y, strict=True):
-        witness = min((zlib.crc32(w.encode()) for w in words if len(w) >= 8), default=len(words))
+        long = [zlib.crc32(w.encode()) for w in words if len(w) >= 8]
+        witness = min(long) if long else zlib.crc32(" ".join(sorted(words)).encode())
         for f in possible.intersection(words.union(*map(stems, words))):
             places[int(label)].setdefault(f, set()).add(witness)
     n0 = int(len(y) - n1)
@@ -97,7 +98,7 @@ class Features(dict):
 
     def __missing__(self, word: str) -> int:
         toxic = max((f for f in (word, *stems(word)) if f in self.lexicon), key=lambda f: (self.lexicon[f], len(f)), default=word)
-        if len(self) > 500_000:
+        if len(self) > 200_000:
             self.clear()
         self[word] = i = self.place.get(toxic, 0)
         return i
@@ -210,11 +211,9 @@ def fit_chain(ids: np.ndarray, first: np.ndarray, y: np.ndarray, words: int, ste
 
 def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, steps: int = 60) -> np.ndarray:
     w = np.zeros(x.shape[1])
-    share = max(y.mean(), 1e-3)
-    c = np.where(y == 1, 0.5 / share, 0.5 / max(1 - share, 1e-3))
     for _ in range(steps):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        step = np.linalg.solve(x.T @ (x * (c * p * (1 - p))[:, None]) + ridge * np.eye(len(w)), x.T @ (c * (p - y)) + ridge * w)
+        step = np.linalg.solve(x.T @ (x * (p * (1 - p))[:, None]) + ridge * np.eye(len(w)), x.T @ (p - y) + ridge * w)
         w -= step
         if np.abs(step).max() < 1e-9:
             break
