@@ -36,7 +36,13 @@ def simple(name: str, tables: str, build, oracle: str | None) -> None:
 
 
 C, S, L = F.col, F.sum, F.lit
-n = F.count("*").alias("n")
+
+
+def n():
+    """The row count of a group."""
+    return F.count("*").alias("n")
+
+
 
 # --- sources and sinks -------------------------------------------------------------------------
 simple("S_1_parquet_scan", "lineitem", lambda l: l.where("l_shipdate >= date'1998-01-01'").select("l_orderkey", "l_quantity"), "select l_orderkey, l_quantity from lineitem where l_shipdate >= date '1998-01-01'")
@@ -48,7 +54,7 @@ def _round_trip(fmt: str, **opts: str) -> None:
         path = f"{shared_dir(spark)}/eventpulse/round-trip-{fmt}"
         e = table(spark, d, "events").select("event_id", "event_type", "value", "props")
         e.write.mode("overwrite").format(fmt).options(**opts).save(path)
-        return spark.read.format(fmt).schema(e.schema).options(**opts).load(path).groupBy("event_type").agg(n, S("event_id").alias("ids"))
+        return spark.read.format(fmt).schema(e.schema).options(**opts).load(path).groupBy("event_type").agg(n(), S("event_id").alias("ids"))
 
 
 for _fmt in ("json", "csv", "orc", "parquet"):
@@ -59,7 +65,7 @@ for _fmt in ("json", "csv", "orc", "parquet"):
 def _(spark, d):
     path = f"{shared_dir(spark)}/eventpulse/round-trip-text"
     table(spark, d, "events").select("event_type").write.mode("overwrite").text(path)
-    return spark.read.text(path).agg(n, F.count_distinct("value").alias("types"))
+    return spark.read.text(path).agg(n(), F.count_distinct("value").alias("types"))
 
 
 @query("S_6_inline_rows", "select * from (values (1.5::double, 2::bigint), (2.0, 3)) as t(rate, min_count)")
@@ -72,7 +78,7 @@ def _(spark, d):
     path = f"{shared_dir(spark)}/eventpulse/by-part"
     e = table(spark, d, "events").select("event_id", F.pmod("user_id", L(10)).alias("part"))
     e.write.mode("overwrite").partitionBy("part").parquet(path)
-    return spark.read.parquet(path).where("part = 3").groupBy(C("part").cast("long").alias("part")).agg(n)
+    return spark.read.parquet(path).where("part = 3").groupBy(C("part").cast("long").alias("part")).agg(n())
 
 
 # --- projection and filter ---------------------------------------------------------------------
@@ -81,19 +87,19 @@ simple("F_2_between", "events", lambda e: e.where((C("value").between(20, 40) &
 simple("F_3_isin", "events", lambda e: e.where(C("event_type").isin("click", "view") & ~F.pmod("user_id", L(10)).isin(1, 2)).select("event_id"), "select event_id from events where event_type in ('click', 'view') and user_id % 10 not in (1, 2)")
 simple("F_4_string_predicates", "documents", lambda t: t.select("doc_id", C("text").like("%the%").alias("l"), C("text").rlike("[0-9]{4}").alias("r"), C("text").startswith("Th").alias("s"), C("text").contains("and").alias("c")), "select doc_id, text like '%the%' as l, regexp_matches(text, '[0-9]{4}') as r, starts_with(text, 'Th') as s, contains(text, 'and') as c from documents")
 simple("F_5_nulls", "documents labels", lambda t, l: t.join(l, "doc_id", "left").select("doc_id", C("quality").isNull().alias("unknown"), F.coalesce("quality", L(-1)).alias("q"), F.nullif("quality", L(0)).alias("z"), C("quality").eqNullSafe(C("toxic")).alias("same")), "select doc_id, quality is null as unknown, coalesce(quality, -1) as q, nullif(quality, 0) as z, quality is not distinct from toxic as same from documents left join labels using (doc_id)")
-simple("F_6_case_when", "events", lambda e: e.groupBy(F.when(C("value") < 25, "low").when(C("value") < 75, "mid").otherwise("high").alias("band")).agg(n), "select case when value < 25 then 'low' when value < 75 then 'mid' else 'high' end as band, count(*) as n from events group by 1")
-simple("F_7_sample", "events", lambda e: e.where("event_id % 10 = 0").agg(n), "select count(*) as n from events where event_id % 10 = 0")
+simple("F_6_case_when", "events", lambda e: e.groupBy(F.when(C("value") < 25, "low").when(C("value") < 75, "mid").otherwise("high").alias("band")).agg(n()), "select case when value < 25 then 'low' when value < 75 then 'mid' else 'high' end as band, count(*) as n from events group by 1")
+simple("F_7_sample", "events", lambda e: e.where("event_id % 10 = 0").agg(n()), "select count(*) as n from events where event_id % 10 = 0")
 
 # --- joins -------------------------------------------------------------------------------------
-simple("J_1_hash_join", "events customer", lambda e, c: e.join(c, e.user_id == c.c_custkey).groupBy("c_mktsegment").agg(n), "select c_mktsegment, count(*) as n from events join customer on user_id = c_custkey group by 1")
-simple("J_2_broadcast_join", "customer nation region", lambda c, na, r: c.join(F.broadcast(na), c.c_nationkey == na.n_nationkey).join(F.broadcast(r), C("n_regionkey") == r.r_regionkey).groupBy("r_name").agg(n), "select r_name, count(*) as n from customer join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey group by 1")
+simple("J_1_hash_join", "events customer", lambda e, c: e.join(c, e.user_id == c.c_custkey).groupBy("c_mktsegment").agg(n()), "select c_mktsegment, count(*) as n from events join customer on user_id = c_custkey group by 1")
+simple("J_2_broadcast_join", "customer nation region", lambda c, na, r: c.join(F.broadcast(na), c.c_nationkey == na.n_nationkey).join(F.broadcast(r), C("n_regionkey") == r.r_regionkey).groupBy("r_name").agg(n()), "select r_name, count(*) as n from customer join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey group by 1")
 simple("J_3_sort_merge_join", "orders lineitem", lambda o, l: o.select("o_orderkey", "o_orderpriority").join(l.select("l_orderkey", "l_quantity").hint("merge"), C("o_orderkey") == C("l_orderkey")).groupBy("o_orderpriority").agg(r9(S("l_quantity")).alias("q")), "select o_orderpriority, round(sum(l_quantity), 9) + 0.0 as q from orders join lineitem on o_orderkey = l_orderkey group by 1")
-simple("J_4_shuffle_hash_join", "lineitem part", lambda l, p: l.select("l_partkey").join(p.select("p_partkey", "p_brand").hint("shuffle_hash"), C("l_partkey") == C("p_partkey")).groupBy("p_brand").agg(n), "select p_brand, count(*) as n from lineitem join part on l_partkey = p_partkey group by 1")
+simple("J_4_shuffle_hash_join", "lineitem part", lambda l, p: l.select("l_partkey").join(p.select("p_partkey", "p_brand").hint("shuffle_hash"), C("l_partkey") == C("p_partkey")).groupBy("p_brand").agg(n()), "select p_brand, count(*) as n from lineitem join part on l_partkey = p_partkey group by 1")
 simple("J_5_left_semi", "customer events", lambda c, e: c.join(e.where("event_type = 'purchase'"), c.c_custkey == e.user_id, "left_semi").select("c_custkey"), "select c_custkey from customer where c_custkey in (select user_id from events where event_type = 'purchase')")
 simple("J_6_left_anti", "customer events", lambda c, e: c.join(e.where("event_type = 'purchase'"), c.c_custkey == e.user_id, "left_anti").select("c_custkey"), "select c_custkey from customer where c_custkey not in (select user_id from events where event_type = 'purchase')")
 simple("J_7_outer_joins", "nation supplier", lambda na, s: na.join(s, C("n_nationkey") == C("s_nationkey"), "left").groupBy("n_name").agg(F.count("s_suppkey").alias("n")), "select n_name, count(s_suppkey) as n from nation left join supplier on n_nationkey = s_nationkey group by 1")
 simple("J_7_right_outer", "supplier nation", lambda s, na: s.join(na, C("n_nationkey") == C("s_nationkey"), "right").groupBy("n_name").agg(F.count("s_suppkey").alias("n")), "select n_name, count(s_suppkey) as n from supplier right join nation on n_nationkey = s_nationkey group by 1")
-simple("J_8_full_outer", "events", lambda e: e.where("value < 30").select("event_id", L(1).alias("a")).join(e.where("value > 20").select("event_id", L(1).alias("b")), "event_id", "full").groupBy(C("a").isNull().alias("no_a"), C("b").isNull().alias("no_b")).agg(n), "select a is null as no_a, b is null as no_b, count(*) as n from (select event_id, 1 as a from events where value < 30) full join (select event_id, 1 as b from events where value > 20) using (event_id) group by 1, 2")
+simple("J_8_full_outer", "events", lambda e: e.where("value < 30").select("event_id", L(1).alias("a")).join(e.where("value > 20").select("event_id", L(1).alias("b")), "event_id", "full").groupBy(C("a").isNull().alias("no_a"), C("b").isNull().alias("no_b")).agg(n()), "select a is null as no_a, b is null as no_b, count(*) as n from (select event_id, 1 as a from events where value < 30) full join (select event_id, 1 as b from events where value > 20) using (event_id) group by 1, 2")
 
 
 @query("J_9_parameter_grid", f"{EVT}, {sql.scores(W4)} select r::double as rate, count(*) as n from sc join (select unnest([1.0, 1.5, 2.0]) as r) on prev_tfidf > 1e-12 and tfidf / prev_tfidf > r + 1e-9 where cnt >= 2 group by 1")
@@ -101,13 +107,13 @@ def _(spark, d):
     """Scores against a grid of three rows: a nested-loop join with a broadcast side of fixed size."""
     ws = bursts.score(event_tokens(spark, d), W4).where("cnt >= 2 and prev_tfidf > 1e-12").select((C("tfidf") / C("prev_tfidf")).alias("growth"))
     grid = spark.sql("select cast(r as double) as rate from values (1.0), (1.5), (2.0) as t(r)")
-    return ws.join(F.broadcast(grid), C("growth") > C("rate") + 1e-9).groupBy("rate").agg(n)
+    return ws.join(F.broadcast(grid), C("growth") > C("rate") + 1e-9).groupBy("rate").agg(n())
 
 
 @query("J_10_theta_join", f"{EVT}, {sql.COUNTS} select a.block_no, count(*) as n from wc a join wc b on a.block_no = b.block_no and a.cnt > 3 * b.cnt group by 1")
 def _(spark, d):
     a = bursts.count_words(event_tokens(spark, d)).select("block_no", C("cnt").alias("ca"))
-    return a.join(a.select("block_no", C("ca").alias("cb")), "block_no").where("ca > 3 * cb").groupBy("block_no").agg(n)
+    return a.join(a.select("block_no", C("ca").alias("cb")), "block_no").where("ca > 3 * cb").groupBy("block_no").agg(n())
 
 
 @query("J_11_range_join", "select o_orderkey, count(*) as n from (select o_orderkey, o_orderdate from orders where o_orderkey % 50 = 0) join (select l_shipdate from lineitem where l_orderkey % 20 = 0) on l_shipdate::date between o_orderdate::date and o_orderdate::date + 10 group by 1")
@@ -117,7 +123,7 @@ def _(spark, d):
     s = table(spark, d, "lineitem").where("l_orderkey % 20 = 0").select(F.unix_date(C("l_shipdate").cast("date")).alias("s"))
     bin_ = lambda c: F.floor(c / 10)
     o = o.withColumn("bin", F.explode(F.sequence(bin_(C("o")), bin_(C("o") + 10))))
-    return o.join(s.withColumn("bin", bin_(C("s"))), "bin").where("s between o and o + 10").groupBy("o_orderkey").agg(n)
+    return o.join(s.withColumn("bin", bin_(C("s"))), "bin").where("s between o and o + 10").groupBy("o_orderkey").agg(n())
 
 
 @query("J_12_as_of", f"{EVT}, {sql.scores(W4)}, ev as (select * from sc where word like 'k%' and block_no % 7 = 0), p as (select block_no + 1 as at, word, tfidf from sc) select ev.block_no, ev.word, {sql.r9('p.tfidf')} as earlier from ev asof left join p on ev.word = p.word and ev.block_no >= p.at")
@@ -142,17 +148,17 @@ def _(spark, d):
 def _(spark, d):
     w = event_tokens(spark, d).select("post_id", F.explode(F.array_distinct("tokens")).alias("word"))
     a, b = w.withColumnRenamed("word", "w1"), w.withColumnRenamed("word", "w2")
-    return a.join(b, "post_id").where("w1 < w2").groupBy("w1", "w2").agg(n)
+    return a.join(b, "post_id").where("w1 < w2").groupBy("w1", "w2").agg(n())
 
 
 @query("J_15_lateral_explode", f"{EVT} select word, count(*) as n from words group by 1")
 def _(spark, d):
     t = event_tokens(spark, d).select("post_id", "tokens")
-    return t.lateralJoin(spark.tvf.explode(C("tokens").outer()).toDF("word")).groupBy("word").agg(n)
+    return t.lateralJoin(spark.tvf.explode(C("tokens").outer()).toDF("word")).groupBy("word").agg(n())
 
 
 # --- aggregation -------------------------------------------------------------------------------
-simple("A_1_hash_aggregate", "events", lambda e: e.groupBy("event_type").agg(n, r9(S("value")).alias("total"), r9(F.avg("value")).alias("mean")), "select event_type, count(*) as n, round(sum(value), 9) + 0.0 as total, round(avg(value), 9) + 0.0 as mean from events group by 1")
+simple("A_1_hash_aggregate", "events", lambda e: e.groupBy("event_type").agg(n(), r9(S("value")).alias("total"), r9(F.avg("value")).alias("mean")), "select event_type, count(*) as n, round(sum(value), 9) + 0.0 as total, round(avg(value), 9) + 0.0 as mean from events group by 1")
 simple("A_2_max_struct", "orders", lambda o: o.groupBy("o_custkey").agg(F.max(F.struct("o_totalprice", "o_orderkey")).alias("m")).select("o_custkey", C("m.o_orderkey").alias("best")), "select o_custkey, o_orderkey as best from orders qualify row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey desc) = 1")
 simple("A_3_count_distinct", "events", lambda e: e.agg(F.count_distinct("user_id").alias("users"), F.count_distinct("event_type").alias("types")), "select count(distinct user_id) as users, count(distinct event_type) as types from events")
 simple("A_4_approx_distinct", "events", lambda e: e.groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("users"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("sketched")), None)
@@ -161,32 +167,32 @@ simple("A_5_percentile", "events", lambda e: e.groupBy("event_type").agg(r9(F.pe
 simple("A_5_approx_percentile", "events", lambda e: e.groupBy("event_type").agg(F.approx_percentile("value", 0.5, 10000).alias("median")), None)
 _G = "count(*) as n from events join customer on user_id = c_custkey"
 _gr = lambda e, c: e.join(c, e.user_id == c.c_custkey)
-simple("A_6_rollup", "events customer", lambda e, c: _gr(e, c).rollup("c_mktsegment", "event_type").agg(n), f"select c_mktsegment, event_type, {_G} group by rollup (c_mktsegment, event_type)")
-simple("A_7_cube", "events customer", lambda e, c: _gr(e, c).cube("c_mktsegment", "event_type").agg(n, F.grouping_id().alias("g")), f"select c_mktsegment, event_type, count(*) as n, grouping(c_mktsegment, event_type) as g from events join customer on user_id = c_custkey group by cube (c_mktsegment, event_type)")
-simple("A_8_grouping_sets", "events customer", lambda e, c: _gr(e, c).groupingSets([[C("c_mktsegment")], [C("event_type")]], "c_mktsegment", "event_type").agg(n), f"select c_mktsegment, event_type, {_G} group by grouping sets ((c_mktsegment), (event_type))")
+simple("A_6_rollup", "events customer", lambda e, c: _gr(e, c).rollup("c_mktsegment", "event_type").agg(n()), f"select c_mktsegment, event_type, {_G} group by rollup (c_mktsegment, event_type)")
+simple("A_7_cube", "events customer", lambda e, c: _gr(e, c).cube("c_mktsegment", "event_type").agg(n(), F.grouping_id().alias("g")), f"select c_mktsegment, event_type, count(*) as n, grouping(c_mktsegment, event_type) as g from events join customer on user_id = c_custkey group by cube (c_mktsegment, event_type)")
+simple("A_8_grouping_sets", "events customer", lambda e, c: _gr(e, c).groupingSets([[C("c_mktsegment")], [C("event_type")]], "c_mktsegment", "event_type").agg(n()), f"select c_mktsegment, event_type, {_G} group by grouping sets ((c_mktsegment), (event_type))")
 _TYPES = ["click", "purchase", "signup"]
 simple("A_9_pivot", "events customer", lambda e, c: _gr(e, c).groupBy("c_mktsegment").pivot("event_type", _TYPES).count().na.fill(0), "select c_mktsegment, " + ", ".join(f"count(*) filter (where event_type = '{t}') as {t}" for t in _TYPES) + " from events join customer on user_id = c_custkey group by 1")
 simple("A_10_unpivot", "events", lambda e: e.agg(F.min("value").alias("lo"), F.max("value").alias("hi")).unpivot([], ["lo", "hi"], "what", "v"), "select 'lo' as what, min(value) as v from events union all select 'hi', max(value) from events")
 simple("A_11_collect", "nation", lambda t: t.groupBy("n_regionkey").agg(F.array_join(F.array_sort(F.collect_list("n_name")), ",").alias("names"), F.size(F.collect_set("n_name")).cast("long").alias("k")), "select n_regionkey, string_agg(n_name, ',' order by n_name) as names, count(distinct n_name) as k from nation group by 1")
 simple("A_12_min_by", "events", lambda e: e.groupBy("event_type").agg(F.min_by("event_id", "event_id").alias("first_id"), F.max_by("user_id", "event_id").alias("last_user")), "select event_type, min(event_id) as first_id, arg_max(user_id, event_id) as last_user from events group by 1")
-simple("A_12_mode", "events", lambda e: e.groupBy("event_type", "user_id").agg(n).groupBy("event_type").agg(F.min(F.struct((-C("n")).alias("neg"), "user_id"))["user_id"].alias("user_id")), "select event_type, user_id from (select event_type, user_id, count(*) as n from events group by 1, 2) qualify row_number() over (partition by event_type order by n desc, user_id) = 1")
+simple("A_12_mode", "events", lambda e: e.groupBy("event_type", "user_id").agg(n()).groupBy("event_type").agg(F.min(F.struct((-C("n")).alias("neg"), "user_id"))["user_id"].alias("user_id")), "select event_type, user_id from (select event_type, user_id, count(*) as n from events group by 1, 2) qualify row_number() over (partition by event_type order by n desc, user_id) = 1")
 simple("A_13_conditional", "events", lambda e: e.groupBy("event_type").agg(F.count_if(C("value") > 50).alias("high"), r9(S(F.when(C("value") <= 50, C("value")))).alias("low_sum")), "select event_type, count(*) filter (where value > 50) as high, round(sum(value) filter (where value <= 50), 9) + 0.0 as low_sum from events group by 1")
 simple("A_14_moments", "lineitem", lambda l: l.groupBy("l_returnflag").agg(F.round(F.stddev_pop("l_quantity"), 6).alias("sd"), F.round(F.var_samp("l_quantity"), 6).alias("v"), F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("c")), "select l_returnflag, round(stddev_pop(l_quantity), 6) as sd, round(var_samp(l_quantity), 6) as v, round(corr(l_quantity, l_extendedprice), 6) as c from lineitem group by 1")
-simple("A_15_having", "events", lambda e: e.groupBy("user_id").agg(n).where("n >= 10"), "select user_id, count(*) as n from events group by 1 having count(*) >= 10")
+simple("A_15_having", "events", lambda e: e.groupBy("user_id").agg(n()).where("n >= 10"), "select user_id, count(*) as n from events group by 1 having count(*) >= 10")
 simple("A_16_count_min_sketch", "events", lambda e: e.agg(F.length(F.count_min_sketch("user_id", L(0.01), L(0.95), L(7))).cast("long").alias("bytes")), None)
 simple("A_17_bool_bit", "events", lambda e: e.groupBy("event_type").agg(F.bool_and(C("value") >= 0).alias("all_pos"), F.bool_or(C("value") > 99).alias("any_high"), F.bit_or("user_id").alias("bits"), F.bit_xor("event_id").alias("x")), "select event_type, bool_and(value >= 0) as all_pos, bool_or(value > 99) as any_high, bit_or(user_id) as bits, bit_xor(event_id) as x from events group by 1")
 
 # --- windows -----------------------------------------------------------------------------------
-_w = W.partitionBy("event_type").orderBy("event_id")
-_u = W.partitionBy("user_id").orderBy("event_id")
-_v = W.partitionBy("event_type").orderBy(F.floor("value"))
-simple("N_1_rank", "events", lambda e: e.select("event_id", F.row_number().over(_w).cast("long").alias("rn"), F.rank().over(_v).cast("long").alias("rk"), F.dense_rank().over(_v).cast("long").alias("dr")), "select event_id, row_number() over (partition by event_type order by event_id) as rn, rank() over (partition by event_type order by floor(value)) as rk, dense_rank() over (partition by event_type order by floor(value)) as dr from events")
-simple("N_2_distribution", "events", lambda e: e.select("event_id", F.ntile(4).over(_w).cast("long").alias("q"), r9(F.percent_rank().over(_v)).alias("p"), r9(F.cume_dist().over(_v)).alias("c")), "select event_id, ntile(4) over (partition by event_type order by event_id) as q, round(percent_rank() over (partition by event_type order by floor(value)), 9) + 0.0 as p, round(cume_dist() over (partition by event_type order by floor(value)), 9) + 0.0 as c from events")
-simple("N_3_lag_lead", "events", lambda e: e.select("event_id", F.lag("event_id").over(_u).alias("prev"), F.lead("event_id", 2).over(_u).alias("after2")), "select event_id, lag(event_id) over w as prev, lead(event_id, 2) over w as after2 from events window w as (partition by user_id order by event_id)")
-simple("N_4_first_last", "events", lambda e: e.select("event_id", F.first("event_type").over(_u).alias("f"), F.last(F.when(C("value") > 50, C("event_id")), ignorenulls=True).over(_u).alias("last_high"), F.nth_value("event_id", 2).over(_u).alias("second")), "select event_id, first_value(event_type) over w as f, last_value(case when value > 50 then event_id end ignore nulls) over w as last_high, nth_value(event_id, 2) over w as second from events window w as (partition by user_id order by event_id)")
-simple("N_5_running_count", "events", lambda e: e.select("event_id", F.count("*").over(_w.rowsBetween(W.unboundedPreceding, 0)).alias("n")), "select event_id, count(*) over (partition by event_type order by event_id rows unbounded preceding) as n from events")
+_w = lambda: W.partitionBy("event_type").orderBy("event_id")
+_u = lambda: W.partitionBy("user_id").orderBy("event_id")
+_v = lambda: W.partitionBy("event_type").orderBy(F.floor("value"))
+simple("N_1_rank", "events", lambda e: e.select("event_id", F.row_number().over(_w()).cast("long").alias("rn"), F.rank().over(_v()).cast("long").alias("rk"), F.dense_rank().over(_v()).cast("long").alias("dr")), "select event_id, row_number() over (partition by event_type order by event_id) as rn, rank() over (partition by event_type order by floor(value)) as rk, dense_rank() over (partition by event_type order by floor(value)) as dr from events")
+simple("N_2_distribution", "events", lambda e: e.select("event_id", F.ntile(4).over(_w()).cast("long").alias("q"), r9(F.percent_rank().over(_v())).alias("p"), r9(F.cume_dist().over(_v())).alias("c")), "select event_id, ntile(4) over (partition by event_type order by event_id) as q, round(percent_rank() over (partition by event_type order by floor(value)), 9) + 0.0 as p, round(cume_dist() over (partition by event_type order by floor(value)), 9) + 0.0 as c from events")
+simple("N_3_lag_lead", "events", lambda e: e.select("event_id", F.lag("event_id").over(_u()).alias("prev"), F.lead("event_id", 2).over(_u()).alias("after2")), "select event_id, lag(event_id) over w as prev, lead(event_id, 2) over w as after2 from events window w as (partition by user_id order by event_id)")
+simple("N_4_first_last", "events", lambda e: e.select("event_id", F.first("event_type").over(_u()).alias("f"), F.last(F.when(C("value") > 50, C("event_id")), ignorenulls=True).over(_u()).alias("last_high"), F.nth_value("event_id", 2).over(_u()).alias("second")), "select event_id, first_value(event_type) over w as f, last_value(case when value > 50 then event_id end ignore nulls) over w as last_high, nth_value(event_id, 2) over w as second from events window w as (partition by user_id order by event_id)")
+simple("N_5_running_count", "events", lambda e: e.select("event_id", F.count("*").over(_w().rowsBetween(W.unboundedPreceding, 0)).alias("n")), "select event_id, count(*) over (partition by event_type order by event_id rows unbounded preceding) as n from events")
 simple("N_6_range_frame", "orders", lambda o: o.withColumn("day", F.unix_date(C("o_orderdate").cast("date"))).select("o_orderkey", F.count("*").over(W.partitionBy("o_custkey").orderBy("day").rangeBetween(-9, 0)).alias("n")), "select o_orderkey, count(*) over (partition by o_custkey order by o_orderdate::date range between interval 9 days preceding and current row) as n from orders")
-simple("N_7_share", "events", lambda e: e.groupBy("event_type", "user_id").agg(n).select("event_type", "user_id", r9(C("n") / S("n").over(W.partitionBy("event_type"))).alias("share")), "select event_type, user_id, round(count(*) / sum(count(*)) over (partition by event_type)::double, 9) + 0.0 as share from events group by 1, 2")
+simple("N_7_share", "events", lambda e: e.groupBy("event_type", "user_id").agg(n()).select("event_type", "user_id", r9(C("n") / S("n").over(W.partitionBy("event_type"))).alias("share")), "select event_type, user_id, round(count(*) / sum(count(*)) over (partition by event_type)::double, 9) + 0.0 as share from events group by 1, 2")
 
 
 @query("N_8_islands", f"{EVT}, b as (select distinct word, block_no from words where word like 'k%'), g as (select *, block_no - row_number() over (partition by word order by block_no) as grp from b) select word, min(block_no) as first_block, count(*) as blocks from g group by word, grp having count(*) >= 3")
@@ -205,7 +211,7 @@ simple("T_5_null_order", "documents labels", lambda t, l: t.join(l, "doc_id", "l
 simple("T_6_range_partition", "events", lambda e: e.repartitionByRange(4, "event_id").sortWithinPartitions("event_id").groupBy(F.spark_partition_id().alias("p")).agg(F.min("event_id").alias("lo"), F.max("event_id").alias("hi"), n), None)
 _a, _b = "select user_id from events where event_type = 'click'", "select user_id from events where event_type = 'purchase'"
 _sets = lambda f: lambda e: f(e.where("event_type = 'click'").select("user_id"), e.where("event_type = 'purchase'").select("user_id"))
-simple("E_1_union_all", "events", _sets(lambda a, b: a.unionByName(b).groupBy("user_id").agg(n)), f"select user_id, count(*) as n from ({_a} union all {_b}) group by 1")
+simple("E_1_union_all", "events", _sets(lambda a, b: a.unionByName(b).groupBy("user_id").agg(n())), f"select user_id, count(*) as n from ({_a} union all {_b}) group by 1")
 simple("E_2_union_distinct", "events", _sets(lambda a, b: a.union(b).distinct()), f"{_a} union {_b}")
 simple("E_3_intersect", "events", _sets(lambda a, b: a.intersect(b)), f"{_a} intersect {_b}")
 simple("E_3_intersect_all", "events", _sets(lambda a, b: a.intersectAll(b)), f"{_a} intersect all {_b}")
@@ -227,7 +233,7 @@ simple("X_8_json", "events", lambda e: e.select("event_id", F.get_json_object("p
 simple("X_9_html", "pages", lambda p: p.select("page_id", F.regexp_extract("html", r"(?is)<title[^>]*>(.*?)</title>", 1).alias("title"), F.size(F.regexp_extract_all("html", L(r"(?i)href="), 0)).cast("long").alias("links"), md5(F.regexp_replace(F.regexp_replace("html", r"(?is)<(script|style)[^>]*>.*?</(script|style)>", " "), r"(?s)<[^>]+>", " ")).alias("body")), "select page_id, regexp_extract(html, '(?is)<title[^>]*>(.*?)</title>', 1) as title, len(regexp_extract_all(html, '(?i)href=')) as links, md5(regexp_replace(regexp_replace(html, '(?is)<(script|style)[^>]*>.*?</(script|style)>', ' ', 'g'), '(?s)<[^>]+>', ' ', 'g')) as body from pages")
 simple("X_10_url_parts", "pages", lambda p: p.select("page_id", F.parse_url("url", L("HOST")).alias("host"), F.parse_url("url", L("PATH")).alias("path"), F.parse_url("url", L("QUERY")).alias("q")), r"select page_id, regexp_extract(url, '://([^/?#]*)', 1) as host, regexp_extract(url, '://[^/?#]*([^?#]*)', 1) as path, nullif(regexp_extract(url, '\?([^#]*)', 1), '') as q from pages")
 simple("X_11_hashes", "documents", lambda t: t.select("doc_id", F.sha2(F.lower("text"), 256).alias("s"), md5(C("text")).alias("m")), "select doc_id, sha256(lower(text)) as s, md5(text) as m from documents")
-simple("X_11_repeats", "documents", lambda t: t.groupBy(F.sha2("text", 256)).agg(n, F.min("doc_id").alias("first_id")).where("n > 1").select("first_id", "n"), "select min(doc_id) as first_id, count(*) as n from documents group by text having count(*) > 1")
+simple("X_11_repeats", "documents", lambda t: t.groupBy(F.sha2("text", 256)).agg(n(), F.min("doc_id").alias("first_id")).where("n > 1").select("first_id", "n"), "select min(doc_id) as first_id, count(*) as n from documents group by text having count(*) > 1")
 # --- user functions ----------------------------------------------------------------------------
 
 
@@ -236,7 +242,7 @@ def _(spark, d):
     def same(s: pd.Series) -> pd.Series:
         return s.str.strip()
 
-    return table(spark, d, "events").select(F.pandas_udf(same, "string")("event_type").alias("event_type")).groupBy("event_type").agg(n)
+    return table(spark, d, "events").select(F.pandas_udf(same, "string")("event_type").alias("event_type")).groupBy("event_type").agg(n())
 
 
 @query("U_2_grouped_pandas", "select event_type, round(max(value) - min(value), 9) + 0.0 as spread from events group by 1")
@@ -278,7 +284,7 @@ def _(spark, d):
         for b in batches:
             yield b.filter(pc.greater(b.column("value"), 50))
 
-    return table(spark, d, "events").select("value").mapInArrow(run, "value double").agg(n)
+    return table(spark, d, "events").select("value").mapInArrow(run, "value double").agg(n())
 
 
 @query("U_6_sql_functions", f"select doc_id, len({sql.tokens('text')})::bigint as n, md5({sql.squeezed('text')}) as digest from documents")
