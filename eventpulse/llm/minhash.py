@@ -35,8 +35,8 @@ from eventpulse.operators.components import connected_components
 from eventpulse.plans.scratch import discard, materialize, ship
 
 COORDINATES, WORDS, PERCENT = 128, 5, 85
-#: Members of a posting list or candidate component that are compared in one block.
-BLOCK, BLOCK_SHINGLES = 1024, 1_000_000
+#: Members of a posting list and of a candidate component, and shingles of the latter, meant for one block.
+BLOCK, BLOCK_CONFIRMED, BLOCK_SHINGLES = 1024, 256, 250_000
 #: Slots of the counting table that orders the pairs; its size does not depend on the data.
 SLOTS, SLOT_BLOCK = 1 << 18, 1 << 13
 _SEEDS = mix(np.arange(1, 2 * 512 + 1, dtype=np.uint64) * np.uint64(0xA0761D6478BD642F))
@@ -269,7 +269,7 @@ def _links(docs: DataFrame, candidates: DataFrame, words: int, percent: int) ->
     """Spanning links, confirmed on full sets, within the candidate components."""
     # candidates: doc_id, component, n_shingles
     size = candidates.groupBy("component").agg(F.count("*").alias("m"), F.sum("n_shingles").alias("w"))
-    blocks = F.greatest(F.ceil(F.col("m") / BLOCK), F.ceil(F.col("w") / BLOCK_SHINGLES)).cast("int").alias("blocks")
+    blocks = F.greatest(F.ceil(F.col("m") / BLOCK_CONFIRMED), F.ceil(F.col("w") / BLOCK_SHINGLES)).cast("int").alias("blocks")
     members = candidates.join(size.select("component", blocks), "component").select("doc_id", "component", "blocks")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
