@@ -56,8 +56,7 @@ def clean_tokens(text: Column, cfg: PrepConfig = PrepConfig()) -> Column:
     t = F.coalesce(text, F.lit(""))
     t = strip_urls(t) if cfg.urls else t
     t = drop_checkins(t) if cfg.checkins else t
-    tokens = tokenize(t)
-    tokens = F.transform(tokens, squeeze_runs) if cfg.squeeze else tokens
+    tokens = tokenize(squeeze_runs(F.lower(t)) if cfg.squeeze else t)  # no run crosses a gap: one pass over the text
     tokens = drop_stopwords(tokens, cfg.langs) if cfg.stopwords else tokens
     return F.transform(tokens, stem_light) if cfg.stem == "light" else tokens
 

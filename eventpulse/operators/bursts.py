@@ -19,8 +19,12 @@ def _by_word() -> WindowSpec:
 
 
 def explode_words(df: DataFrame, tokens: str = "tokens") -> DataFrame:
-    """(region, block_no, word) of every token."""
-    return df.select("region", "block_no", F.explode(tokens).alias("word"))
+    """(region, block_no, word) of every token.
+
+    The outer explode keeps the optimizer from adding a filter on the array's size below it, which would
+    clean every text twice.
+    """
+    return df.select("region", "block_no", F.explode_outer(tokens).alias("word")).where("word is not null")
 
 
 def count_words(df: DataFrame, tokens: str = "tokens") -> DataFrame:
@@ -131,7 +135,7 @@ def detect_bursts_eager(tokens: DataFrame, cfg: BurstConfig = BurstConfig()) ->
     """
     before = Window.partitionBy("region", "block_no").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
     posts = tokens.select("region", "block_no", "seq", "tokens", F.coalesce(F.sum(F.size("tokens")).over(before), F.lit(0)).alias("_before"))
-    words = posts.select("region", "block_no", "seq", "_before", F.posexplode("tokens").alias("_pos", "word"))
+    words = posts.select("region", "block_no", "seq", "_before", F.posexplode_outer("tokens").alias("_pos", "word")).where("word is not null")
     nth = F.row_number().over(Window.partitionBy("region", "block_no", "word").orderBy("seq", "_pos"))
     first = Window.partitionBy("region", "word").orderBy("block_no")
     hits = words.withColumn("_nth", nth).where((F.col("_nth") == cfg.min_count) | (F.col("_nth") == 1))
