@@ -34,6 +34,7 @@ _DOMAIN = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+").finditer
 _DOTTED = re.compile(r"[0-9]++(?:\.[0-9]++)*+").finditer
 _SPACED = re.compile(r"[0-9]++(?:[ -][0-9]++)*+").finditer
 _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]").finditer
+_DIGIT = re.compile("[0-9]").search
 _NO_DIGIT = re.compile(r"[^0-9]+")
 
 
@@ -61,8 +62,8 @@ def _numbers(text: str) -> Iterator[tuple[str, int, int, bool]]:
     for m in _DOTTED(text):
         parts = m.group().split(".")
         at = m.start()
-        while len(parts) >= 4:
-            four, parts = parts[:4], parts[4:]
+        for k in range(0, len(parts) - 3, 4):
+            four = parts[k : k + 4]
             end = at + sum(map(len, four)) + 3
             yield "ip", at, end, all(len(p.lstrip("0")) <= 3 and int(p.lstrip("0") or 0) <= 255 for p in four)
             at = end + 1
@@ -77,6 +78,8 @@ def base_matches(text: str) -> list[tuple[str, int, int, bool]]:
     """(kind, start, end, passed): the leftmost matches of each kind that do not overlap,
     with the failing ones marked. Runs in time linear in the text."""
     out = [("email", a, z, True) for a, z in _emails(text)] if "@" in text else []
+    if not _DIGIT(text):
+        return out
     out += _numbers(text)
     if "+" in text:
         out += [("phone", m.start(), m.end(), 10 <= len(_NO_DIGIT.sub("", m.group())) <= 15) for m in _PHONE(text)]
@@ -104,8 +107,17 @@ _WIDE = re.compile(
     r"|\b(?:" + "|".join(GIVEN_NAMES) + r") [A-Z][\w'-]{1,30})"
     r"|(?P<email_spelt>\b[A-Za-z0-9._%+-]{1,64} ?(?:\(at\)|\[at\]) ?[A-Za-z0-9-]{1,63}(?: ?(?:\(dot\)|\[dot\]|\.) ?[A-Za-z0-9-]{1,63}){1,4})"
 ).finditer
-#: Cheap sign that the wide patterns may find something.
-_HINT = re.compile("(?i:" + "|".join(map(re.escape, sorted({w[:4] for w in SECRET_WORDS}))) + r")|\b(?:" + "|".join([*HONORIFICS, *GIVEN_NAMES]) + r")[. ]|(?i:name)|[(\[]at[)\]]").search
+_CAPITAL = re.compile(r"\b[A-Z]\w+").findall
+_NAMES = frozenset([*HONORIFICS, *GIVEN_NAMES])
+_SIGNS = (*SECRET_WORDS, "name", "(at)", "[at]")
+
+
+def _wide_possible(text: str) -> bool:
+    """Whether the text holds a word that every match of the wide patterns contains."""
+    low = text.lower()
+    return any(s in low for s in _SIGNS) or not _NAMES.isdisjoint(_CAPITAL(text))
+
+
 _NATIONAL = re.compile(r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])").finditer
 _LOCAL_PHONE = re.compile(r"(?<![0-9+(.-])\(?[0-9]{3}\)?[ .-][0-9]{3}[.-][0-9]{4}(?![0-9-])").finditer
 _IBAN = re.compile(r"\b[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b").finditer
@@ -116,14 +128,14 @@ def candidates(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, i
     matches = base_matches(text)
     base = [(k, a, z) for k, a, z, ok in matches if ok]
     more = [m for m in matches if not m[3]]
-    if "-" in text or "." in text:
+    if _DIGIT(text):
         more += [("national_id", m.start(), m.end(), True) for m in _NATIONAL(text)] if "-" in text else []
-        more += [("phone_local", m.start(), m.end(), True) for m in _LOCAL_PHONE(text)] if matches or "-" in text else []
-    if _HINT(text):
+        more += [("phone_local", m.start(), m.end(), True) for m in _LOCAL_PHONE(text)] if "-" in text or "." in text else []
+        more += [("iban", m.start(), m.end(), True) for m in _IBAN(text)]
+    if _wide_possible(text):
         for m in _WIDE(text):
             a, z = m.span("value") if m.lastgroup == "value" or m.group("secret") else m.span()
             more.append(("secret" if m.group("secret") else "name" if m.group("name") else "email_spelt", a, z, True))
-    more += [("iban", m.start(), m.end(), True) for m in _IBAN(text)]
     taken = sorted((a, z) for _, a, z in base)
     free = []
     for kind, a, z, ok in sorted(more, key=lambda m: (m[1], KINDS.index(m[0]))):
