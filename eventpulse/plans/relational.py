@@ -208,7 +208,7 @@ simple("T_2_top_k", "orders", lambda o: o.orderBy(F.desc("o_totalprice"), "o_ord
 simple("T_3_top_k_per_group", "orders", lambda o: o.withColumn("r", F.row_number().over(W.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))).where("r <= 2").select("o_custkey", "o_orderkey"), "select o_custkey, o_orderkey from orders qualify row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) <= 2")
 simple("T_4_limit_offset", "customer", lambda c: c.orderBy("c_custkey").offset(20).limit(10).select("c_custkey"), "select c_custkey from customer order by c_custkey limit 10 offset 20")
 simple("T_5_null_order", "documents labels", lambda t, l: t.join(l, "doc_id", "left").orderBy(C("quality").asc_nulls_last(), "doc_id").limit(50).select("doc_id", "quality"), "select doc_id, quality from documents left join labels using (doc_id) order by quality asc nulls last, doc_id limit 50")
-simple("T_6_range_partition", "events", lambda e: e.repartitionByRange(4, "event_id").sortWithinPartitions("event_id").groupBy(F.spark_partition_id().alias("p")).agg(F.min("event_id").alias("lo"), F.max("event_id").alias("hi"), n), None)
+simple("T_6_range_partition", "events", lambda e: e.repartitionByRange(4, "event_id").sortWithinPartitions("event_id").groupBy(F.spark_partition_id().alias("p")).agg(F.min("event_id").alias("lo"), F.max("event_id").alias("hi"), n()), None)
 _a, _b = "select user_id from events where event_type = 'click'", "select user_id from events where event_type = 'purchase'"
 _sets = lambda f: lambda e: f(e.where("event_type = 'click'").select("user_id"), e.where("event_type = 'purchase'").select("user_id"))
 simple("E_1_union_all", "events", _sets(lambda a, b: a.unionByName(b).groupBy("user_id").agg(n())), f"select user_id, count(*) as n from ({_a} union all {_b}) group by 1")

@@ -4,10 +4,10 @@ from __future__ import annotations
 
 import pytest
 
-from eventpulse.plans import burst_queries, cluster_queries, relational, stream_queries
+from eventpulse.plans import burst_queries, cluster_queries, comparison_queries, relational, stream_queries
 from tests.oracle import connect, rows
 
-MODULES = (burst_queries, cluster_queries, relational)
+MODULES = (burst_queries, cluster_queries, comparison_queries, relational)
 NAMES = [(m, k) for m in MODULES for k in m.ORACLES] + [(stream_queries, k) for k in ("M_K19_burst_stream", "M_C19_cluster_stream", "S_5_block_source", "G_4_late_rows", "G_10_restart")]
 
 
