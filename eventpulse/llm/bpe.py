@@ -29,9 +29,9 @@ from eventpulse.llm.arrow import map_batches, slices, text_of
 #: Fixed value: the published split pattern of this kind of tokenizer, white space spelt out.
 SPLIT = r"'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+"
 #: Texts with other characters are split by the library, whose Unicode tables may be of another age.
-PLAIN = r"[^\x00-ɏͰ-ͳΑ-Ρα-ωА-я -⁣₠-₿]"
-#: Distinct words a worker remembers before it starts anew.
-REMEMBERED = 200_000
+PLAIN = r"[^\x00-ɏΑ-Ρα-ωА-я -⁣₠-₿]"
+#: Distinct words in each of the two generations that a worker remembers.
+REMEMBERED = 150_000
 #: Pairs of tokens whose verdict a worker remembers.
 PAIRS = 400_000
 
@@ -82,6 +82,7 @@ class ByteBpe:
         self.apart: dict[int, bool] = {}
         self.packed = [i.to_bytes(4, "little") for i in range(len(self.bytes))]
         self.words: dict[str, bytes] = {}
+        self.former: dict[str, bytes] = {}
         self.split = regex.compile(SPLIT).findall
         self.unusual = regex.compile(PLAIN).search
         self.at_special = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")").split if self.special else None
@@ -110,7 +111,7 @@ class ByteBpe:
             shared = len(commonprefix((before, w)))
             del last[shared + 1 :], starts[shared + 1 :]
             for end in range(shared + 1, len(w) + 1):
-                for start in range(max(0, end - longest), end):
+                for start in range(end - 1, max(0, end - longest) - 1, -1):  # the shortest is most often right
                     t = ids.get(w[start:end])
                     if t is None:
                         continue
@@ -155,9 +156,9 @@ class ByteBpe:
                 split.append(parts)
             else:
                 split.append(self._pieces(text))
-        if len(self.words) > REMEMBERED:
-            self.words = {}
-        known = self.words
+        if len(self.words) > REMEMBERED:  # words that come again within a generation live on
+            self.former, self.words = self.words, {}
+        known, former = self.words, self.former
         for s, i in self.special.items():
             known[s] = self.packed[i]
         new = {w for parts in split for w in parts if w not in known}
