@@ -26,7 +26,8 @@ def shared_dir(spark: SparkSession) -> str:
     return base.rstrip("/")
 
 
-def _hadoop_path(spark: SparkSession, path: str):
+def hadoop_path(spark: SparkSession, path: str):
+    """A path and its file system, on the driver's JVM."""
     p = spark._jvm.org.apache.hadoop.fs.Path(path)
     return p, p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
 
@@ -40,7 +41,7 @@ def materialize(df: DataFrame, tag: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/eventpulse/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    p, fs = _hadoop_path(spark, path)
+    p, fs = hadoop_path(spark, path)
     fs.deleteOnExit(p)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
@@ -51,7 +52,7 @@ def discard(df: DataFrame | None) -> None:
     """Delete a table made by :func:`materialize` that no later plan reads."""
     path = getattr(df, "_scratch_path", None)
     if path:
-        p, fs = _hadoop_path(df.sparkSession, path)
+        p, fs = hadoop_path(df.sparkSession, path)
         fs.delete(p, True)
 
 

@@ -10,7 +10,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from eventpulse.plans.scratch import shared_dir
+from eventpulse.plans.scratch import hadoop_path, shared_dir
 
 #: Region of the row whose time closes the last block.
 SENTINEL = "__end__"
@@ -24,8 +24,12 @@ class Pause:
 
 
 def new_dir(spark: SparkSession, tag: str) -> str:
-    """A fresh folder in the session's shared place."""
-    return f"{shared_dir(spark)}/eventpulse/stream-{tag}-{uuid.uuid4().hex}"
+    """A fresh folder in the session's shared place; it goes when the driver ends."""
+    path = f"{shared_dir(spark)}/eventpulse/stream-{tag}-{uuid.uuid4().hex}"
+    p, fs = hadoop_path(spark, path)
+    fs.mkdirs(p)
+    fs.deleteOnExit(p)
+    return path
 
 
 def write_replay(df: DataFrame, path: str, files: int = 6, ts: str = "ts", sentinel: bool = True) -> int:
