@@ -8,13 +8,14 @@ from pyspark.sql.window import Window
 
 from eventpulse.functions.clean import SENTENCE_END, drop_stopwords, tokenize
 
-START = "2024-01-01 00:00:00"
+#: Microseconds of 2024-01-01, whatever the session's zone.
+START_US = 1_704_067_200_000_000
 #: Room for the sentences of a document in its posts' ids.
 IDS_PER_DOC = 10_000
 
 
 def _at(seconds: Column) -> Column:
-    return F.timestamp_micros((F.unix_micros(F.lit(START).cast("timestamp")) + seconds * 1_000_000).cast("long"))
+    return F.timestamp_micros((F.lit(START_US) + seconds * 1_000_000).cast("long"))
 
 
 def posts_from_documents(docs: DataFrame, seconds: int = 36, sentence: bool = True, region: str | None = None) -> DataFrame:
