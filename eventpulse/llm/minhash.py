@@ -325,7 +325,7 @@ def near_duplicates(df: DataFrame, text: str = "text", key: str = "doc_id", word
     discard(near)
     member = described.select("doc_id", "n_shingles", "set_key").join(classes, "set_key", "left")
     out = member.join(linked.select(F.col("node").alias("rep"), "component"), "rep", "left")
-    component = F.coalesce("component", "rep", "doc_id")
+    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "rep", "doc_id"))
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 

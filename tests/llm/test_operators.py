@@ -27,7 +27,7 @@ TEXTS = [None, "", " \n\t", "one", "one two three four", "one two three four fiv
 def odd_docs(spark):
     """Odd texts, with repeated rows, null ids and columns named as results are."""
     data = [(i, t, "en", None if i % 4 == 0 else f"s{i % 3}", 0, 0.5, -1, False, -1, -1) for i, t in enumerate(TEXTS)]
-    data += [data[5], data[5], (None, "no id here at all", "en", "s1", 0, 0.5, -1, False, -1, -1)]
+    data += [data[5], data[5], (None, "one two three four five", "en", "s1", 0, 0.5, -1, False, -1, -1)]
     return spark.createDataFrame(data, DOCS)
 
 
