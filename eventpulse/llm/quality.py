@@ -29,9 +29,10 @@ def statistics(df: DataFrame, text: str = "text") -> tuple[DataFrame, list[str]]
     """``df`` with a double column for each statistic of the text, and their names; ratios to nothing are 0."""
     t = F.coalesce(F.col(text), F.lit(""))
     df = df.withColumn("_w", F.filter(F.split(t, r"[\x20\x09-\x0D]+"), lambda x: x != "")).withColumn("_l", F.filter(F.split(t, r"\n"), lambda x: x != ""))
+    df = df.withColumn("_rest", F.regexp_replace(t, r"[a-zß-öø-ÿ\s]+", ""))  # what the character classes below count in: short
     chars, words, lines = F.length(t), F.size("_w"), F.size("_l")
     share = lambda a, b: F.coalesce(F.try_divide(a.cast("double"), b.cast("double")), F.lit(0.0))
-    without = lambda which: F.length(t) - F.length(F.translate(t, which, ""))
+    without = lambda which: F.length("_rest") - F.length(F.translate("_rest", which, ""))
     before, after = F.slice("_w", 1, F.greatest(words - 1, F.lit(0))), F.slice("_w", 2, F.greatest(words - 1, F.lit(0)))
     found = {
         "log_words": F.log1p(words.cast("double")),
@@ -49,7 +50,7 @@ def statistics(df: DataFrame, text: str = "text") -> tuple[DataFrame, list[str]]
         "bars": share(without("|/\\_=<>{}[]~"), chars),
         "symbols": share(without("#$%&*@+^"), chars),
     }
-    return df.withColumns(found).drop("_w", "_l"), list(found)
+    return df.withColumns(found).drop("_w", "_l", "_rest"), list(found)
 
 
 def _tree(x: np.ndarray, g: np.ndarray, h: np.ndarray, cuts: list[np.ndarray], depth: int, rows: np.ndarray, path: Rule, rules: set, out: np.ndarray) -> None:
