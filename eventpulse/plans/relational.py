@@ -126,6 +126,16 @@ def _(spark, d):
     return o.join(s.withColumn("bin", bin_(C("s"))), "bin").where("s between o and o + 10").groupBy("o_orderkey").agg(n())
 
 
+@query("J_11_range_join_whole", "select o_orderkey, sum(c)::bigint as n from orders join (select l_shipdate::date as day, count(*) as c from lineitem group by 1) on day between o_orderdate::date and o_orderdate::date + 10 group by 1")
+def _(spark, d):
+    """Every order against every line item, which are counted by ship date before the binned join."""
+    o = table(spark, d, "orders").select("o_orderkey", F.unix_date(C("o_orderdate").cast("date")).alias("o"))
+    s = table(spark, d, "lineitem").groupBy(F.unix_date(C("l_shipdate").cast("date")).alias("s")).agg(F.count("*").alias("c"))
+    bin_ = lambda c: F.floor(c / 10)
+    o = o.withColumn("bin", F.explode(F.sequence(bin_(C("o")), bin_(C("o") + 10))))
+    return o.join(s.withColumn("bin", bin_(C("s"))), "bin").where("s between o and o + 10").groupBy("o_orderkey").agg(S("c").alias("n"))
+
+
 @query("J_12_as_of", f"{EVT}, {sql.scores(W4)}, ev as (select * from sc where word like 'k%' and block_no % 7 = 0), p as (select block_no + 1 as at, word, tfidf from sc) select ev.block_no, ev.word, {sql.r9('p.tfidf')} as earlier from ev asof left join p on ev.word = p.word and ev.block_no >= p.at")
 def _(spark, d):
     """The last earlier score of a word, however long ago: one window over both sides, no inequality join."""
