@@ -145,6 +145,14 @@ def _(spark, d):
     return out.where("block_no % 7 = 0").select("block_no", "word", r9("earlier").alias("earlier"))
 
 
+@query("J_12_as_of_whole", f"{EVT}, {sql.scores(W4)}, p as (select block_no + 1 as at, word, tfidf from sc) select ev.block_no, ev.word, {sql.r9('p.tfidf')} as earlier from sc ev asof left join p on ev.word = p.word and ev.block_no >= p.at")
+def _(spark, d):
+    """The last earlier score of every score row."""
+    w = W.partitionBy("word").orderBy("block_no").rowsBetween(W.unboundedPreceding, -1)
+    out = bursts.score(event_tokens(spark, d), W4).withColumn("earlier", F.last("tfidf", ignorenulls=True).over(w))
+    return out.select("block_no", "word", r9("earlier").alias("earlier"))
+
+
 @query("J_13_interval_join", "select a.event_id as a, b.event_id as b from (select * from events where event_type = 'purchase') a join (select * from events where event_type = 'signup') b on a.user_id = b.user_id and epoch_us(b.ts) between epoch_us(a.ts) - 3600000000 and epoch_us(a.ts) + 3600000000")
 def _(spark, d):
     e = table(spark, d, "events").select("event_id", "user_id", "event_type", F.unix_micros("ts").alias("t"))

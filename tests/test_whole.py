@@ -6,7 +6,9 @@ from collections import Counter
 
 import pandas as pd
 
+from eventpulse.operators import bursts
 from eventpulse.plans import relational
+from eventpulse.plans.burst_queries import W4, event_tokens
 
 
 def test_range_join_takes_every_order_and_line_item(spark, small):
@@ -17,3 +19,13 @@ def test_range_join_takes_every_order_and_line_item(spark, small):
     want = {k: sum(shipped[t + i] for i in range(11)) for k, t in zip(o["o_orderkey"].tolist(), days(o["o_orderdate"]), strict=True)}
     assert got == {k: n for k, n in want.items() if n}
     assert any(k % 50 for k in got)
+
+
+def test_as_of_returns_every_score_row(spark, small):
+    got = {(r["word"], r["block_no"]): r["earlier"] for r in relational.QUERIES["J_12_as_of_whole"](spark, small).collect()}
+    want, last = {}, {}
+    for r in bursts.score(event_tokens(spark, small), W4).orderBy("block_no").collect():
+        want[r["word"], r["block_no"]] = last.get(r["word"])
+        last[r["word"]] = r["tfidf"]
+    assert set(got) == set(want) and any(b % 7 for _, b in got)
+    assert all((got[k] is None) == (v is None) and (v is None or abs(got[k] - v) < 1e-8) for k, v in want.items())
