@@ -10,7 +10,7 @@ from pyspark.sql.window import Window as W
 from eventpulse.plans.burst_queries import EVT, W4, event_tokens, md5, r9
 from eventpulse.plans import sql
 from eventpulse.operators import bursts
-from eventpulse.plans.scratch import shared_dir
+from eventpulse.plans.scratch import materialize, shared_dir
 from eventpulse.sources.tables import table
 
 QUERIES: dict = {}
@@ -226,6 +226,19 @@ simple("T_2_top_k", "orders", lambda o: o.orderBy(F.desc("o_totalprice"), "o_ord
 simple("T_3_top_k_per_group", "orders", lambda o: o.withColumn("r", F.row_number().over(W.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))).where("r <= 2").select("o_custkey", "o_orderkey"), "select o_custkey, o_orderkey from orders qualify row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) <= 2")
 simple("T_4_limit_offset", "customer", lambda c: c.orderBy("c_custkey").offset(20).limit(10).select("c_custkey"), "select c_custkey from customer order by c_custkey limit 10 offset 20")
 simple("T_5_null_order", "documents labels", lambda t, l: t.join(l, "doc_id", "left").orderBy(C("quality").asc_nulls_last(), "doc_id").limit(50).select("doc_id", "quality"), "select doc_id, quality from documents left join labels using (doc_id) order by quality asc nulls last, doc_id limit 50")
+
+
+@query("T_5_null_order_whole", "select doc_id, quality, row_number() over (order by quality asc nulls last, doc_id) as place from documents left join labels using (doc_id)")
+def _(spark, d):
+    """Every row with its place under the order: places within sorted partitions, then an offset for each partition."""
+    t = table(spark, d, "documents").select("doc_id").join(table(spark, d, "labels").select("doc_id", "quality"), "doc_id", "left")
+    t = materialize(t.orderBy(C("quality").asc_nulls_last(), "doc_id").withColumn("at", F.monotonically_increasing_id()), "null-order")
+    part, row = F.shiftright("at", 33), C("at").bitwiseAND(L((1 << 33) - 1))
+    size = t.groupBy(part.alias("part")).agg(n())
+    before = size.select("part", (F.coalesce(S("n").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)), L(0)) + 1).alias("first"))
+    return t.withColumn("part", part).join(F.broadcast(before), "part").select("doc_id", "quality", (C("first") + row).alias("place"))
+
+
 simple("T_6_range_partition", "events", lambda e: e.repartitionByRange(4, "event_id").sortWithinPartitions("event_id").groupBy(F.spark_partition_id().alias("p")).agg(F.min("event_id").alias("lo"), F.max("event_id").alias("hi"), n()), None)
 _a, _b = "select user_id from events where event_type = 'click'", "select user_id from events where event_type = 'purchase'"
 _sets = lambda f: lambda e: f(e.where("event_type = 'click'").select("user_id"), e.where("event_type = 'purchase'").select("user_id"))

@@ -29,3 +29,12 @@ def test_as_of_returns_every_score_row(spark, small):
         last[r["word"]] = r["tfidf"]
     assert set(got) == set(want) and any(b % 7 for _, b in got)
     assert all((got[k] is None) == (v is None) and (v is None or abs(got[k] - v) < 1e-8) for k, v in want.items())
+
+
+def test_null_order_places_every_row(spark, small):
+    got = sorted(relational.QUERIES["T_5_null_order_whole"](spark, small).collect(), key=lambda r: r["place"])
+    t = pd.read_parquet(f"{small}/documents.parquet")[["doc_id"]].merge(pd.read_parquet(f"{small}/labels.parquet"), on="doc_id", how="left")
+    want = [(k, None if q != q else int(q)) for k, q in zip(t["doc_id"].tolist(), t["quality"].tolist(), strict=True)]
+    want.sort(key=lambda x: (x[1] is None, x[1] or 0, x[0]))
+    assert [(r["doc_id"], r["quality"]) for r in got] == want and want[-1][1] is None
+    assert [r["place"] for r in got] == list(range(1, len(want) + 1))
