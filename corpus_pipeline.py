@@ -22,8 +22,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group: the one with the smallest id."""
-    return minhash.deduplicate(docs)
+    """One document of each near-duplicate group: the one with the smallest id. Linked are five-word shingle sets with a Jaccard similarity of 0.8 or more."""
+    return minhash.deduplicate(docs, percent=80)
 
 
 def mask_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
