@@ -101,17 +101,44 @@ CONTEXT = {
 AGAINST = ("version", "isbn", "order", "page", "section", "price", "total", "figure", "chapter", "build", "serial")
 
 _WIDE = re.compile(
-    r"(?P<secret>(?i:" + "|".join(map(re.escape, SECRET_WORDS)) + r")[\"']?[ \t]{0,3}[=:][ \t]{0,3}[\"']?(?P<value>[A-Za-z0-9_\-./+]{8,256}))"
-    r"|(?P<name>\b(?:" + "|".join(HONORIFICS) + r")\.? [A-Z][\w'-]{1,30}(?: [A-Z][\w'-]{1,30})?"
-    r"|\b(?i:my name is|name:) [A-Z][\w'-]{1,30}(?: [A-Z][\w'-]{1,30})?"
-    r"|\b(?:" + "|".join(GIVEN_NAMES) + r") [A-Z][\w'-]{1,30})"
-    r"|(?P<email_spelt>\b[A-Za-z0-9._%+-]{1,64} ?(?:\(at\)|\[at\]) ?[A-Za-z0-9-]{1,63}(?: ?(?:\(dot\)|\[dot\]|\.) ?[A-Za-z0-9-]{1,63}){1,4})"
-).finditer
+    r"(?P<secret>(?i:" + "|".join(map(re.escape, SECRET_WORDS)) + r")[\"']?[ \t]{0,3}[=:][ \t]{0,3}[\"']?(?P<value>[A-Za-z0-9_\-./+]{8,}+))"
+    r"|(?P<name>\b(?:" + "|".join(HONORIFICS) + r")\.? [A-Z][\w'-]++(?: [A-Z][\w'-]++)?"
+    r"|\b(?i:my name is|name:) [A-Z][\w'-]++(?: [A-Z][\w'-]++)?"
+    r"|\b(?:" + "|".join(GIVEN_NAMES) + r") [A-Z][\w'-]++)"
+).search
+_SPELT_AT = re.compile(r" ?(?:\(at\)|\[at\]) ?[A-Za-z0-9-]++(?: ?(?:\(dot\)|\[dot\]|\.) ?[A-Za-z0-9-]++)++").finditer
+_SPELT_FROM = re.compile(r"\b[A-Za-z0-9._%+-]").search
 _CAPITAL = re.compile(r"\b[A-Z]\w+").findall
 _NAMES = frozenset([*HONORIFICS, *GIVEN_NAMES])
 _SIGNS = (*SECRET_WORDS, "name", "(at)", "[at]")
 
 
+def _spelt(text: str, done: int) -> tuple[int, int] | None:
+    """The first address with a spelt-out sign from ``done``. What precedes the sign is read backwards from it."""
+    for m in _SPELT_AT(text, done):
+        at = lo = m.start()
+        while lo > done and text[lo - 1] in _LOCAL:
+            lo -= 1
+        first = _SPELT_FROM(text, lo, at)
+        if first:
+            return first.start(), m.end()
+    return None
+
+
+def _wider(text: str) -> Iterator[tuple[str, int, int]]:
+    """(kind, start, end): the leftmost secrets, names and spelt-out addresses that do not overlap."""
+    wide, spelt = _WIDE(text), _spelt(text, 0) if "(at)" in text or "[at]" in text else None
+    while wide or spelt:
+        if wide and not (spelt and spelt[0] < wide.start()):
+            done = wide.end()
+            yield ("secret", *wide.span("value")) if wide["secret"] else ("name", *wide.span())
+        else:
+            done = spelt[1]
+            yield "email_spelt", *spelt
+        wide = _WIDE(text, done) if wide and wide.start() < done else wide
+        spelt = _spelt(text, done) if spelt and spelt[0] < done else spelt
+
+
 def _wide_possible(text: str) -> bool:
     """Whether the text holds a word that every match of the wide patterns contains."""
     low = text.lower()
@@ -133,9 +160,7 @@ def candidates(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, i
         more += [("phone_local", m.start(), m.end(), True) for m in _LOCAL_PHONE(text)] if "-" in text or "." in text else []
         more += [("iban", m.start(), m.end(), True) for m in _IBAN(text)]
     if _wide_possible(text):
-        for m in _WIDE(text):
-            a, z = m.span("value") if m.lastgroup == "value" or m.group("secret") else m.span()
-            more.append(("secret" if m.group("secret") else "name" if m.group("name") else "email_spelt", a, z, True))
+        more += [(*m, True) for m in _wider(text)]
     taken = sorted((a, z) for _, a, z in base)
     free = []
     for kind, a, z, ok in sorted(more, key=lambda m: (m[1], KINDS.index(m[0]))):
