@@ -128,13 +128,58 @@ def test_bpe_rows(spark):
     assert bpe.digests(nothing(spark), BYTE).count() == 0
 
 
-def test_token_counts_equal_library(noise):
-    lib = token_counts._tokenizer(WORD)
-    want = [len(e) for e in lib.encode_batch(noise, add_special_tokens=False)]
-    words = token_counts.WordCounts(lib)
-    assert words.counts(noise) == want
-    for chunk, overlap in ((7, 3), (40, 10), (200, 20)):
-        assert [token_counts.count_long(words, t, chunk, overlap) for t in noise if len(t) < 50_000] == [n for t, n in zip(noise, want, strict=True) if len(t) < 50_000]
+PIECE = public_tokenizers.path("piece_bpe_32k.model")
+
+
+def library_counts(path, texts):
+    if path == PIECE:
+        import sentencepiece
+
+        return [len(ids) for ids in sentencepiece.SentencePieceProcessor(model_file=path).encode(texts)]
+    return [len(e) for e in Tokenizer.from_file(path).encode_batch(texts, add_special_tokens=False)]
+
+
+@pytest.mark.parametrize("path", [WORD, BYTE, PIECE])
+def test_token_counts_equal_library(noise, path):
+    enc = token_counts.encoder(path)
+    assert enc.proven and isinstance(enc, token_counts.WordEncoder) == (path == WORD)
+    rnd = random.Random(6)
+    texts = [t for t in noise if len(t) < 50_000] + [" ".join("".join(rnd.choice("abeé日x.1Σ'") for _ in range(rnd.randint(1, 9))) for _ in range(400)) for _ in range(20)]
+    want = library_counts(path, texts)
+    assert [c.n for c in token_counts.count_texts(enc, texts)] == want
+    for chunk, overlap, agree in ((7, 3, 1), (40, 10, 2), (200, 30, 4)):
+        found = [token_counts.count_long(enc, t, chunk, overlap, agree) for t in texts]
+        assert [c.n for c in found] == want
+        assert sum(c.widened for c in found) > 0 and sum(c.splices for c in found) > 0
+
+
+@pytest.mark.parametrize("path", [WORD, BYTE, PIECE])
+def test_token_counts_widen_where_the_first_overlap_fails(path):
+    enc = token_counts.encoder(path)
+    text = "plain words, and a run: " * 200 + "ab1" * 1500 + " then words again;  two blanks" * 300
+    got = token_counts.count_long(enc, text, 2000, 64)
+    assert [got.n] == library_counts(path, [text]) and got.widened > 0 and got.splices > 0
+
+
+def test_token_offsets_equal_library(noise):
+    enc, lib = token_counts.encoder(WORD), Tokenizer.from_file(WORD)
+    for t, e in zip(noise, enc.encode(noise), strict=True):
+        want = lib.encode(t, add_special_tokens=False)
+        assert e.ids.tolist() == want.ids
+        if t.isascii():
+            assert e.starts.tolist() == [a for a, _ in want.offsets]
+
+
+def test_unproven_tokenizers_are_never_spliced():
+    import json
+
+    with open(WORD, encoding="utf-8") as f:
+        spec = json.load(f)
+    assert token_counts.blank_rule(spec) == "dropped"
+    assert token_counts.blank_rule(spec | {"pre_tokenizer": {"type": "Whitespace"}}) is None
+    assert token_counts.blank_rule(spec | {"added_tokens": [spec["added_tokens"][0] | {"content": "a b"}]}) is None
+    enc = token_counts.LibraryEncoder(Tokenizer.from_file(BYTE), False)
+    assert token_counts.count_long(enc, LONG[:20_000], 2000, 64) == (*library_counts(BYTE, [LONG[:20_000]]), 0, 4)
 
 
 def test_token_count_rows(spark):
