@@ -151,7 +151,8 @@ _IBAN = re.compile(r"\b[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})
 
 
 def candidates(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int, bool]]]:
-    """The base spans, and further candidates (kind, start, end, shape holds) outside them."""
+    """The base spans, and further candidates (kind, start, end, shape holds) outside them and each other, leftmost
+    first. One sweep over both, sorted by start."""
     matches = base_matches(text)
     base = [(k, a, z) for k, a, z, ok in matches if ok]
     more = [m for m in matches if not m[3]]
@@ -161,12 +162,19 @@ def candidates(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, i
         more += [("iban", m.start(), m.end(), True) for m in _IBAN(text)]
     if _wide_possible(text):
         more += [(*m, True) for m in _wider(text)]
-    taken = sorted((a, z) for _, a, z in base)
-    free = []
-    for kind, a, z, ok in sorted(more, key=lambda m: (m[1], KINDS.index(m[0]))):
-        if not any(a < y and x < z for x, y in taken):
-            free.append((kind, a, z, ok))
-            taken.append((a, z))
+    taken: list[list[int]] = []  # the base spans' union, as spans that do not touch
+    for _, x, y in sorted(base, key=lambda m: m[1]):
+        if taken and x < taken[-1][1]:
+            taken[-1][1] = max(taken[-1][1], y)
+        else:
+            taken.append([x, y])
+    free, done, i = [], 0, 0
+    for kind, x, y, ok in sorted(more, key=lambda m: (m[1], KINDS.index(m[0]))):
+        while i < len(taken) and taken[i][1] <= x:
+            i += 1
+        if x >= done and not (i < len(taken) and taken[i][0] < y):
+            free.append((kind, x, y, ok))
+            done = y
     return base, free
 
 
@@ -339,7 +347,8 @@ def masked(text: str, spans: list[tuple[str, int, int]]) -> str:
 
 
 def redact(df: DataFrame, model: dict | None = None, text: str = "text", length: str = "n_chars") -> DataFrame:
-    """``df`` with all spans masked. Null texts stay null; ``length``, if a column, follows the text."""
+    """``df`` with all spans masked. Null texts stay null; ``length``, if a column, follows the text. Repeated rows
+    give repeated results, an empty table an empty one."""
     model = model or fit(df, text)
     names = df.columns
 

@@ -6,6 +6,7 @@ import hashlib
 import itertools
 import random
 import re
+import time
 import zlib
 
 import numpy as np
@@ -85,6 +86,25 @@ def test_pii_linear_on_long_runs():
         pii.find(t, model)
 
 
+def test_pii_sweep_over_many_spans_is_linear():
+    text = "a@b.cd 999.1.1.1 " * 240_000  # 4 MB: every second span is taken, the others fail
+    began = time.perf_counter()
+    base, free = pii.candidates(text)
+    assert time.perf_counter() - began < 10 and len(base) == len(free) == 240_000
+
+
+def test_pii_candidates_are_apart():
+    rnd = random.Random(12)
+    parts = ["a@b.cd", "999.1.1.1", "10.1.2.3", "+1 (555) 010-9999", "555-010-9999", "078-05-1120", "token=", "abcdef123456", "Mr. ", "Anna ", "Smith", " ", "GB29 NWBK 6016 1331 9268 19", "jo (at) x (dot) org", "4111 1111 1111 1111"]
+    for _ in range(3000):
+        t = "".join(rnd.choice(parts) for _ in range(rnd.randint(1, 14)))
+        base, free = pii.candidates(t)
+        kept = []
+        for kind, a, z, _ in free:
+            assert not any(a < y and x < z for _, x, y in [*base, *kept])
+            kept.append((kind, a, z))
+
+
 def test_pii_redaction_keeps_columns(spark):
     df = odd_docs(spark)
     out = pii.redact(df)
