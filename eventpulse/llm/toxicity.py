@@ -7,8 +7,9 @@ of words, a weight for unknown words, transitions) by gradient ascent on the lik
 token a probability; a logistic model of their largest value, their sum and their density
 gives the document's score, and runs of likely tokens give the offending offsets.
 
-Chains are cut every ``WINDOW`` tokens so that a batch of texts is one array; all tokens of all
-texts are in a window.
+A chain is a whole text. For speed the tokens of a batch of texts lie in rows of ``WINDOW``, and what a row passes on to
+its neighbours of the same text comes from the products of the rows' transfer matrices, so that the
+marginals are those of the uncut chain.
 """
 
 from __future__ import annotations
@@ -22,24 +23,32 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from eventpulse.llm.arrow import map_batches, slices, text_of
 from eventpulse.llm.crc import held_out, sample
 
 WINDOW = 64
-#: Labelled documents of each class that are learnt from.
-MOST_DOCS = 2000
-#: Words kept as features; all others share one weight.
-MOST_WORDS = 20_000
+#: Labelled documents of each class that are learnt from, and their characters.
+MOST_DOCS, MOST_CHARS = 2000, 16_000_000
+#: Documents of the sample that a word must occur in to have a weight of its own; all others share one.
+LEAST_DOCS = 2
+#: Distinct witnesses of a toxic word.
+WITNESSES = 5
 _WORD = re.compile(r"[^\W\d_]+")
 PAD = -1
 
 
+def lowered(text: str) -> str:
+    """The text in lower case, character by character, so that offsets stay."""
+    low = text.lower()
+    return low if len(low) == len(text) else "".join(c.lower() if len(c.lower()) == 1 else c for c in text)
+
+
 def tokens(text: str) -> list[str]:
     """Lower-cased runs of letters."""
-    return _WORD.findall(text.lower())
+    return _WORD.findall(lowered(text))
 
 
 #: Lengths of the word beginnings that are features beside whole words.
@@ -51,22 +60,21 @@ def stems(word: str) -> list[str]:
     return [word[:k] + "*" for k in STEMS if k < len(word)]
 
 
-def toxic_words(docs: list[list[str]], y: np.ndarray, least: float = 20.0, coverage: float = 0.02) -> dict[str, float]:
+def toxic_words(docs: list[list[str]], y: np.ndarray, least: float = 20.0, witnesses: int = WITNESSES) -> dict[str, float]:
     """Words and beginnings of words that toxic documents have significantly more often than others, with
     their log-likelihood ratios.
 
     A document is a witness under the smallest hash of its long words (or the hash of all); near copies mostly share it
-    and count once. Needed are five witnesses, a share ``coverage`` of the toxic documents, a ratio over
+    and count once. Needed are ``witnesses`` of them, whatever the number of toxic documents, a ratio over
     e squared and a log-likelihood ratio over ``least``.
     """
     n1 = int(y.sum())
-    least_docs = max(5, coverage * n1)
     own = [set(words) for words in docs]
     common: Counter = Counter()
     for words, label in zip(own, y, strict=True):
         if label:
             common.update(words.union(*map(stems, words)))
-    possible = {f for f, c in common.items() if c >= least_docs}
+    possible = {f for f, c in common.items() if c >= witnesses}
     del common
     places: tuple[dict, dict] = ({}, {})
     for words, label in zip(own, y, strict=True):
@@ -79,7 +87,7 @@ def toxic_words(docs: list[list[str]], y: np.ndarray, least: float = 20.0, cover
     part = lambda k, n, share: k * math.log(k / n / share) if k else 0.0
     for f, seen in places[1].items():
         a, b = min(len(seen), n1), min(len(places[0].get(f, ())), n0)
-        if a >= least_docs and math.log((a + 0.5) / (n1 + 1)) - math.log((b + 0.5) / (n0 + 1)) > 2:
+        if a >= witnesses and math.log((a + 0.5) / (n1 + 1)) - math.log((b + 0.5) / (n0 + 1)) > 2:
             share = (a + b) / (n1 + n0)
             ratio = 2 * (part(a, n1, share) + part(b, n0, share) + part(n1 - a, n1, 1 - share) + part(n0 - b, n0, 1 - share))
             if ratio > least:
@@ -113,95 +121,112 @@ def _features(lexicon: dict[str, float], place: dict[str, int]) -> Features:
     return out
 
 
-def windows(ids: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(chains, WINDOW) word ids filled up with PAD, and the place of each token in that array."""
-    n = np.diff(first)
-    rows = -(-n // WINDOW)
-    row0 = np.concatenate([[0], np.cumsum(rows)[:-1]])
-    place = np.arange(len(ids)) - np.repeat(first[:-1], n) + np.repeat(row0, n) * WINDOW
-    out = np.full(int(rows.sum()) * WINDOW, PAD, dtype=np.int32)
-    out[place] = ids
-    return out.reshape(-1, WINDOW), place
-
-
-def forward_backward(unary: np.ndarray, real: np.ndarray, trans: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(marginal of state 1, pair marginals summed by (state, next), log partition of each chain).
+class Chains:
+    """The tokens of texts, a chain for each text, laid out in rows of ``window`` places.
 
-    unary: score of state 1 against state 0, by chain and place; trans: 2 x 2 scores.
-    Places that are not real follow a chain's tokens and are passed over.
+    Ratios stand for the two-state messages: r = forward(1) / forward(0), s = backward(1) / backward(0).
     """
-    chains, length = unary.shape
-    grow = np.exp(trans)
-    e1 = np.exp(np.clip(unary, -30, 30))
-    alpha = np.empty((length, chains, 2))
-    scale = np.ones((length, chains))
-    a = np.stack([np.ones(chains), e1[:, 0]], axis=1)
-    for t in range(length):
-        if t:
-            nxt = a @ grow
-            nxt[:, 1] *= e1[:, t]
-            a = np.where(real[:, t, None], nxt, a)
-        scale[t] = a.sum(axis=1)
-        a = a / scale[t][:, None]
-        alpha[t] = a
-    beta = np.ones((chains, 2))
-    marginal = np.zeros((chains, length))
-    pairs = np.zeros((2, 2))
-    for t in range(length - 1, -1, -1):
-        m = alpha[t] * beta
-        marginal[:, t] = m[:, 1] / m.sum(axis=1)
-        if t:
-            back = np.stack([beta[:, 0], beta[:, 1] * e1[:, t]], axis=1)
-            live = real[:, t]
-            joint = alpha[t - 1][:, :, None] * grow[None] * back[:, None, :]
-            joint /= joint.sum(axis=(1, 2), keepdims=True)
-            pairs += joint[live].sum(axis=0)
-            beta = np.where(live[:, None], back @ grow.T, beta)
-            beta = beta / beta.sum(axis=1, keepdims=True)
-    return np.where(real, marginal, 0.0), pairs, np.log(scale).sum(axis=0)
-
-
-def marginals(ids: np.ndarray, first: np.ndarray, weights: np.ndarray, trans: np.ndarray) -> np.ndarray:
-    """Probability that each token is toxic."""
-    if not len(ids):
-        return np.zeros(0)
-    out = np.empty(len(ids))
-    w, place = windows(ids, first)
-    real = w != PAD
-    flat = np.empty(w.size)
-    for lo in range(0, len(w), 8192):
-        part = slice(lo, lo + 8192)
-        m, _, _ = forward_backward(np.where(real[part], weights[w[part]], 0.0), real[part], trans)
-        flat[lo * WINDOW : lo * WINDOW + m.size] = m.ravel()
-    out[:] = flat[place]
-    return out
+
+    def __init__(self, ids: np.ndarray, first: np.ndarray, window: int = WINDOW):
+        n = np.diff(first)
+        self.rows = -(-n // window)
+        self.row0 = np.cumsum(self.rows) - self.rows
+        self.place = np.arange(len(ids)) - np.repeat(first[:-1], n) + np.repeat(self.row0, n) * window
+        flat = np.full(int(self.rows.sum()) * window, PAD, dtype=np.int32)
+        flat[self.place] = ids
+        self.words = flat.reshape(-1, window)
+        self.opens = np.zeros(len(self.words), dtype=bool)
+        self.opens[self.row0[self.rows > 0]] = True
+        self.parts = [slice(lo, lo + 4096) for lo in range(0, len(self.words), 4096)]
+
+    def _inputs(self, part: slice, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(exp of the unary scores, whether a place holds a token), by place and row."""
+        w = np.ascontiguousarray(self.words[part].T)
+        real = w != PAD
+        return np.where(real, np.exp(np.clip(weights, -30, 30))[w], 1.0), real
+
+    def _products(self, part: slice, weights: np.ndarray, g: np.ndarray) -> np.ndarray:
+        """(4, rows) products of a row's transfer matrices up to a factor: from the state before it to its last state."""
+        e, real = self._inputs(part, weights)
+        opens = self.opens[part]
+        p00, p01 = np.where(opens, 1.0, g[0, 0]), np.where(opens, 1.0, g[0, 1]) * e[0]
+        p10, p11 = np.where(opens, 1.0, g[1, 0]), np.where(opens, 1.0, g[1, 1]) * e[0]
+        for t in range(1, len(e)):
+            q00, q01 = p00 * g[0, 0] + p01 * g[1, 0], (p00 * g[0, 1] + p01 * g[1, 1]) * e[t]
+            q10, q11 = p10 * g[0, 0] + p11 * g[1, 0], (p10 * g[0, 1] + p11 * g[1, 1]) * e[t]
+            scale = real[t] / (q00 + q01 + q10 + q11)
+            for p, q in ((p00, q00), (p01, q01), (p10, q10), (p11, q11)):
+                np.multiply(q, scale, out=p, where=real[t])
+        return np.stack([p00, p01, p10, p11])
+
+    def _carried(self, weights: np.ndarray, g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """For each row: r of the token before it, and s of its last token."""
+        r, s = np.ones(len(self.words)), np.ones(len(self.words))
+        order = np.argsort(-self.rows, kind="stable")
+        rows, row0 = self.rows[order], self.row0[order]
+        if not len(rows) or rows[0] < 2:
+            return r, s
+        m = np.concatenate([self._products(p, weights, g) for p in self.parts], axis=1)
+        active = np.searchsorted(-rows, -np.arange(int(rows[0]) + 1), side="left")  # texts with more than k rows
+        for k in range(1, int(rows[0])):
+            at = row0[: active[k]] + k
+            m00, m01, m10, m11 = m[:, at - 1]
+            r[at] = (m01 + m11 * r[at - 1]) / (m00 + m10 * r[at - 1])
+        for k in range(int(rows[0]) - 1, 0, -1):
+            at = row0[: active[k]] + k
+            m00, m01, m10, m11 = m[:, at]
+            s[at - 1] = (m10 + m11 * s[at]) / (m00 + m01 * s[at])
+        return r, s
+
+    def marginals(self, weights: np.ndarray, trans: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(probability of state 1 of each token, pair marginals summed by (state, next))."""
+        g = np.exp(trans)
+        before, after = self._carried(weights, g)
+        out, pairs = np.zeros(self.words.shape), np.zeros((2, 2))
+        for part in self.parts:
+            e, real = self._inputs(part, weights)
+            opens, r = self.opens[part], np.empty((len(e) + 1, e.shape[1]))
+            r[0] = before[part]
+            for t in range(len(e)):
+                r[t + 1] = e[t] * (g[0, 1] + g[1, 1] * r[t]) / (g[0, 0] + g[1, 0] * r[t])
+                if t == 0:
+                    np.copyto(r[1], e[0], where=opens)
+            s, at_s = after[part].copy(), np.empty(e.shape)
+            for t in range(len(e) - 1, -1, -1):
+                at_s[t] = s
+                x = e[t] * s
+                np.copyto(s, (g[1, 0] + g[1, 1] * x) / (g[0, 0] + g[0, 1] * x), where=real[t])
+            joint = r[1:] * at_s
+            out[part] = (joint / (1 + joint)).T
+            linked = real.copy()
+            linked[0] &= ~opens
+            x, y = (e * at_s)[linked], r[:-1][linked]
+            j01, j10, j11 = g[0, 1] * x, g[1, 0] * y, g[1, 1] * x * y
+            total = g[0, 0] + j01 + j10 + j11
+            pairs += [[(g[0, 0] / total).sum(), (j01 / total).sum()], [(j10 / total).sum(), (j11 / total).sum()]]
+        return out.reshape(-1)[self.place], pairs
+
+
+def marginals(ids: np.ndarray, first: np.ndarray, weights: np.ndarray, trans: np.ndarray, window: int = WINDOW) -> np.ndarray:
+    """Probability that each token is toxic, in the chain of its whole text."""
+    return Chains(ids, first, window).marginals(weights, trans)[0] if len(ids) else np.zeros(0)
 
 
 def fit_chain(ids: np.ndarray, first: np.ndarray, y: np.ndarray, words: int, steps: int = 40, ridge: float = 1e-4) -> tuple[np.ndarray, np.ndarray]:
     """Word weights and transitions that make the token labels likely (all chains in each step, adaptive steps)."""
-    w, place = windows(ids, first)
-    yy = np.zeros(w.size, dtype=bool)
-    yy[place] = y > 0
-    yy = yy.reshape(w.shape)
-    parts = [slice(lo, lo + 2048) for lo in range(0, len(w), 2048)]
-    seen = np.zeros((2, 2))
-    for p in parts:
-        both = (w[p, 1:] != PAD) & (w[p, :-1] != PAD)
-        now, then = yy[p, 1:][both], yy[p, :-1][both]
-        seen += np.bincount(2 * then + now, minlength=4).reshape(2, 2)
+    chains, yy = Chains(ids, first), (y > 0).astype(np.int64)
+    inside = np.ones(len(ids), dtype=bool)
+    inside[first[:-1][np.diff(first) > 0]] = False
+    then, now = yy[np.flatnonzero(inside) - 1], yy[inside]
+    seen = np.bincount(2 * then + now, minlength=4).reshape(2, 2)
     n = np.maximum(np.bincount(ids, minlength=words), 1).astype(float)
     hits = np.bincount(ids, weights=y, minlength=words)
     weights = np.log((hits + 0.01) / (n - hits + 1.0))
     trans = np.zeros((2, 2))
     gw, gt = np.zeros(words), np.zeros((2, 2))
     for _ in range(steps):
-        likely, pairs = np.zeros(words), np.zeros((2, 2))
-        for p in parts:
-            real = w[p] != PAD
-            m, some, _ = forward_backward(np.where(real, weights[w[p]], 0.0), real, trans)
-            likely += np.bincount(w[p][real], weights=m[real], minlength=words)
-            pairs += some
-        dw = (hits - likely) / n - ridge * weights
+        m, pairs = chains.marginals(weights, trans)
+        dw = (hits - np.bincount(ids, weights=m, minlength=words)) / n - ridge * weights
         dt = (seen - pairs) / max(seen.sum(), 1) - ridge * trans
         gw, gt = 0.9 * gw + 0.1 * dw * dw, 0.9 * gt + 0.1 * dt * dt
         weights = weights + 0.1 * dw / (np.sqrt(gw) + 1e-6)
@@ -238,7 +263,7 @@ class Tagger:
         label = np.array(y, dtype=int)
         lexicon = toxic_words(docs, label) if 0 < label.sum() < len(label) else {}
         seen = Counter(w for words in docs for w in set(words))
-        self.known = Features(lexicon, sorted((w for w in seen if w not in lexicon), key=lambda w: (-seen[w], w))[:MOST_WORDS])
+        self.known = Features(lexicon, sorted(w for w, c in seen.items() if c >= LEAST_DOCS and w not in lexicon))
         ids, first = self.ids(docs)
         del docs
         toxic = np.zeros(len(self.known.place) + 1)
@@ -258,78 +283,98 @@ class Tagger:
         flat = np.fromiter((i for d in docs for i in map(self.known.__getitem__, d)), dtype=np.int64, count=int(first[-1]))
         return flat, first
 
+    def judge(self, texts: list[str], least: float = 0.5) -> tuple[np.ndarray, list[list[tuple[int, int]]]]:
+        """The probability that each text is toxic, and its runs of tokens whose marginal reaches ``least``, as offsets."""
+        ids, first = self.ids([tokens(t) for t in texts])
+        prob = marginals(ids, first, self.weights, self.trans)
+        x = _summaries(prob, first)
+        score = 1 / (1 + np.exp(-np.clip(x @ self.document, -30, 30)))
+        return score, [_runs(t, prob[a:z], least) if top >= least else [] for t, a, z, top in zip(texts, first[:-1], first[1:], x[:, 1], strict=True)]
+
     def score(self, texts: list[str]) -> np.ndarray:
         """The probability that each text is toxic."""
-        ids, first = self.ids([tokens(t) for t in texts])
-        x = _summaries(marginals(ids, first, self.weights, self.trans), first)
-        return 1 / (1 + np.exp(-np.clip(x @ self.document, -30, 30)))
+        return self.judge(texts)[0]
 
     def spans(self, text: str, least: float = 0.5) -> list[tuple[int, int]]:
         """Offsets of runs of tokens whose marginal reaches ``least`` (code points, end exclusive)."""
-        low = text.lower()
-        if len(low) != len(text):  # a few characters change length; their case is kept
-            low = "".join(c.lower() if len(c.lower()) == 1 else c for c in text)
-        found = [(m.start(), m.end(), m.group()) for m in _WORD.finditer(low)]
-        ids, first = self.ids([[w for *_, w in found]])
-        out: list[tuple[int, int]] = []
-        before = False
-        for (a, z, _), p in zip(found, marginals(ids, first, self.weights, self.trans), strict=True):
-            if p >= least:
-                out[len(out) - before :] = [(out[-1][0], z)] if before else [(a, z)]
-            before = p >= least
-        return out
-
-
-def fit(docs: DataFrame, labels: DataFrame, text: str = "text", target: str = "toxic", most: int = MOST_DOCS) -> Tagger:
-    """Fit on at most ``most`` labelled documents of each class outside the held-out fold."""
-    rows = sample(text_of(docs, "doc_id", text=text), labels, target, most).select("doc_id", "text", "y").toArrow()
-    order = np.argsort(rows.column("doc_id").to_numpy(), kind="stable")
-    rows = rows.take(order)
+        return self.judge([text], least)[1][0]
+
+
+def _runs(text: str, prob: np.ndarray, least: float) -> list[tuple[int, int]]:
+    """(first, last) offsets of runs of tokens that are ``least`` likely."""
+    out: list[tuple[int, int]] = []
+    before = False
+    for m, p in zip(_WORD.finditer(lowered(text)), prob.tolist(), strict=True):
+        if p >= least:
+            out[len(out) - before :] = [(out[-1][0], m.end())] if before else [m.span()]
+        before = p >= least
+    return out
+
+
+def fit(docs: DataFrame, labels: DataFrame, text: str = "text", target: str = "toxic", most: int = MOST_DOCS, chars: int = MOST_CHARS) -> Tagger:
+    """Fit on at most ``most`` labelled documents of each class outside the held-out fold, in an order by hash, of which
+    whole texts are taken as long as a class holds at most ``chars`` characters, or its first text."""
+    found = sample(text_of(docs, "doc_id", text=text), labels, target, most).select("doc_id", "text", "y")
+    order = Window.partitionBy("y").orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, 0)
+    found = found.withColumn("_sum", F.sum(F.length("text")).over(order)).where((F.col("_sum") <= chars) | (F.col("_sum") == F.length("text"))).drop("_sum")
+    rows = found.toArrow()
+    rows = rows.take(np.argsort(rows.column("doc_id").to_numpy(), kind="stable"))
     return Tagger(rows.column("text").to_pylist(), rows.column("y").to_pylist())
 
 
-def score(docs: DataFrame, tagger: Tagger, text: str = "text") -> DataFrame:
-    """(doc_id, score) of each row; null texts count as empty, whose score is the model's for no token."""
-    shared = docs.sparkSession.sparkContext.broadcast(tagger)  # MOST_WORDS words and weights at most, besides the lexicon
+#: Characters of text whose chains are in memory at once.
+AT_ONCE = 2_000_000
+
+
+def score(docs: DataFrame, tagger: Tagger, text: str = "text", least: float = 0.5) -> DataFrame:
+    """(doc_id, score, spans) of each row; spans are ``first:last`` offsets of toxic runs of tokens, comma-joined. Null texts
+    count as empty, whose score is the model's for no token; repeated rows give repeated results, an empty table an empty one."""
+    shared = docs.sparkSession.sparkContext.broadcast(tagger)  # weights of the words of MOST_CHARS characters at most
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for b in slices(whole, "text", 2_000_000):
-                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(shared.value.score(b.column("text").to_pylist()), pa.float64())], ["doc_id", "score"])
+            for b in slices(whole, "text", AT_ONCE):
+                found, runs = shared.value.judge(b.column("text").to_pylist(), least)
+                joined = [",".join(f"{a}:{z}" for a, z in r) for r in runs]
+                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(found, pa.float64()), pa.array(joined, pa.string())], ["doc_id", "score", "spans"])
 
-    return map_batches(text_of(docs, "doc_id", text=text), run, "doc_id long, score double")
+    return map_batches(text_of(docs, "doc_id", text=text), run, "doc_id long, score double, spans string")
 
 
 def spans(docs: DataFrame, tagger: Tagger, text: str = "text", least: float = 0.5) -> DataFrame:
-    """(doc_id, first, last, span) of each toxic run of tokens."""
+    """(doc_id, first, last, span) of each toxic run of tokens: no row for null, empty and clean texts or an empty table."""
     shared = docs.sparkSession.sparkContext.broadcast(tagger)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            rows = [(k, a, z, t[a:z]) for k, t in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True) for a, z in shared.value.spans(t, least)]
-            cols = list(zip(*rows, strict=True)) or [[]] * 4
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, [pa.int64(), pa.int64(), pa.int64(), pa.string()], strict=True)], ["doc_id", "first", "last", "span"])
+        for whole in batches:
+            for b in slices(whole, "text", AT_ONCE):
+                texts = b.column("text").to_pylist()
+                rows = [(k, a, z, t[a:z]) for k, t, r in zip(b.column("doc_id").to_pylist(), texts, shared.value.judge(texts, least)[1], strict=True) for a, z in r]
+                cols = list(zip(*rows, strict=True)) or [[]] * 4
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, [pa.int64(), pa.int64(), pa.int64(), pa.string()], strict=True)], ["doc_id", "first", "last", "span"])
 
     return map_batches(text_of(docs, "doc_id", text=text), run, "doc_id long, first long, last long, span string")
 
 
 def classify(docs: DataFrame, labels: DataFrame, text: str = "text", target: str = "toxic", cut: float = 0.5) -> DataFrame:
-    """(doc_id, held_out, score, predicted) of each row of ``docs``. A null doc_id is not held out.
+    """(doc_id, held_out, score, predicted, spans) of each row of ``docs``; spans are the offending offsets. A null doc_id
+    is not held out.
 
     Without labels of both classes the score is that of an unfitted model. An empty table gives an
     empty table; repeated rows give repeated results.
     """
     out = score(docs, fit(docs, labels, text, target), text)
-    return out.select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), "score", (F.col("score") >= cut).cast("int").alias("predicted"))
+    return out.select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), "score", (F.col("score") >= cut).cast("int").alias("predicted"), "spans")
 
 
 def keep_clean(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "doc_id", cut: float = 0.5) -> DataFrame:
-    """The rows of ``docs`` whose text the model does not call toxic, scored in place: no join, no shuffle."""
+    """The rows of ``docs`` whose text the model does not call toxic, scored in place: no join, no shuffle. Null texts are
+    judged as empty ones; repeated rows stay or go together; an empty table stays empty."""
     shared = docs.sparkSession.sparkContext.broadcast(fit(docs.withColumnRenamed(key, "doc_id"), labels, text))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for b in slices(whole, text, 2_000_000):
+            for b in slices(whole, text, AT_ONCE):
                 yield b.filter(pa.array(shared.value.score([t or "" for t in b.column(text).to_pylist()]) < cut))
 
     return map_batches(docs, run, docs.schema)
