@@ -255,14 +255,79 @@ def test_embeddings_against_brute_force(spark):
     assert embed_dedup.near_duplicates(df.limit(0)).count() == 0
 
 
+def brute_links(x):
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    return (u @ u.T >= 0.9).sum(axis=1) - 1
+
+
+def test_embeddings_of_several_lengths(spark):
+    rng = np.random.default_rng(3)
+    rows = [(0, [2.0]), (1, [3.0]), (2, [-1.0]), (3, [1.0, 2.0, 3.0]), (4, [1.0, 2.0, 3.0]), (5, [2.0, 4.0, 6.1]), (6, []), (7, [0.0]), (8, [1.0, 0.0])]
+    parts, at = [rows], 100
+    for d in (8, 24):  # longer than one block: codebooks of their own
+        base = rng.standard_normal((1400, d))
+        x = np.concatenate([base, base[:200] + 0.05 * rng.standard_normal((200, d))])
+        parts.append([(at + i, v.tolist()) for i, v in enumerate(x)])
+        at += len(x)
+    df = spark.createDataFrame([r for p in parts for r in p], "vec_id long, embedding array<double>")
+    got = {r["vec_id"]: r for r in embed_dedup.near_duplicates(df).collect()}
+    assert [got[i]["n_links"] for i in range(9)] == [1, 1, 0, 2, 2, 2, 0, 0, 0]
+    assert [got[i]["component_id"] for i in range(9)] == [0, 0, 2, 3, 3, 3, 6, 7, 8]
+    for p in parts[1:]:
+        want, own = brute_links(np.array([v for _, v in p])), np.array([got[i]["n_links"] for i, _ in p])
+        assert (own <= want).all() and own.sum() >= 0.97 * want.sum() > 0
+
+
+def test_embeddings_recall_on_a_table_and_at_the_threshold(spark):
+    df = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
+    rows = df.select("vec_id", "embedding").toPandas()
+    x = np.array(rows["embedding"].tolist(), dtype=np.float64)
+    got = dict(embed_dedup.near_duplicates(df).select("vec_id", "n_links").toPandas().to_numpy().tolist())
+    assert sum(got.values()) >= 0.98 * brute_links(x).sum()
+    u = embed_dedup.unit(x)[:1500]
+    away = np.random.default_rng(4).standard_normal(u.shape)
+    away -= (away * u).sum(axis=1, keepdims=True) * u
+    edge = 0.9001 * u + np.sqrt(1 - 0.9001**2) * away / np.linalg.norm(away, axis=1, keepdims=True)
+    pairs = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(np.concatenate([u, edge]))], "vec_id long, embedding array<double>")
+    found = embed_dedup.near_duplicates(pairs).toPandas()
+    want = brute_links(np.concatenate([u, edge]))
+    assert found["n_links"].sum() >= 0.95 * want.sum()
+
+
+def test_a_vec_id_with_two_vectors_is_one_node(spark):
+    rows = [(1, [1.0, 0.0]), (1, [0.0, 1.0]), (2, [1.0, 0.1]), (3, [0.1, 1.0]), (4, [-1.0, -1.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = sorted(map(tuple, embed_dedup.near_duplicates(df).select("vec_id", "component_id").collect()))
+    assert got == [(1, 1), (1, 1), (2, 1), (3, 1), (4, 4)]
+
+
 def test_grid_order_is_by_distance():
     rng = np.random.default_rng(2)
     x = embed_dedup.unit(rng.standard_normal((500, 8)))
-    g = embed_dedup.Grid(x, 10_000)
+    g = embed_dedup.Grid(x, 40_000)
     a, b = embed_dedup._distances(x[:, :4], g.first), embed_dedup._distances(x[:, 4:], g.second)
     full = (a[:, :, None] + b[:, None, :]).reshape(len(x), -1)
     for v in (1, 3, g.cells):
-        assert np.allclose(np.take_along_axis(full, g.ordered(x, v), 1), np.sort(full, axis=1)[:, :v])
+        assert np.allclose(np.take_along_axis(full, g.ordered(x, v)[0], 1), np.sort(full, axis=1)[:, :v])
+
+
+def test_cells_are_left_out_only_if_they_hold_no_link():
+    rng = np.random.default_rng(5)
+    x = embed_dedup.unit(np.concatenate([c + 0.2 * rng.standard_normal((60, 8)) for c in 2 * rng.standard_normal((40, 8))]))
+    g = embed_dedup.Grid(x, 100_000)
+    cells, near = g.ordered(x, g.cells)
+    kept = [set(c[n].tolist()) for c, n in zip(cells, near, strict=True)]
+    for i, j in zip(*np.nonzero(x @ x.T >= 0.9), strict=True):
+        assert cells[j, 0] in kept[i]
+    assert sum(map(len, kept)) < 0.5 * near.size
+
+
+def test_calibration_ranks_as_the_order_does():
+    rng = np.random.default_rng(6)
+    x, y = (embed_dedup.unit(rng.standard_normal((200, 8))) for _ in range(2))
+    g = embed_dedup.Grid(x, 40_000)
+    order, own = g.ordered(x, g.cells)[0], g.ordered(y, 1)[0]
+    assert (g._rank(x, y) == (order == own).argmax(axis=1)).all()
 
 
 # --- 6 toxicity, 9 quality ---------------------------------------------------------------------
@@ -278,26 +343,43 @@ def brute_marginals(unary, trans):
     return on / total, np.log(total)
 
 
-def test_forward_backward_equals_enumeration():
+def test_marginals_equal_enumeration_across_rows():
     rng = np.random.default_rng(0)
-    trans = rng.standard_normal((2, 2))
-    for n in (1, 2, 7):
-        u = rng.standard_normal(n)
-        pad, real = np.zeros((1, 9)), np.zeros((1, 9), bool)
-        pad[0, :n], real[0, :n] = u, True
-        m, _, z = toxicity.forward_backward(pad, real, trans)
-        want, log_z = brute_marginals(u, trans)
-        assert np.allclose(m[0, :n], want) and np.isclose(z[0], log_z)
+    trans = 2 * rng.standard_normal((2, 2))
+    weights = 2 * rng.standard_normal(5)
+    docs = [rng.integers(0, 5, n) for n in (1, 0, 9, 2, 12, 3, 4, 0)]
+    ids, first = np.concatenate(docs), np.concatenate([[0], np.cumsum([len(d) for d in docs])])
+    for window in (2, 3, 4, 64):  # rows of a text pass their messages on
+        m, pairs = toxicity.Chains(ids, first, window).marginals(weights, trans)
+        want = [brute_marginals(weights[d], trans)[0] for d in docs if len(d)]
+        assert np.allclose(m, np.concatenate(want))
+        assert np.isclose(pairs.sum(), sum(len(d) - 1 for d in docs if len(d)))
+        assert np.isclose(pairs[:, 1].sum(), sum(w[1:].sum() for w in want))
+
+
+def test_long_chain_has_no_cuts():
+    rng = np.random.default_rng(1)
+    ids = rng.integers(0, 40, 100_000)
+    weights, trans = 3 * rng.standard_normal(40), np.array([[2.0, -2.0], [-2.0, 2.0]])
+    first = np.array([0, len(ids)])
+    assert np.allclose(toxicity.marginals(ids, first, weights, trans, 64), toxicity.marginals(ids, first, weights, trans, len(ids)), atol=1e-9)
 
 
 LABELLED = "/root/testdata/sf0.01"
 
 
-def test_toxicity_held_out(spark):
-    docs, lab = spark.read.parquet(f"{LABELLED}/documents.parquet"), spark.read.parquet(f"{LABELLED}/labels.parquet")
-    got = toxicity.classify(docs, lab).join(lab, "doc_id").toPandas()
-    assert (got["predicted"] == got["toxic"]).mean() > 0.9
+def held_out_share(op, target, spark, sf):
+    """Share of right predictions and rows, over the labelled rows that no fitting reads."""
+    docs, lab = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    got = op(docs, lab).join(lab, "doc_id").toPandas()
     assert all(bool(h) == (zlib.crc32(str(i).encode()) % 5 == 0) for i, h in zip(got["doc_id"], got["held_out"], strict=True))
+    fold = got[got["held_out"]]
+    return (fold["predicted"] == fold[target]).mean(), len(fold)
+
+
+def test_toxicity_held_out(spark):
+    share, n = held_out_share(toxicity.classify, "toxic", spark, LABELLED)
+    assert share > 0.95 and n > 50
 
 
 def test_toxic_spans():
@@ -306,6 +388,8 @@ def test_toxic_spans():
     bad = [p.replace(" ", " idiot ", 1) for p in plain[:30]]
     t = toxicity.Tagger(plain + bad, [0] * 60 + [1] * 30)
     assert t.score(["you Idiot! yes"])[0] > 0.5 > t.score(["a fine river"])[0]
+    rare = toxicity.Tagger(plain * 8 + bad, [0] * 480 + [1] * 30)
+    assert "idiot" in rare.lexicon
     assert [("you IDIOT! İ idiot")[a:z] for a, z in t.spans("you IDIOT! İ idiot")] == ["IDIOT", "idiot"]
 
 
