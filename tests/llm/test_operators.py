@@ -6,6 +6,7 @@ import hashlib
 import itertools
 import random
 import re
+import struct
 import time
 import zlib
 
@@ -226,6 +227,85 @@ def test_media_round_trip(spark):
     assert media.clips(media.store(df)).where("doc_id = 8").count() >= 1 and media.digests(nothing(spark)).count() == 0
 
 
+def packed(codes):
+    """(length, code) pairs as an entropy-coded segment."""
+    bits = "".join(f"{c:0{n}b}" for n, c in codes if n)
+    bits += "1" * (-len(bits) % 8)
+    return int(bits, 2).to_bytes(len(bits) // 8, "big").replace(b"\xff", b"\xff\x00")
+
+
+def category(d):
+    s = abs(d).bit_length()
+    return s, (s, d if d >= 0 else d + (1 << s) - 1)
+
+
+def foreign_lossless(x, predictor, restart_rows=0):
+    """A lossless frame whose table has five-bit codes, for any predictor."""
+    rows, cols = x.shape
+    x = x.astype(int)
+    segments, codes = [], []
+    top = 0
+    for r in range(rows):
+        if restart_rows and r and r % restart_rows == 0:
+            segments.append(packed(codes))
+            codes, top = [], r
+        for c in range(cols):
+            if r == top:
+                p = x[r, c - 1] if c else 128
+            elif not c:
+                p = x[r - 1, 0]
+            else:
+                a, b, k = x[r, c - 1], x[r - 1, c], x[r - 1, c - 1]
+                p = {1: a, 2: b, 3: k, 4: a + b - k, 5: a + ((b - k) >> 1), 6: b + ((a - k) >> 1), 7: (a + b) >> 1}[predictor]
+            s, extra = category(int(x[r, c] - p))
+            codes += [(5, s), extra]
+    segments.append(packed(codes))
+    table = bytes([0, 0, 0, 0, 0, 17, *[0] * 11, *range(17)])
+    out = media.SOI + media._segment(0xC3, struct.pack(">BHHB", 8, rows, cols, 1) + b"\x01\x11\x00") + media._segment(0xC4, table)
+    out += media._segment(0xDD, struct.pack(">H", restart_rows * cols)) if restart_rows else b""
+    scan = segments[0] + b"".join(b"\xff" + bytes([0xD0 + i % 8]) + s for i, s in enumerate(segments[1:]))
+    return out + media._segment(0xDA, bytes([1, 1, 0, predictor, 0, 0])) + scan + media.EOI
+
+
+@pytest.mark.parametrize("predictor", range(1, 8))
+def test_media_reads_other_lossless_frames(predictor):
+    x = np.random.default_rng(predictor).integers(0, 256, (9, 13)).astype(np.uint8)
+    assert (media.decode_jpeg(foreign_lossless(x, predictor)) == x).all()
+    assert (media.decode_jpeg(foreign_lossless(x, predictor, 3)) == x).all()
+
+
+def test_media_reads_baseline_frames():
+    rows, cols = 20, 27
+    y, x = np.mgrid[:rows, :cols]
+    picture = np.clip(128 + 60 * np.sin(x / 5) + 50 * np.cos(y / 4), 0, 255).round()
+    full = np.pad(picture, ((0, -rows % 8), (0, -cols % 8)), mode="edge") - 128
+    c = np.array([[np.cos((2 * a + 1) * u * np.pi / 16) * (np.sqrt(1 / 8) if u == 0 else 0.5) for u in range(8)] for a in range(8)])
+    zigzag = [0, 1, 8, 16, 9, 2, 3, 10, 17, 24, 32, 25, 18, 11, 4, 5, 12, 19, 26, 33, 40, 48, 41, 34, 27, 20, 13, 6, 7, 14, 21, 28, 35, 42, 49, 56, 57, 50, 43, 36, 29, 22, 15, 23, 30, 37, 44, 51, 58, 59, 52, 45, 38, 31, 39, 46, 53, 60, 61, 54, 47, 55, 62, 63]
+    codes, last = [], 0
+    symbols = [16 * run + size for run in range(16) for size in range(11) if size or run in (0, 15)]
+    for top in range(0, full.shape[0], 8):
+        for left in range(0, full.shape[1], 8):
+            z = np.rint((c.T @ full[top : top + 8, left : left + 8] @ c).ravel()[zigzag]).astype(int)
+            s, extra = category(int(z[0]) - last)
+            codes += [(4, s), extra]
+            last, run = int(z[0]), 0
+            for v in z[1:].tolist():
+                if not v:
+                    run += 1
+                    continue
+                while run > 15:
+                    codes.append((8, symbols.index(0xF0)))
+                    run -= 16
+                s, extra = category(v)
+                codes += [(8, symbols.index(16 * run + s)), extra]
+                run = 0
+            codes += [(8, 0)] if run else []
+    dht = bytes([0, 0, 0, 0, 12, *[0] * 12, *range(12)]) + bytes([16, *[0] * 7, len(symbols), *[0] * 8, *symbols])
+    data = media.SOI + media._segment(0xDB, bytes([0, *[1] * 64])) + media._segment(0xC0, struct.pack(">BHHB", 8, rows, cols, 1) + b"\x01\x11\x00")
+    data += media._segment(0xC4, dht) + media._segment(0xDA, bytes([1, 1, 0, 0, 63, 0])) + packed(codes) + media.EOI
+    assert np.abs(media.decode_jpeg(data).astype(int) - picture).max() <= 1
+
+
 def test_shots_are_cut_where_the_picture_changes():
     dark, light = np.full((6, 64, 64), 20, np.uint8), np.full((5, 64, 64), 220, np.uint8)
     assert media.shots(np.concatenate([dark, light])) == [(0, 6), (6, 11)]
