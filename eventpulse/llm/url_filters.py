@@ -21,8 +21,8 @@ from pyspark.sql.window import Window
 
 SEP, AFTER = "\x01", "\x02"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: Rows that one sort of the sweep is meant to hold.
-ROWS_PER_SWEEP = 200_000
+#: Rows that one sort of the sweep holds at most.
+ROWS_PER_SWEEP = 1_000_000
 
 
 def url_host(url: Column) -> Column:
@@ -79,11 +79,12 @@ def filter_urls(df: DataFrame, rules: Sequence[tuple[str, str]], url: str = "url
     an empty host and path and no rule. Repeated rows stay repeated; columns of ``df`` named
     host, path, rule or verdict are replaced; an empty table stays empty.
 
-    Rows are dealt evenly over ``sweeps`` sorts, whatever their host, and the interval ends
+    Rows are dealt evenly over ``sweeps`` sorts (as many as shuffle partitions, or more if one would hold over
+    ``ROWS_PER_SWEEP``), whatever their host, and the interval ends
     (a list the caller holds, two for each rule) are given to each; a hot host is thus split.
     """
     spark = df.sparkSession
-    n = sweeps or max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8)
+    n = sweeps or max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8, -(-df.select(F.lit(1)).count() // ROWS_PER_SWEEP))
     keep = [c for c in df.columns if c.lower() not in ("host", "path", "rule", "verdict")]
     stack_type = T.ArrayType(T.StructType([T.StructField("rule", T.StringType()), T.StructField("verdict", T.StringType()), T.StructField("prefix", T.StringType()), T.StructField("len", T.IntegerType())]))
     ends = spark.createDataFrame(_events(rules), T.StructType([T.StructField("_key", T.StringType()), T.StructField("_stack", stack_type)]))
