@@ -269,7 +269,7 @@ def _links(docs: DataFrame, candidates: DataFrame, words: int, percent: int) ->
     """Spanning links, confirmed on full sets, within the candidate components."""
     # candidates: doc_id, component, n_shingles
     size = candidates.groupBy("component").agg(F.count("*").alias("m"), F.sum("n_shingles").alias("w"))
-    blocks = F.greatest(F.ceil(F.col("m") / BLOCK_CONFIRMED), F.ceil(F.col("w") / BLOCK_SHINGLES)).cast("int").alias("blocks")
+    blocks = F.greatest(F.ceil(F.col("m") / BLOCK_CONFIRMED), F.least(F.ceil(F.col("w") / BLOCK_SHINGLES), F.ceil(F.col("m") / 2))).cast("int").alias("blocks")
     members = candidates.join(size.select("component", blocks), "component").select("doc_id", "component", "blocks")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -299,8 +299,9 @@ def near_duplicates(df: DataFrame, text: str = "text", key: str = "doc_id", word
     shingle sets have 100 * common >= percent * all; component_id is the smallest doc_id that
     links reach, kept says whether it is the document's own. Null texts count as empty; documents
     without words have no shingle and no link; a null doc_id is linked with nothing (its
-    component is null and it is kept). Repeated rows of one document share its component.
-    An empty table gives an empty table.
+    component is null and it is kept). Repeated rows of one document share its component; so do rows of one
+    doc_id with different texts, whose links are those of each text that no smaller doc_id has. An empty table gives an
+    empty table.
     """
     ship(df.sparkSession)
     docs = text_of(df.withColumn("doc_id", F.col(key).cast("long")), "doc_id", text=text)
@@ -315,11 +316,12 @@ def near_duplicates(df: DataFrame, text: str = "text", key: str = "doc_id", word
                 low = (_matrix(b.column("signature"), np.uint32) >> np.uint32(8)).astype(np.uint8)
                 yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array([r.tobytes() for r in low], pa.binary())], ["doc_id", "n_shingles", "signature", "short"])
 
-    reps = usable.select("doc_id", "n_shingles", "signature").join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    reps = usable.select("doc_id", "n_shingles", "signature", "set_key").join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
+    reps = reps.dropDuplicates(["doc_id", "set_key"]).drop("set_key")
     reps = materialize(map_batches(reps, shorten, "doc_id long, n_shingles long, signature binary, short binary"), "minhash-reps")
     postings = _postings(reps, _pair_counts(reps), coordinates - least + 1)
     near = connected_components(_candidates(reps, postings, least))
-    candidates = near.withColumnRenamed("node", "doc_id").join(reps.select("doc_id", "n_shingles"), "doc_id")
+    candidates = near.withColumnRenamed("node", "doc_id").join(reps.groupBy("doc_id").agg(F.max("n_shingles").alias("n_shingles")), "doc_id")
     linked = connected_components(_links(docs, candidates, words, percent))
     discard(reps)
     discard(near)
@@ -330,11 +332,13 @@ def near_duplicates(df: DataFrame, text: str = "text", key: str = "doc_id", word
 
 
 def deduplicate(df: DataFrame, text: str = "text", key: str = "doc_id", **options) -> DataFrame:
-    """The rows of ``df`` whose document is the smallest of its component; one of repeated rows.
+    """The rows of ``df`` whose document is the smallest of its component; of rows with one key the one whose text has
+    the smallest hash.
 
-    Rows with a null key are kept. The columns are those of ``df``.
+    Rows with a null key are kept. The columns are those of ``df``; an empty table gives an empty table.
     """
     dropped = near_duplicates(df, text, key, **options).where("not kept").select(F.col("doc_id").alias("_dropped")).distinct()
     left = df.join(dropped, df[key] == F.col("_dropped"), "left_anti")
     nulls = left.where(F.col(key).isNull())
-    return left.where(F.col(key).isNotNull()).dropDuplicates([key]).unionByName(nulls)
+    own = left.where(F.col(key).isNotNull()).groupBy(F.col(key).alias("_key")).agg(F.min_by(F.struct(*df.columns), F.xxhash64(F.col(text).cast("string"))).alias("_row"))
+    return own.select("_row.*").unionByName(nulls)
