@@ -589,6 +589,24 @@ def test_mixing_odd_rows(spark):
     assert mixing.mix(df.where("doc_id < 3")).agg(F.sum("taken")).first()[0] == 0
 
 
+def test_targets_of_many_sources(spark):
+    rnd = random.Random(9)
+    sizes = {f"host{i:04d}": rnd.choice([0, 1, 7, 40, 900]) for i in range(700)} | {None: 33}
+    got = mixing.targets(spark.createDataFrame(list(sizes.items()), "source string, size long"))
+    want = shares(sizes)
+    assert {r["source"]: r["target"] for r in got.collect()} == pytest.approx(want)
+
+
+def test_mix_of_rows_without_keys(spark):
+    data = [(None, f"some words {i % 40}", "a" if i % 3 else "b") for i in range(300)]
+    df = spark.createDataFrame(data, "doc_id long, text string, source string")
+    want: dict = {}
+    for r in mixing.mix(df).collect():
+        want[r["source"]] = want.get(r["source"], 0) + r["copies"]
+    got = {r["source"]: r["count"] for r in mixing.mixed(df).groupBy("source").count().collect()}
+    assert sum(got.values()) == sum(want.values()) > 0
+
+
 # --- 10 MinHash --------------------------------------------------------------------------------
 
 
@@ -650,6 +668,15 @@ def test_near_duplicates_odd_rows(spark):
     assert out.columns == df.columns and sorted(str(r["doc_id"]) for r in out.collect()) == sorted(str(i) for i in [*range(6), 8, 10, 11, 12, 13, None])
 
 
+def test_near_duplicates_of_one_id_with_two_texts(spark):
+    one, other = "a b c d e f g h i j k l", "n o p q r s t u v w x y"
+    df = spark.createDataFrame([(1, one), (1, other), (2, one), (3, other + " z"), (4, "q")], "doc_id long, text string")
+    got = sorted((r["doc_id"], r["component_id"]) for r in minhash.near_duplicates(df).collect())
+    assert got == [(1, 1), (1, 1), (2, 1), (3, 1), (4, 4)]
+    kept = [minhash.deduplicate(df.repartition(n)).orderBy("doc_id").collect() for n in (1, 3)]
+    assert kept[0] == kept[1] and [r["doc_id"] for r in kept[0]] == [1, 4]
+
+
 def test_shingles_are_exact():
     texts = ["a a a a a a a b b b", "of of to to of of to to of", "x", "", "a b c d e f g"]
     want = [len({tuple(w[k : k + 5]) for k in range(len(w) - 4)}) if len(w := t.split()) >= 5 else int(bool(w)) for t in texts]
