@@ -48,6 +48,7 @@ class ClusterConfig:
     merge_theta: float = 0.5
     match: str = "first"  # or best
     shards: int = 4
+    posts_per_shard: int | None = None  # if given, each block has as many shards as leave about so many posts in one
     passes: str = "single"  # or fixpoint
     min_cluster_posts: int = 30
     prune_weight: float = 0.01

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window, WindowSpec
 
 from eventpulse.config import EPS, BurstConfig
+from eventpulse.operators.blocks import ordered
 
 
 def _by_word() -> WindowSpec:
@@ -131,14 +132,14 @@ def detect_bursts_eager(tokens: DataFrame, cfg: BurstConfig = BurstConfig()) ->
     """The variant that cannot see the end of a block: a word is scored at its ``min_count``-th
     occurrence, with the terms seen so far; the previous score is the previous block's own.
 
-    ``tokens`` needs seq (arrival order). Totals run over posts, not over words.
+    The terms seen so far come from sums over slices of time, so that no window holds a block, and of a word's
+    occurrences only the first ``min_count`` are ranked: the rank's bound is applied before the shuffle.
     """
-    before = Window.partitionBy("region", "block_no").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
-    posts = tokens.select("region", "block_no", "seq", "tokens", F.coalesce(F.sum(F.size("tokens")).over(before), F.lit(0)).alias("_before"))
+    posts = ordered(tokens.select("region", "block_no", "ts", "post_id", "tokens"), "tokens").select("region", "block_no", "seq", "tokens", F.col("terms_before").alias("_before"))
     words = posts.select("region", "block_no", "seq", "_before", F.posexplode_outer("tokens").alias("_pos", "word")).where("word is not null")
     nth = F.row_number().over(Window.partitionBy("region", "block_no", "word").orderBy("seq", "_pos"))
     first = Window.partitionBy("region", "word").orderBy("block_no")
-    hits = words.withColumn("_nth", nth).where((F.col("_nth") == cfg.min_count) | (F.col("_nth") == 1))
+    hits = words.withColumn("_nth", nth).where(F.col("_nth") <= cfg.min_count)
     per_block = hits.groupBy("region", "block_no", "word").agg(F.max(F.when(F.col("_nth") == cfg.min_count, F.col("_before") + F.col("_pos") + 1)).alias("terms"))
     ws = per_block.withColumn("df", F.row_number().over(first).cast("long"))
     tfidf = F.lit(cfg.min_count) / F.col("terms").cast("double") * idf(F.col("block_no"), F.col("df"))

@@ -1,26 +1,26 @@
 """Post clustering: local clusters by shard, merged by block, folded into live clusters by region.
 
-What is order-dependent (first match wins, vectors change as they grow) runs in plain
-Python over one group of rows at a time; its inputs are bounded by the shard of a block, the
-clusters of a block and the clusters of a region. Inside a group the order is canonical, so
-that only the number of shards can change a result.
+What is order-dependent (first match wins, vectors change as they grow) runs in plain Python over rows that arrive
+sorted, batch by batch: posts are never held, only the clusters of a shard, of a block, or the live ones of a region. The order is
+canonical (time, then id), so that only how posts are dealt to shards can change a result.
 """
 
 from __future__ import annotations
 
 import math
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from eventpulse.config import EPS, ClusterConfig
 from eventpulse.functions.vectors import prune_words, vectorize
-from eventpulse.operators.blocks import with_seq
-from eventpulse.plans.scratch import ship
-from eventpulse.schemas import CLUSTER, FOLD
+from eventpulse.plans.scratch import materialize, ship
+from eventpulse.schemas import CLUSTER, FOLD, arrow_rows
 
 Vec = dict[str, float]
 
@@ -69,32 +69,64 @@ class Book:
         self.counts[name] = self.counts.get(name, 0) + n
 
 
-def assign_posts(posts: Iterable[tuple[int, Vec]], theta: float, match: str, book: Book) -> list[Cluster]:
-    """Cluster posts in their order from nothing: the first cluster above theta takes a post, or the best.
+class Assigner:
+    """Clusters of a shard, grown post by post from none: the first cluster above theta takes a post, or the best.
 
-    An index from words to clusters limits the search to those with a word in common; others have a
-    cosine of 0.
+    A cluster is kept as the sum of its posts' vectors, whose cosines are those of the mean. An index from words to
+    clusters gives the products with all clusters that share a word; others have a cosine of 0.
     """
-    clusters: list[Cluster] = []
-    by_word: dict[str, set[int]] = {}
-    for pid, vec in posts:
-        chosen, best = None, theta + EPS
-        for i in sorted(set().union(*[by_word.get(w, ()) for w in vec])):
-            book.cosines += 1
-            c = cosine(vec, clusters[i].vec)
+
+    def __init__(self, theta: float, match: str, book: Book):
+        self.theta, self.match, self.book = theta, match, book
+        self.index: dict[str, dict[int, float]] = {}
+        self.squares: list[float] = []
+        self.n: list[int] = []
+        self.first: list[int] = []
+
+    def add(self, pid: int, vec: Vec) -> int:
+        """The cluster that takes the post."""
+        dots: dict[int, float] = {}
+        for w, x in vec.items():
+            for i, y in self.index.get(w, {}).items():
+                dots[i] = dots.get(i, 0.0) + x * y
+        square = sum(x * x for x in vec.values())
+        chosen, best = None, self.theta + EPS
+        for i in sorted(dots):
+            self.book.cosines += 1
+            c = dots[i] / math.sqrt(square * self.squares[i]) if dots[i] else 0.0
             if c > best:
                 chosen, best = i, c
-                if match == "first":
+                if self.match == "first":
                     break
         if chosen is None:
-            chosen = len(clusters)
-            clusters.append(Cluster(dict(vec), 1, pid))
+            chosen = len(self.n)
+            self.squares.append(square)
+            self.n.append(1)
+            self.first.append(pid)
         else:
-            own = clusters[chosen]
-            own.vec, own.n, own.first = weighted_mean(own.vec, own.n, vec, 1), own.n + 1, min(own.first, pid)
-        for w in vec:
-            by_word.setdefault(w, set()).add(chosen)
-    return clusters
+            self.squares[chosen] += 2 * dots[chosen] + square
+            self.n[chosen] += 1
+            self.first[chosen] = min(self.first[chosen], pid)
+        for w, x in vec.items():
+            own = self.index.setdefault(w, {})
+            own[chosen] = own.get(chosen, 0.0) + x
+        return chosen
+
+    def clusters(self) -> list[Cluster]:
+        """The clusters so far, with mean vectors, in the order of their birth."""
+        out = [Cluster({}, n, first) for n, first in zip(self.n, self.first, strict=True)]
+        for w, own in self.index.items():
+            for i, x in own.items():
+                out[i].vec[w] = x / out[i].n
+        return out
+
+
+def assign_posts(posts: Iterable[tuple[int, Vec]], theta: float, match: str, book: Book) -> list[Cluster]:
+    """Cluster (id, vector) posts in their order from nothing."""
+    found = Assigner(theta, match, book)
+    for pid, vec in posts:
+        found.add(pid, vec)
+    return found.clusters()
 
 
 def merge_similar(clusters: list[Cluster], theta: float, passes: str, book: Book) -> list[Cluster]:
@@ -123,42 +155,96 @@ def merge_similar(clusters: list[Cluster], theta: float, passes: str, book: Book
         clusters = kept
 
 
+def runs(batches: Iterable[pa.RecordBatch], keys: list[str]) -> Iterator[tuple[tuple, pa.RecordBatch]]:
+    """(key, rows) of consecutive rows with one key; a key whose rows go on in the next batch comes again."""
+    for b in batches:
+        if not b.num_rows:
+            continue
+        cols = [b.column(k).to_numpy(zero_copy_only=False) for k in keys]
+        new = np.zeros(b.num_rows, dtype=bool)
+        new[0] = True
+        for c in cols:
+            new[1:] |= c[1:] != c[:-1]
+        first = np.flatnonzero(new).tolist()
+        for a, z in zip(first, [*first[1:], b.num_rows], strict=True):
+            yield tuple(c[a].item() if isinstance(c[a], np.generic) else c[a] for c in cols), b.slice(a, z - a)
+
+
+def _vectors(part: pa.RecordBatch) -> list[Vec]:
+    return [dict(v) for v in part.column("vec").to_pylist()]
+
+
+def _stored(part: pa.RecordBatch) -> list[Cluster]:
+    return [Cluster(v, n, f) for v, n, f in zip(_vectors(part), part.column("n_posts").to_pylist(), part.column("min_post").to_pylist(), strict=True)]
+
+
+def deal(posts: DataFrame, cfg: ClusterConfig) -> DataFrame:
+    """``posts`` with shard, by a hash of the post's id: ``cfg.shards`` for every block, or as many as leave about
+    ``cfg.posts_per_shard`` posts in each. No window: a block's posts never meet in one task."""
+    number = F.xxhash64("post_id")
+    if cfg.posts_per_shard is None:
+        return posts.withColumn("shard", F.pmod(number, F.lit(cfg.shards)).cast("int"))
+    held = posts.groupBy("region", "block_no").agg(F.ceil(F.count("*") / cfg.posts_per_shard).alias("_shards"))
+    return posts.join(held, ["region", "block_no"]).withColumn("shard", F.pmod(number, F.col("_shards")).cast("int")).drop("_shards")
+
+
 def cluster_local(vectors: DataFrame, cfg: ClusterConfig = ClusterConfig()) -> DataFrame:
     """Local clusters of each (region, block, shard), every shard beginning with none.
 
-    ``vectors`` needs seq; posts are dealt in turn: shard = seq mod shards. A group must fit a task's
-    memory: choose shards so that a block's share stays under some fifty thousand posts.
+    ``vectors``: region, block_no, ts, post_id, vec. Posts are dealt to shards (:func:`deal`) and sorted; a task
+    holds the clusters of one shard at a time, whatever the number of posts.
     """
     ship(vectors.sparkSession)
     theta, match = cfg.theta, cfg.match
+    keys = ["region", "block_no", "shard"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def closed() -> pa.RecordBatch:
+            region, block, shard = key
+            return arrow_rows([(region, block, shard, f"{block}-{shard}-{i}", c.n, c.first, c.vec, found.book.cosines if i == 0 else 0) for i, c in enumerate(found.clusters())], CLUSTER)
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("seq")
-        book = Book()
-        found = assign_posts(((int(p), dict(v)) for p, v in zip(pdf["post_id"], pdf["vec"], strict=True)), theta, match, book)
-        region, block, shard = pdf["region"].iloc[0], int(pdf["block_no"].iloc[0]), int(pdf["shard"].iloc[0])
-        rows = [(region, block, shard, f"{block}-{shard}-{i}", c.n, c.first, c.vec, book.cosines if i == 0 else 0) for i, c in enumerate(found)]
-        return pd.DataFrame(rows, columns=[x.split()[0] for x in CLUSTER.split(", ")])
+        key, found = None, None
+        for k, part in runs(batches, keys):
+            if k != key:
+                if key is not None:
+                    yield closed()
+                key, found = k, Assigner(theta, match, Book())
+            for pid, vec in zip(part.column("post_id").to_pylist(), _vectors(part), strict=True):
+                found.add(pid, vec)
+        if key is not None:
+            yield closed()
 
-    dealt = vectors.withColumn("shard", F.pmod("seq", F.lit(cfg.shards)).cast("int"))
-    return dealt.select("region", "block_no", "shard", "seq", "post_id", "vec").groupBy("region", "block_no", "shard").applyInPandas(run, CLUSTER)
+    dealt = deal(vectors, cfg).select(*keys, "ts", "post_id", "vec").repartition(*keys)
+    return dealt.sortWithinPartitions(*keys, "ts", "post_id").drop("ts").mapInArrow(run, CLUSTER)
 
 
 def merge_local(local: DataFrame, cfg: ClusterConfig = ClusterConfig()) -> DataFrame:
     """The block's local clusters merged among themselves; only clusters are shuffled, no posts."""
     ship(local.sparkSession)
     theta, passes = cfg.merge_theta, cfg.passes
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        book = Book()
-        own = [Cluster(dict(v), int(n), int(f)) for v, n, f in zip(pdf["vec"], pdf["n_posts"], pdf["min_post"], strict=True)]
-        kept = merge_similar(own, theta, passes, book)
-        region, block = pdf["region"].iloc[0], int(pdf["block_no"].iloc[0])
-        spent = book.cosines + int(pdf["cosines"].sum())
-        rows = [(region, block, 0, f"{block}-{c.first}", c.n, c.first, c.vec, spent if i == 0 else 0) for i, c in enumerate(kept)]
-        return pd.DataFrame(rows, columns=[x.split()[0] for x in CLUSTER.split(", ")])
-
-    return local.groupBy("region", "block_no").applyInPandas(run, CLUSTER)
+    keys = ["region", "block_no"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def closed() -> pa.RecordBatch:
+            region, block = key
+            book = Book()
+            kept = merge_similar(own, theta, passes, book)
+            rows = [(region, block, 0, f"{block}-{c.first}", c.n, c.first, c.vec, spent + book.cosines if i == 0 else 0, book.counts.get("merged", 0) if i == 0 else 0) for i, c in enumerate(kept)]
+            return arrow_rows(rows, MERGED)
+
+        key, own, spent = None, [], 0
+        for k, part in runs(batches, keys):
+            if k != key:
+                if key is not None:
+                    yield closed()
+                key, own, spent = k, [], 0
+            own += _stored(part)
+            spent += sum(part.column("cosines").to_pylist())
+        if key is not None:
+            yield closed()
+
+    sorted_ = local.repartition(*keys).sortWithinPartitions(*keys, "shard", "cluster_id")
+    return sorted_.mapInArrow(run, MERGED)
 
 
 def prune_local(merged: DataFrame, cfg: ClusterConfig = ClusterConfig()) -> DataFrame:
@@ -186,100 +272,146 @@ def expire(df: DataFrame, block_no: int, stale_after: int) -> DataFrame:
     return df.where(F.lit(block_no) - F.col("last_block") < stale_after)
 
 
+def settle(live: list[Cluster], block: int, cfg: ClusterConfig, book: Book) -> None:
+    """Delete the live clusters that are stale at the end of a block, in place."""
+    stale = sum(block - g.last >= cfg.stale_after for g in live)
+    if stale:
+        book.add("deleted", stale)
+        live[:] = [g for g in live if block - g.last < cfg.stale_after]
+
+
 def fold_block(live: list[Cluster], local: list[Cluster], block: int, cfg: ClusterConfig, book: Book) -> list[tuple[Cluster, bool]]:
     """Merge a block's clusters into the live set, in place; the clusters touched and whether each is an event.
 
     Every live cluster in turn absorbs all similar local ones, its vector updated as it goes; what is left
-    becomes new live clusters; stale ones go.
+    becomes new live clusters; stale ones go. Blocks without clusters may be skipped: what was stale before this block
+    goes first. Cosines of vectors without a common word are counted, and not computed.
     """
     book.reads += 1
     book.writes += 1
+    settle(live, block - 1, cfg, book)
     touched: list[tuple[Cluster, bool]] = []
-    left = sorted(local, key=lambda c: (-c.n, c.first))
+    left = dict(enumerate(sorted(local, key=lambda c: (-c.n, c.first))))
+    by_word: dict[str, set[int]] = {}
+    for i, c in left.items():
+        for w in c.vec:
+            by_word.setdefault(w, set()).add(i)
     for g in sorted(live, key=lambda c: (c.born, c.cid)):
         g.added = 0
-        rest = []
-        for c in left:
-            book.cosines += 1
+        book.cosines += len(left)
+        near = set().union(*[by_word.get(w, ()) for w in g.vec])
+        for i in sorted(near & left.keys()):
+            c = left[i]
             if cosine(g.vec, c.vec) >= cfg.merge_theta - EPS:
                 g.vec, g.n, g.added = weighted_mean(g.vec, g.n, c.vec, c.n), g.n + c.n, g.added + c.n
                 book.add("absorbed")
-            else:
-                rest.append(c)
-        left = rest
+                del left[i]
         if g.added:
             g.vec = {w: x for w, x in g.vec.items() if x >= cfg.prune_weight}
             g.last = block
             book.add("updated")
             touched.append((g, g.added / g.n > cfg.growth + EPS))
-    for c in left:
+    for c in left.values():
         new = Cluster({w: x for w, x in c.vec.items() if x >= cfg.new_prune_weight}, c.n, c.first, f"{block}-{c.first}", block, block, c.n)
         book.add("created")
         if not new.vec:
             book.add("emptied_clusters")
         live.append(new)
         touched.append((new, cfg.new_is_event))
-    stale = [g for g in live if block - g.last >= cfg.stale_after]
-    book.add("deleted", len(stale))
-    live[:] = [g for g in live if block - g.last < cfg.stale_after]
+    settle(live, block, cfg, book)
     book.counts["live"] = len(live)
     return touched
 
 
-_FOLD_COLUMNS = [x.split()[0] for x in FOLD.split(", ")]
+#: Clusters of a block, with how many merges made them.
+MERGED = CLUSTER + ", merged long"
 
 
-def _fold_rows(region: str, block: int, touched: list[tuple[Cluster, bool]], book: Book) -> list[tuple]:
+def fold_rows(region: str, block: int, touched: list[tuple[Cluster, bool]], book: Book) -> list[tuple]:
+    """FOLD rows of a block: the clusters it touched, and its costs."""
     rows = [("cluster", region, block, c.cid, c.added, c.n, c.added / c.n, c.born, c.last, event, c.vec, None, None) for c, event in touched]
     costs = {"cosines": book.cosines, "state_reads": book.reads, "state_writes": book.writes, **book.counts}
     return rows + [("cost", region, block, None, None, None, None, None, None, None, None, k, float(v)) for k, v in sorted(costs.items())]
 
 
-def _frame(rows: list[tuple]) -> pd.DataFrame:
-    out = pd.DataFrame(rows, columns=_FOLD_COLUMNS)
-    for c in ("n_added", "n_posts", "born_block", "last_block"):
-        out[c] = out[c].astype("Int64")
-    out["is_event"] = out["is_event"].astype("boolean")
-    return out
+def epochs(merged: DataFrame, stale_after: int) -> DataFrame:
+    """``merged`` with epoch: blocks of a region between which every live cluster has become stale are in different
+    epochs, which share nothing. The window is over one row for each block."""
+    order = Window.partitionBy("region").orderBy("block_no")
+    held = merged.select("region", "block_no").distinct()
+    cut = F.coalesce(F.col("block_no") - F.lag("block_no").over(order) > stale_after, F.lit(False)).cast("int")
+    return merged.join(held.withColumn("_cut", cut).withColumn("epoch", F.sum("_cut").over(order)).drop("_cut"), ["region", "block_no"])
 
 
-def fold_blocks(local: DataFrame, cfg: ClusterConfig = ClusterConfig()) -> DataFrame:
+def fold_blocks(merged: DataFrame, cfg: ClusterConfig = ClusterConfig()) -> DataFrame:
     """The live clusters of each region carried through its blocks: rows of kind cluster (each cluster a
-    block has touched) and cost. Blocks are taken in order inside a region, regions in parallel."""
-    ship(local.sparkSession)
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        live: list[Cluster] = []
-        rows: list[tuple] = []
-        for block, part in pdf.sort_values("block_no").groupby("block_no"):
-            book = Book(cosines=int(part["cosines"].sum()))
-            own = [Cluster(dict(v), int(n), int(f)) for v, n, f in zip(part["vec"], part["n_posts"], part["min_post"], strict=True)]
-            rows += _fold_rows(pdf["region"].iloc[0], int(block), fold_block(live, own, int(block), cfg, book), book)
-        return _frame(rows)
-
-    return local.groupBy("region").applyInPandas(run, FOLD)
+    block has touched) and cost. Regions, and epochs of a region, run in parallel; inside an epoch blocks are taken in order,
+    which is the method's nature, and a task holds the live clusters and those of one block."""
+    ship(merged.sparkSession)
+    if "merged" not in merged.columns:
+        merged = merged.withColumn("merged", F.lit(0).cast("long"))
+    keys = ["region", "epoch", "block_no"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def closed() -> pa.RecordBatch:
+            book = Book(cosines=spent, counts={"merged": merges} if merges else {})
+            return arrow_rows(fold_rows(key[0], key[2], fold_block(live, own, key[2], cfg, book), book), FOLD)
+
+        key, live, own, spent, merges = None, [], [], 0, 0
+        for k, part in runs(batches, keys):
+            if k != key:
+                if key is not None:
+                    yield closed()
+                    if k[:2] != key[:2]:
+                        live = []
+                key, own, spent, merges = k, [], 0, 0
+            own += _stored(part)
+            spent += sum(part.column("cosines").to_pylist())
+            merges += sum(part.column("merged").to_pylist())
+        if key is not None:
+            yield closed()
+
+    rows = epochs(materialize(merged, "clusters-merged"), cfg.stale_after)
+    rows = rows.select(*keys, "n_posts", "min_post", "vec", "cosines", "merged").repartition("region", "epoch")
+    return rows.sortWithinPartitions(*keys, "min_post").mapInArrow(run, FOLD)
 
 
 def cluster_two_stage(tokens: DataFrame, cfg: ClusterConfig = ClusterConfig()) -> DataFrame:
     """The two-stage method end to end, from tokened posts to FOLD rows."""
-    local = cluster_local(vectorize(with_seq(tokens)), cfg)
+    local = cluster_local(vectorize(tokens), cfg)
     return fold_blocks(drop_small(prune_local(merge_local(local, cfg), cfg), cfg.min_cluster_posts), cfg)
 
 
 def cluster_single_stage(tokens: DataFrame, cfg: ClusterConfig = ClusterConfig(stale_after=2)) -> DataFrame:
     """The rejected design: every post against every live cluster, one after the other, with clusters merged
-    at block ends. One group for a region; use it on small inputs only."""
+    at block ends. A region's posts stream through one task, which holds its live clusters."""
     ship(tokens.sparkSession)
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        live: list[Cluster] = []
-        rows: list[tuple] = []
-        for block, part in pdf.sort_values(["block_no", "seq"]).groupby("block_no"):
-            block, book = int(block), Book()
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def closed() -> pa.RecordBatch:
+            nonlocal live
+            region, block = key
+            live = merge_similar(live, cfg.merge_theta, "single", book)
             for g in live:
-                g.added = 0
-            for pid, vec in zip(part["post_id"], part["vec"], strict=True):
-                vec, home = dict(vec), None
+                g.last = block if g.added else g.last
+            touched = [(g, g.n >= cfg.min_cluster_posts and g.born < block and g.added / g.n > cfg.growth + EPS) for g in live if g.added]
+            settle(live, block, cfg, book)
+            book.counts["live"] = len(live)
+            return arrow_rows(fold_rows(region, block, [t for t in touched if t[0].n >= cfg.min_cluster_posts], book), FOLD)
+
+        key, live, book = None, [], Book()
+        for k, part in runs(batches, ["region", "block_no"]):
+            if k != key:
+                if key is not None:
+                    yield closed()
+                    if k[0] != key[0]:
+                        live = []
+                key, book = k, Book()
+                settle(live, k[1] - 1, cfg, book)
+                for g in live:
+                    g.added = 0
+            for pid, vec in zip(part.column("post_id").to_pylist(), _vectors(part), strict=True):
+                home = None
                 book.reads += 1
                 book.writes += 1
                 for g in live:
@@ -288,23 +420,16 @@ def cluster_single_stage(tokens: DataFrame, cfg: ClusterConfig = ClusterConfig(s
                         home = g
                         break
                 if home is None:
-                    live.append(Cluster(vec, 1, int(pid), f"{block}-{int(pid)}", block, block, 1))
+                    live.append(Cluster(vec, 1, pid, f"{k[1]}-{pid}", k[1], k[1], 1))
                     book.add("created")
                 else:
-                    home.vec, home.n, home.added, home.last = weighted_mean(home.vec, home.n, vec, 1), home.n + 1, home.added + 1, block
+                    home.vec, home.n, home.added, home.last = weighted_mean(home.vec, home.n, vec, 1), home.n + 1, home.added + 1, k[1]
                     book.add("updated")
-            live = merge_similar(live, cfg.merge_theta, "single", book)
-            for g in live:
-                g.last = block if g.added else g.last
-            touched = [(g, g.n >= cfg.min_cluster_posts and g.born < block and g.added / g.n > cfg.growth + EPS) for g in live if g.added]
-            kept = [g for g in live if block - g.last < cfg.stale_after]
-            book.add("deleted", len(live) - len(kept))
-            live = kept
-            book.counts["live"] = len(live)
-            rows += _fold_rows(pdf["region"].iloc[0], block, [t for t in touched if t[0].n >= cfg.min_cluster_posts], book)
-        return _frame(rows)
+        if key is not None:
+            yield closed()
 
-    return vectorize(with_seq(tokens)).select("region", "block_no", "seq", "post_id", "vec").groupBy("region").applyInPandas(run, FOLD)
+    posts = vectorize(tokens).select("region", "block_no", "ts", "post_id", "vec").repartition("region")
+    return posts.sortWithinPartitions("region", "block_no", "ts", "post_id").drop("ts").mapInArrow(run, FOLD)
 
 
 def cluster_events(fold: DataFrame) -> DataFrame:

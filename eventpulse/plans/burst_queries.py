@@ -54,24 +54,26 @@ def docs(spark: SparkSession, d: str) -> DataFrame:
 
 
 def doc_tokens(spark: SparkSession, d: str, prep: PrepConfig = PrepConfig(), region: str | None = None) -> DataFrame:
-    return blocks.tokened(P.posts_from_documents(docs(spark, d), region=region), "6 minutes", prep)
+    return blocks.tokened(P.posts_from_documents(docs(spark, d), region=region), "6 minutes", prep, P.START_US)
 
 
 def event_tokens(spark: SparkSession, d: str, length: str = "1 hour", located: bool = False) -> DataFrame:
     dims = [table(spark, d, n) for n in ("customer", "nation", "region")] if located else []
-    return blocks.tokened(P.posts_from_events(table(spark, d, "events"), *dims), length, RAW)
+    events = table(spark, d, "events")
+    return blocks.tokened(P.posts_from_events(events, *dims), length, RAW, blocks.first_time(events))
 
 
 def order_tokens(spark: SparkSession, d: str) -> DataFrame:
-    return blocks.tokened(P.posts_from_order_lines(table(spark, d, "orders"), table(spark, d, "lineitem"), table(spark, d, "part")), "30 days", RAW)
+    orders = table(spark, d, "orders")
+    return blocks.tokened(P.posts_from_order_lines(orders, table(spark, d, "lineitem"), table(spark, d, "part")), "30 days", RAW, blocks.first_time(orders, "o_orderdate"))
 
 
 def conv_tokens(spark: SparkSession, d: str) -> DataFrame:
-    return blocks.tokened(P.posts_from_conversations(table(spark, d, "conversations")), "30 minutes", RAW)
+    return blocks.tokened(P.posts_from_conversations(table(spark, d, "conversations")), "30 minutes", RAW, P.START_US)
 
 
 def plant_tokens(spark: SparkSession, d: str) -> DataFrame:
-    return blocks.tokened(P.planted_burst_posts(table(spark, d, "benchmark")), "6 minutes", RAW)
+    return blocks.tokened(P.planted_burst_posts(table(spark, d, "benchmark")), "6 minutes", RAW, P.START_US)
 
 
 def events_out(ev: DataFrame) -> DataFrame:
@@ -309,7 +311,7 @@ def _(spark, d):
 
 @query("W_8_pages", f"with {sql.PAGE_POSTS}, {sql.tokened(sql.MINUTES6)} select block_no, count(*) as tokens, count(distinct word) as distinct_tokens from words group by 1")
 def _(spark, d):
-    t = blocks.tokened(P.posts_from_pages(table(spark, d, "pages")), "6 minutes")
+    t = blocks.tokened(P.posts_from_pages(table(spark, d, "pages")), "6 minutes", origin=P.START_US)
     return bursts.explode_words(t).groupBy("block_no").agg(F.count("*").alias("tokens"), F.count_distinct("word").alias("distinct_tokens"))
 
 
@@ -360,12 +362,12 @@ sc as (select *, case when lag(block_no) over win = block_no - 1 then lag(tfidf)
 
 @query("M_K15_detect_eager", eager_sql(EVT, W4))
 def _(spark, d):
-    return events_out(bursts.detect_bursts_eager(blocks.with_seq(event_tokens(spark, d)), W4))
+    return events_out(bursts.detect_bursts_eager(event_tokens(spark, d), W4))
 
 
 @query("W_2_eager_documents", eager_sql(DOC, W1))
 def _(spark, d):
-    return events_out(bursts.detect_bursts_eager(blocks.with_seq(doc_tokens(spark, d)), W1))
+    return events_out(bursts.detect_bursts_eager(doc_tokens(spark, d), W1))
 
 
 @query("M_K18_leaked_blocks", "with " + ", ".join([sql.event_posts(), sql.tokened(sql.HOUR, RAW)]) + f""",

@@ -33,7 +33,7 @@ def query(name: str, oracle: str | None = None):
 
 
 def chain_tokens(spark, d) -> DataFrame:
-    return blocks.tokened(P.chain_posts(table(spark, d, "benchmark")), "6 minutes", RAW)
+    return blocks.tokened(P.chain_posts(table(spark, d, "benchmark")), "6 minutes", RAW, P.START_US)
 
 
 VEC = """vec as (select region, block_no, post_id, word, count(*) / any_value(n)::double as weight
@@ -160,20 +160,20 @@ PLANT_CLUSTERS = "planted as (select item, d, n, case d when 0 then 30 when 1 th
 @query("M_C8_merge_local", f"with {PLANT_CLUSTERS} select (2 * item + d + 1)::bigint as block_no, n::bigint as n_posts from planted")
 def _(spark, d):
     """Every planted group becomes one local cluster, whatever the shards."""
-    local = clusters.cluster_local(vectors.vectorize(blocks.with_seq(plant_tokens(spark, d))), DEFAULT)
+    local = clusters.cluster_local(vectors.vectorize(plant_tokens(spark, d)), DEFAULT)
     return clusters.merge_local(local, DEFAULT).select("block_no", "n_posts")
 
 
 @query("M_C10_drop_small", f"with {PLANT_CLUSTERS} select (2 * item + d + 1)::bigint as block_no, n::bigint as n_posts from planted where n >= 30")
 def _(spark, d):
-    local = clusters.cluster_local(vectors.vectorize(blocks.with_seq(plant_tokens(spark, d))), DEFAULT)
+    local = clusters.cluster_local(vectors.vectorize(plant_tokens(spark, d)), DEFAULT)
     return clusters.drop_small(clusters.merge_local(local, DEFAULT), 30).select("block_no", "n_posts")
 
 
 def _local(name: str, match: str) -> None:
     @query(name)
     def _(spark, d):
-        v = vectors.vectorize(blocks.with_seq(doc_tokens(spark, d)))
+        v = vectors.vectorize(doc_tokens(spark, d))
         out = clusters.cluster_local(v, replace(DOC_CFG, match=match))
         return out.groupBy("region", "block_no", "shard").agg(F.count("*").alias("clusters"), F.sum("n_posts").alias("posts"), F.sum("cosines").alias("cosines"))
 
@@ -185,7 +185,7 @@ _local("M_C6_local_best_fit", "best")
 @query("M_C5_posts_kept", f"{DOC} select block_no, count(*) as posts from tok where len(tokens) > 0 group by 1")
 def _(spark, d):
     """Local clusters hold every post with a token once."""
-    v = vectors.vectorize(blocks.with_seq(doc_tokens(spark, d)))
+    v = vectors.vectorize(doc_tokens(spark, d))
     return clusters.cluster_local(v, DOC_CFG).groupBy("block_no").agg(F.sum("n_posts").alias("posts"))
 
 
@@ -449,7 +449,7 @@ def _placed(spark, d):
 
     dims = [table(spark, d, n) for n in ("customer", "nation", "region")]
     e = P.with_region(table(spark, d, "events"), *dims).select(F.col("event_id").alias("post_id"), "ts", F.lit("ALL").alias("region"), F.col("n_name").alias("place"), "user_id", P.event_text().alias("text"))
-    return blocks.assign_block(e, "1 hour").withColumn("tokens", clean_tokens(F.col("text"), RAW)).drop("text")
+    return blocks.assign_block(e, "1 hour", blocks.first_time(table(spark, d, "events"))).withColumn("tokens", clean_tokens(F.col("text"), RAW)).drop("text")
 
 
 PLACED = f"with {sql.located_event_posts().replace('r_name as region', chr(39) + 'ALL' + chr(39) + ' as region')},\n{sql.tokened(sql.HOUR, RAW)},\n{sql.scores(W4)}, {sql.detected(W4)}, m as (select distinct block_no, word, post_id, place, user_id from (select block_no, post_id, place, user_id, unnest(tokens) as word from tok) join (select distinct block_no, word from ev) using (block_no, word))"

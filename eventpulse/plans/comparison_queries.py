@@ -46,7 +46,7 @@ def _(spark, d):
 
     replay.paced(stream, keep, replay.Pause(0.02), "paused-check")
     tokens = blocks.assign_block(spark.read.parquet(out).drop("batch"), "1 hour", sql.T0)
-    return B.events_out(bursts.detect_bursts_eager(blocks.with_seq(tokens), B.W4))
+    return B.events_out(bursts.detect_bursts_eager(tokens, B.W4))
 
 
 @query("B_2_barrier_directed", B.ORACLES["M_K9_detect_event"])
@@ -70,7 +70,7 @@ def _(spark, d):
     t = C.plant_tokens(spark, d)
     runs = {
         "barrier": lambda: bursts.detect_bursts(t, B.PLANT),
-        "eager": lambda: bursts.detect_bursts_eager(blocks.with_seq(t), B.PLANT),
+        "eager": lambda: bursts.detect_bursts_eager(t, B.PLANT),
         "two_stage": lambda: clusters.cluster_events(clusters.cluster_two_stage(t)),
         "single_stage": lambda: clusters.cluster_events(clusters.cluster_single_stage(t)),
     }
@@ -103,7 +103,7 @@ def _(spark, d):
     """Degrees of parallelism that the caller sets for the local and for the merging step."""
     p = Parallelism(local=2, merge=3)
     cfg = ClusterConfig()
-    local = clusters.cluster_local(C.vectors.vectorize(blocks.with_seq(C.plant_tokens(spark, d))), replace(cfg, shards=p.local))
+    local = clusters.cluster_local(C.vectors.vectorize(C.plant_tokens(spark, d)), replace(cfg, shards=p.local))
     merged = clusters.merge_local(routing.route_fields(local, p.merge, "region", "block_no"), cfg)
     ev = clusters.cluster_events(clusters.fold_blocks(clusters.drop_small(clusters.prune_local(merged, cfg), cfg.min_cluster_posts), cfg))
     return ev.select("region", "block_no", "n_added", "n_posts", B.r9("growth").alias("growth"))
