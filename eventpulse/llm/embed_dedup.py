@@ -210,7 +210,7 @@ def _found(classes: DataFrame, grids: dict[int, Grid], threshold: float, dtype:
     going = placed.select("d", "rep", "n", "own", "vector", F.explode("cells").alias("cell"))
     kept = placed.groupBy("d", F.col("own").alias("cell")).agg(F.ceil(F.count("*") / STORED).cast("int").alias("sb"))
     seen = placed.select("d", F.explode("cells").alias("cell")).groupBy("d", "cell").agg(F.ceil(F.count("*") / VISITING).cast("int").alias("vb"))
-    plan = kept.join(seen, ["d", "cell"])
+    plan = F.broadcast(kept.join(seen, ["d", "cell"]))  # a row a cell: 256 x 256 for each length that has codebooks, else one
     all_of = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
     one_of = lambda n: F.pmod(F.xxhash64("rep"), F.col(n)).cast("int")
     held = placed.withColumn("cell", F.col("own")).join(plan, ["d", "cell"]).withColumn("i", one_of("sb")).withColumn("j", all_of("vb"))

@@ -76,17 +76,21 @@ def toxic_words(docs: list[list[str]], y: np.ndarray, least: float = 20.0, witne
             common.update(words.union(*map(stems, words)))
     possible = {f for f, c in common.items() if c >= witnesses}
     del common
-    places: tuple[dict, dict] = ({}, {})
+    place = {f: i for i, f in enumerate(sorted(possible))}
+    known: dict[int, int] = {}
+    met: tuple[list, list] = ([], [])  # by label: feature and witness, as one number
     for words, label in zip(own, y, strict=True):
         long = [zlib.crc32(w.encode()) for w in words if len(w) >= 8]
         witness = min(long) if long else zlib.crc32(" ".join(sorted(words)).encode())
-        for f in possible.intersection(words.union(*map(stems, words))):
-            places[int(label)].setdefault(f, set()).add(witness)
+        nth = known.setdefault(witness, len(known))
+        features = [place[f] for f in possible.intersection(words.union(*map(stems, words)))]
+        met[int(label)].append(np.array(features, dtype=np.int64) * len(y) + nth)
+    seen = [np.bincount(np.unique(np.concatenate([np.zeros(0, np.int64), *m])) // max(len(y), 1), minlength=len(place)) for m in met]
     n0 = int(len(y) - n1)
     out = {}
     part = lambda k, n, share: k * math.log(k / n / share) if k else 0.0
-    for f, seen in places[1].items():
-        a, b = min(len(seen), n1), min(len(places[0].get(f, ())), n0)
+    for f, b, a in zip(place, *(s.tolist() for s in seen), strict=True):
+        a, b = min(a, n1), min(b, n0)
         if a >= witnesses and math.log((a + 0.5) / (n1 + 1)) - math.log((b + 0.5) / (n0 + 1)) > 2:
             share = (a + b) / (n1 + n0)
             ratio = 2 * (part(a, n1, share) + part(b, n0, share) + part(n1 - a, n1, 1 - share) + part(n0 - b, n0, 1 - share))
