@@ -16,9 +16,11 @@ def co_burst_groups(events: DataFrame) -> DataFrame:
 
 def term_pairs(tokens: DataFrame, min_n: int) -> DataFrame:
     """(region, block_no, w1, w2, n): words that at least ``min_n`` posts of a block have in common, w1 < w2."""
-    words = F.array_sort(F.array_distinct("tokens"))
-    later = lambda w, i: F.transform(F.slice(words, i + 2, F.size(words)), lambda v: F.struct(w.alias("w1"), v.alias("w2")))
-    rows = tokens.select("region", "block_no", F.explode(F.flatten(F.transform(words, later))).alias("p"))
+    words = tokens.select("region", "block_no", "post_id", F.explode(F.array_distinct("tokens")).alias("word"))
+    often = words.groupBy("region", "block_no", "word").agg(F.count("*").alias("n")).where(F.col("n") >= min_n).drop("n")  # others are in no such pair
+    own = words.join(often, ["region", "block_no", "word"]).groupBy("region", "block_no", "post_id").agg(F.array_sort(F.collect_list("word")).alias("words"))
+    later = lambda w, i: F.transform(F.slice("words", i + 2, F.size("words")), lambda v: F.struct(w.alias("w1"), v.alias("w2")))
+    rows = own.select("region", "block_no", F.explode(F.flatten(F.transform("words", later))).alias("p"))
     return rows.groupBy("region", "block_no", "p.w1", "p.w2").agg(F.count("*").alias("n")).where(F.col("n") >= min_n)
 
 

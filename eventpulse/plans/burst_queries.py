@@ -12,7 +12,7 @@ from eventpulse.config import BurstConfig, PrepConfig
 from eventpulse.functions import clean, stem
 from eventpulse.operators import blocks, bursts, routing
 from eventpulse.plans import sql
-from eventpulse.plans.scratch import shared_dir
+from eventpulse.plans.scratch import new_dir
 from eventpulse.sources import posts as P
 from eventpulse.sources.tables import table
 
@@ -145,7 +145,7 @@ def _(spark, d):
 
 @query("M_P7_stem_porter")
 def _(spark, d):
-    return stem.stem_dictionary(docs(spark, d).where("lang = 'en'").select(F.explode(clean.tokenize(F.col("text"))).alias("word")))
+    return stem.stem_dictionary(docs(spark, d).select(F.explode(clean.tokenize(F.col("text"))).alias("word")))
 
 
 @query("M_P7_stem_none", f"select count(distinct word) as words from (select unnest({sql.tokens('text')}) as word from documents)")
@@ -194,7 +194,7 @@ def _(spark, d):
 def _(spark, d):
     from eventpulse.sinks import materialize_posts
 
-    stored = materialize_posts(P.posts_from_documents(docs(spark, d), region="lang"), f"{shared_dir(spark)}/eventpulse/posts")
+    stored = materialize_posts(P.posts_from_documents(docs(spark, d), region="lang"), new_dir(spark, "posts"))
     return stored.groupBy("region", F.col("day").cast("long").alias("day")).agg(F.count("*").alias("posts"))
 
 
@@ -342,7 +342,7 @@ def _(spark, d):
 def _(spark, d):
     from eventpulse.sinks import write_events
 
-    stored = write_events(bursts.detect_bursts(event_tokens(spark, d, located=True), W4), f"{shared_dir(spark)}/eventpulse/events")
+    stored = write_events(bursts.detect_bursts(event_tokens(spark, d, located=True), W4), new_dir(spark, "events"))
     return stored.groupBy("region").agg(F.count("*").alias("events"))
 
 
@@ -430,7 +430,12 @@ def _multiset(name: str, route: Callable[[DataFrame], DataFrame]) -> None:
 
 _multiset("M_R1_route_shuffle", lambda df: routing.route_shuffle(df, 4))
 _multiset("M_R3_route_fields", lambda df: routing.route_fields(df, 4, "event_type"))
-_multiset("M_R4_route_global", lambda df: routing.route_global(df.groupBy("event_type", "event_id").count().drop("count")))
+
+@query("M_R4_route_global", f"select event_type, {_SUMS} from events group by 1")
+def _(spark, d):
+    """A small result in one task: the sums of each type, not the rows behind them."""
+    sums = table(spark, d, "events").groupBy("event_type").agg(F.count("*").alias("n"), F.sum("event_id").alias("ids"))
+    return routing.route_global(sums)
 
 
 @query("M_R2_route_all", f"select task::bigint as task, {_SUMS} from events, (select unnest(range(4)) as task) group by 1")

@@ -11,6 +11,7 @@ from eventpulse.config import ClusterConfig
 from eventpulse.functions import vectors
 from eventpulse.operators import blocks, bursts, clusters, measures, pairs, related
 from eventpulse.plans import sql
+from eventpulse.plans.scratch import materialize
 from eventpulse.plans.burst_queries import CONV, DOC, EVT, EVT_PLACE, PLANT, PLANTED, RAW, W1, W4, doc_tokens, event_tokens, plant_tokens, r9
 from eventpulse.sources import posts as P
 from eventpulse.sources.tables import table
@@ -77,10 +78,7 @@ def _(spark, d):
 def _pairs(name: str, theta: float, prune: bool) -> None:
     @query(name, f"{DOC}, {VEC}, {PAIR} select region, block_no, a, b, {sql.r9('cosine')} as cosine from pr where cosine >= {theta} - 1e-9")
     def _(spark, d):
-        t = doc_tokens(spark, d)
-        words = t.select("region", "block_no", "post_id", F.size("tokens").alias("n"), F.explode("tokens").alias("word"))
-        v = words.groupBy("region", "block_no", "post_id", "word").agg((F.count("*") / F.first("n").cast("double")).alias("weight"))
-        return pairs.similar_pairs(v, theta, prune).select("region", "block_no", "a", "b", r9("cosine").alias("cosine"))
+        return pairs.similar_pairs(doc_vectors(spark, d), theta, prune).select("region", "block_no", "a", "b", r9("cosine").alias("cosine"))
 
 
 _pairs("M_C4_similar_pairs", 0.5, True)
@@ -94,15 +92,16 @@ def _(spark, d):
     return blocked_dense_pairs(e, 0.4).select("a", "b", r9("cosine").alias("cosine"))
 
 
-def blocked_dense_pairs(e: DataFrame, theta: float, n: int = 8) -> DataFrame:
-    """All pairs of vectors with a cosine of ``theta`` or more, by pairs of n hash blocks: matrix products in
-    Arrow batches, without a cross join. Work is quadratic: for small sets, and for measuring recall."""
+def blocked_dense_pairs(e: DataFrame, theta: float, per_block: int = 1024) -> DataFrame:
+    """All pairs of vectors with a cosine of ``theta`` or more, by pairs of hash blocks of about ``per_block`` vectors: matrix
+    products in Arrow batches, without a cross join. Work is quadratic: for small sets, and for measuring recall."""
     import numpy as np
     import pandas as pd
 
     from eventpulse.plans.scratch import ship
 
     ship(e.sparkSession)
+    n = max(1, -(-e.count() // per_block))
     own = F.pmod(F.xxhash64("vec_id"), F.lit(n)).cast("int")
     dealt = e.withColumn("_o", own).withColumn("_p", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
     dealt = dealt.select("vec_id", "v", "_o", F.least("_o", "_p").alias("i"), F.greatest("_o", "_p").alias("j"))
@@ -122,14 +121,41 @@ def blocked_dense_pairs(e: DataFrame, theta: float, n: int = 8) -> DataFrame:
     return dealt.groupBy("i", "j").applyInPandas(run, "a long, b long, cosine double")
 
 
+def _recall(found: DataFrame, exact: DataFrame, keys: list[str], least: float) -> DataFrame:
+    """(enough, wrong): whether ``found`` holds a share ``least`` of the exact pairs, and how many it holds beside them."""
+    both = exact.select(*keys, F.lit(1).alias("_x")).join(found.select(*keys, F.lit(1).alias("_f")), keys, "full")
+    return both.agg((F.count("_f") >= least * F.count("_x")).alias("enough"), F.count_if(F.col("_x").isNull()).alias("wrong"))
+
+
 @query("M_C23_dense_pairs_lsh")
 def _(spark, d):
     return pairs.dense_pairs(table(spark, d, "embeddings"), 0.4)
 
 
+@query("M_C23_dense_recall", "select true as enough, 0::bigint as wrong")
+def _(spark, d):
+    """Random projections against all pairs."""
+    e = table(spark, d, "embeddings")
+    exact = blocked_dense_pairs(e.select("vec_id", F.col("embedding").cast("array<double>").alias("v")), 0.4)
+    return _recall(pairs.dense_pairs(e, 0.4), exact, ["a", "b"], 0.9)
+
+
+def doc_vectors(spark, d) -> DataFrame:
+    """(region, block_no, post_id, word, weight) of the sentences of documents."""
+    words = doc_tokens(spark, d).select("region", "block_no", "post_id", F.size("tokens").alias("n"), F.explode("tokens").alias("word"))
+    return words.groupBy("region", "block_no", "post_id", "word").agg((F.count("*") / F.first("n").cast("double")).alias("weight"))
+
+
 @query("M_C23_similar_pairs_lsh")
 def _(spark, d):
-    return pairs.similar_pairs_lsh(doc_tokens(spark, d), 0.6)
+    return pairs.similar_pairs_lsh(doc_vectors(spark, d), 0.6).withColumn("cosine", r9("cosine"))
+
+
+@query("M_C23_similar_recall", "select true as enough, 0::bigint as wrong")
+def _(spark, d):
+    """Hashed pairs inside a block against the exact ones."""
+    v = materialize(doc_vectors(spark, d), "doc-vectors")
+    return _recall(pairs.similar_pairs_lsh(v, 0.6), pairs.similar_pairs(v, 0.6), ["region", "block_no", "a", "b"], 0.9)
 
 
 @query("M_C7_merge_vectors", f"""{CONV}, {VEC},
@@ -302,10 +328,7 @@ def _(spark, d):
 
 @query("M_C22_components")
 def _(spark, d):
-    t = doc_tokens(spark, d)
-    words = t.select("region", "block_no", "post_id", F.size("tokens").alias("n"), F.explode("tokens").alias("word"))
-    v = words.groupBy("region", "block_no", "post_id", "word").agg((F.count("*") / F.first("n").cast("double")).alias("weight"))
-    return pairs.cluster_components(v, 0.5)
+    return pairs.cluster_components(doc_vectors(spark, d), 0.5)
 
 
 @query("B_5_kmeans")

@@ -10,7 +10,7 @@ from pyspark.sql.window import Window as W
 from eventpulse.plans.burst_queries import EVT, W4, event_tokens, md5, r9
 from eventpulse.plans import sql
 from eventpulse.operators import bursts
-from eventpulse.plans.scratch import materialize, shared_dir
+from eventpulse.plans.scratch import materialize, new_dir
 from eventpulse.sources.tables import table
 
 QUERIES: dict = {}
@@ -51,7 +51,7 @@ simple("S_1_parquet_scan", "lineitem", lambda l: l.where("l_shipdate >= date'199
 def _round_trip(fmt: str, **opts: str) -> None:
     @query(f"S_3_round_trip_{fmt}", "select event_type, count(*) as n, sum(event_id)::bigint as ids from events group by 1")
     def _(spark, d):
-        path = f"{shared_dir(spark)}/eventpulse/round-trip-{fmt}"
+        path = new_dir(spark, f"round-trip-{fmt}")
         e = table(spark, d, "events").select("event_id", "event_type", "value", "props")
         e.write.mode("overwrite").format(fmt).options(**opts).save(path)
         return spark.read.format(fmt).schema(e.schema).options(**opts).load(path).groupBy("event_type").agg(n(), S("event_id").alias("ids"))
@@ -63,7 +63,7 @@ for _fmt in ("json", "csv", "orc", "parquet"):
 
 @query("S_3_round_trip_text", "select count(*) as n, count(distinct event_type) as types from events")
 def _(spark, d):
-    path = f"{shared_dir(spark)}/eventpulse/round-trip-text"
+    path = new_dir(spark, "round-trip-text")
     table(spark, d, "events").select("event_type").write.mode("overwrite").text(path)
     return spark.read.text(path).agg(n(), F.count_distinct("value").alias("types"))
 
@@ -75,7 +75,7 @@ def _(spark, d):
 
 @query("K_1_partitioned_sink", "select user_id % 10 as part, count(*) as n from events where user_id % 10 = 3 group by 1")
 def _(spark, d):
-    path = f"{shared_dir(spark)}/eventpulse/by-part"
+    path = new_dir(spark, "by-part")
     e = table(spark, d, "events").select("event_id", F.pmod("user_id", L(10)).alias("part"))
     e.write.mode("overwrite").partitionBy("part").parquet(path)
     return spark.read.parquet(path).where("part = 3").groupBy(C("part").cast("long").alias("part")).agg(n())
@@ -112,21 +112,13 @@ def _(spark, d):
 
 @query("J_10_theta_join", f"{EVT}, {sql.COUNTS} select a.block_no, count(*) as n from wc a join wc b on a.block_no = b.block_no and a.cnt > 3 * b.cnt group by 1")
 def _(spark, d):
-    a = bursts.count_words(event_tokens(spark, d)).select("block_no", C("cnt").alias("ca"))
-    return a.join(a.select("block_no", C("ca").alias("cb")), "block_no").where("ca > 3 * cb").groupBy("block_no").agg(n())
+    """Pairs of a block's words whose counts differ threefold, by its distinct counts: words of one count are joined as one row."""
+    a = bursts.count_words(event_tokens(spark, d)).groupBy("block_no", C("cnt").alias("ca")).agg(F.count("*").alias("na"))
+    b = a.select("block_no", C("ca").alias("cb"), C("na").alias("nb"))
+    return a.join(b, "block_no").where("ca > 3 * cb").groupBy("block_no").agg(S(C("na") * C("nb")).alias("n"))
 
 
-@query("J_11_range_join", "select o_orderkey, count(*) as n from (select o_orderkey, o_orderdate from orders where o_orderkey % 50 = 0) join (select l_shipdate from lineitem where l_orderkey % 20 = 0) on l_shipdate::date between o_orderdate::date and o_orderdate::date + 10 group by 1")
-def _(spark, d):
-    """Intervals of ten days after an order against shipments: an equi-join on ten-day bins, then the rest."""
-    o = table(spark, d, "orders").where("o_orderkey % 50 = 0").select("o_orderkey", F.unix_date(C("o_orderdate").cast("date")).alias("o"))
-    s = table(spark, d, "lineitem").where("l_orderkey % 20 = 0").select(F.unix_date(C("l_shipdate").cast("date")).alias("s"))
-    bin_ = lambda c: F.floor(c / 10)
-    o = o.withColumn("bin", F.explode(F.sequence(bin_(C("o")), bin_(C("o") + 10))))
-    return o.join(s.withColumn("bin", bin_(C("s"))), "bin").where("s between o and o + 10").groupBy("o_orderkey").agg(n())
-
-
-@query("J_11_range_join_whole", "select o_orderkey, sum(c)::bigint as n from orders join (select l_shipdate::date as day, count(*) as c from lineitem group by 1) on day between o_orderdate::date and o_orderdate::date + 10 group by 1")
+@query("J_11_range_join", "select o_orderkey, sum(c)::bigint as n from orders join (select l_shipdate::date as day, count(*) as c from lineitem group by 1) on day between o_orderdate::date and o_orderdate::date + 10 group by 1")
 def _(spark, d):
     """Every order against every line item, which are counted by ship date before the binned join."""
     o = table(spark, d, "orders").select("o_orderkey", F.unix_date(C("o_orderdate").cast("date")).alias("o"))
@@ -136,16 +128,7 @@ def _(spark, d):
     return o.join(s.withColumn("bin", bin_(C("s"))), "bin").where("s between o and o + 10").groupBy("o_orderkey").agg(S("c").alias("n"))
 
 
-@query("J_12_as_of", f"{EVT}, {sql.scores(W4)}, ev as (select * from sc where word like 'k%' and block_no % 7 = 0), p as (select block_no + 1 as at, word, tfidf from sc) select ev.block_no, ev.word, {sql.r9('p.tfidf')} as earlier from ev asof left join p on ev.word = p.word and ev.block_no >= p.at")
-def _(spark, d):
-    """The last earlier score of a word, however long ago: one window over both sides, no inequality join."""
-    ws = bursts.score(event_tokens(spark, d), W4).where("word like 'k%'")
-    w = W.partitionBy("word").orderBy("block_no").rowsBetween(W.unboundedPreceding, -1)
-    out = ws.withColumn("earlier", F.last("tfidf", ignorenulls=True).over(w))
-    return out.where("block_no % 7 = 0").select("block_no", "word", r9("earlier").alias("earlier"))
-
-
-@query("J_12_as_of_whole", f"{EVT}, {sql.scores(W4)}, p as (select block_no + 1 as at, word, tfidf from sc) select ev.block_no, ev.word, {sql.r9('p.tfidf')} as earlier from sc ev asof left join p on ev.word = p.word and ev.block_no >= p.at")
+@query("J_12_as_of", f"{EVT}, {sql.scores(W4)}, p as (select block_no + 1 as at, word, tfidf from sc) select ev.block_no, ev.word, {sql.r9('p.tfidf')} as earlier from sc ev asof left join p on ev.word = p.word and ev.block_no >= p.at")
 def _(spark, d):
     """The last earlier score of every score row."""
     w = W.partitionBy("word").orderBy("block_no").rowsBetween(W.unboundedPreceding, -1)
@@ -179,10 +162,24 @@ def _(spark, d):
 simple("A_1_hash_aggregate", "events", lambda e: e.groupBy("event_type").agg(n(), r9(S("value")).alias("total"), r9(F.avg("value")).alias("mean")), "select event_type, count(*) as n, round(sum(value), 9) + 0.0 as total, round(avg(value), 9) + 0.0 as mean from events group by 1")
 simple("A_2_max_struct", "orders", lambda o: o.groupBy("o_custkey").agg(F.max(F.struct("o_totalprice", "o_orderkey")).alias("m")).select("o_custkey", C("m.o_orderkey").alias("best")), "select o_custkey, o_orderkey as best from orders qualify row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey desc) = 1")
 simple("A_3_count_distinct", "events", lambda e: e.agg(F.count_distinct("user_id").alias("users"), F.count_distinct("event_type").alias("types")), "select count(distinct user_id) as users, count(distinct event_type) as types from events")
-simple("A_4_approx_distinct", "events", lambda e: e.groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("users"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("sketched")), None)
-simple("A_4_sketch_union", "events", lambda e: e.groupBy("event_type").agg(F.hll_sketch_agg("user_id").alias("s")).agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("users")), None)
+_near = lambda a, b, by: (F.abs(C(a) - C(b)) <= by * C(b))
+simple("A_4_approx_distinct", "events", lambda e: e.groupBy("event_type").agg(F.count_distinct("user_id").alias("x"), F.approx_count_distinct("user_id", 0.02).alias("a"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("b")).select("event_type", _near("a", "x", 0.1).alias("counted"), _near("b", "x", 0.1).alias("sketched")), "select distinct event_type, true as counted, true as sketched from events")
+simple("A_4_sketch_union", "events", lambda e: e.groupBy("event_type").agg(F.hll_sketch_agg("user_id").alias("s")).agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("a")).join(e.agg(F.count_distinct("user_id").alias("x")), L(True)).select(_near("a", "x", 0.1).alias("near")), "select true as near")
 simple("A_5_percentile", "events", lambda e: e.groupBy("event_type").agg(r9(F.percentile("value", 0.5)).alias("median"), r9(F.percentile("value", 0.9)).alias("p90")), "select event_type, round(quantile_cont(value, 0.5), 9) + 0.0 as median, round(quantile_cont(value, 0.9), 9) + 0.0 as p90 from events group by 1")
-simple("A_5_approx_percentile", "events", lambda e: e.groupBy("event_type").agg(F.approx_percentile("value", 0.5, 10000).alias("median")), None)
+
+
+def _median(name: str, sketch) -> None:
+    @query(name, "select distinct event_type, true as near from events")
+    def _(spark, d):
+        """Whether a sketch's median splits the values within a hundredth of the middle."""
+        e = table(spark, d, "events").select("event_type", "value")
+        m = e.groupBy("event_type").agg(sketch(C("value")).alias("m"))  # a row a type
+        below = e.join(m, "event_type").groupBy("event_type").agg(F.avg((C("value") < C("m")).cast("double")).alias("lo"), F.avg((C("value") <= C("m")).cast("double")).alias("hi"))
+        return below.select("event_type", ((C("lo") <= 0.51) & (C("hi") >= 0.49)).alias("near"))
+
+
+_median("A_5_approx_percentile", lambda v: F.approx_percentile(v, 0.5, 10000))
+_median("A_5_kll", lambda v: F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double(v), L(0.5)))
 _G = "count(*) as n from events join customer on user_id = c_custkey"
 _gr = lambda e, c: e.join(c, e.user_id == c.c_custkey)
 simple("A_6_rollup", "events customer", lambda e, c: _gr(e, c).rollup("c_mktsegment", "event_type").agg(n()), f"select c_mktsegment, event_type, {_G} group by rollup (c_mktsegment, event_type)")
@@ -197,7 +194,8 @@ simple("A_12_mode", "events", lambda e: e.groupBy("event_type", "user_id").agg(n
 simple("A_13_conditional", "events", lambda e: e.groupBy("event_type").agg(F.count_if(C("value") > 50).alias("high"), r9(S(F.when(C("value") <= 50, C("value")))).alias("low_sum")), "select event_type, count(*) filter (where value > 50) as high, round(sum(value) filter (where value <= 50), 9) + 0.0 as low_sum from events group by 1")
 simple("A_14_moments", "lineitem", lambda l: l.groupBy("l_returnflag").agg(F.round(F.stddev_pop("l_quantity"), 6).alias("sd"), F.round(F.var_samp("l_quantity"), 6).alias("v"), F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("c")), "select l_returnflag, round(stddev_pop(l_quantity), 6) as sd, round(var_samp(l_quantity), 6) as v, round(corr(l_quantity, l_extendedprice), 6) as c from lineitem group by 1")
 simple("A_15_having", "events", lambda e: e.groupBy("user_id").agg(n()).where("n >= 10"), "select user_id, count(*) as n from events group by 1 having count(*) >= 10")
-simple("A_16_count_min_sketch", "events", lambda e: e.agg(F.length(F.count_min_sketch("user_id", L(0.01), L(0.95), L(7))).cast("long").alias("bytes")), None)
+simple("A_16_count_min_sketch", "events", lambda e: e.agg((F.length(F.count_min_sketch("user_id", L(0.01), L(0.95), L(7))) > 0).alias("stored")), "select true as stored")
+simple("A_16_heavy_hitters", "events", lambda e: e.agg(F.expr("approx_top_k(event_type, 3, 1000)").alias("t")).select(F.inline("t")).select(C("item").alias("event_type"), C("count").alias("n")), "select event_type, n from (select event_type, count(*) as n from events group by 1) order by n desc, event_type limit 3")
 simple("A_17_bool_bit", "events", lambda e: e.groupBy("event_type").agg(F.bool_and(C("value") >= 0).alias("all_pos"), F.bool_or(C("value") > 99).alias("any_high"), F.bit_or("user_id").alias("bits"), F.bit_xor("event_id").alias("x")), "select event_type, bool_and(value >= 0) as all_pos, bool_or(value > 99) as any_high, bit_or(user_id) as bits, bit_xor(event_id) as x from events group by 1")
 
 # --- windows -----------------------------------------------------------------------------------
@@ -213,9 +211,9 @@ simple("N_6_range_frame", "orders", lambda o: o.withColumn("day", F.unix_date(C(
 simple("N_7_share", "events", lambda e: e.groupBy("event_type", "user_id").agg(n()).select("event_type", "user_id", r9(C("n") / S("n").over(W.partitionBy("event_type"))).alias("share")), "select event_type, user_id, round(count(*) / sum(count(*)) over (partition by event_type)::double, 9) + 0.0 as share from events group by 1, 2")
 
 
-@query("N_8_islands", f"{EVT}, b as (select distinct word, block_no from words where word like 'k%'), g as (select *, block_no - row_number() over (partition by word order by block_no) as grp from b) select word, min(block_no) as first_block, count(*) as blocks from g group by word, grp having count(*) >= 3")
+@query("N_8_islands", f"{EVT}, b as (select distinct word, block_no from words), g as (select *, block_no - row_number() over (partition by word order by block_no) as grp from b) select word, min(block_no) as first_block, count(*) as blocks from g group by word, grp having count(*) >= 3")
 def _(spark, d):
-    b = bursts.explode_words(event_tokens(spark, d)).where("word like 'k%'").select("word", "block_no").distinct()
+    b = bursts.explode_words(event_tokens(spark, d)).select("word", "block_no").distinct()
     g = b.withColumn("grp", C("block_no") - F.row_number().over(W.partitionBy("word").orderBy("block_no")))
     return g.groupBy("word", "grp").agg(F.min("block_no").alias("first_block"), F.count("*").alias("blocks")).where("blocks >= 3").drop("grp")
 
@@ -225,10 +223,9 @@ simple("T_1_total_order", "events", lambda e: e.orderBy("ts", "event_id").select
 simple("T_2_top_k", "orders", lambda o: o.orderBy(F.desc("o_totalprice"), "o_orderkey").limit(10).select("o_orderkey"), "select o_orderkey from orders order by o_totalprice desc, o_orderkey limit 10")
 simple("T_3_top_k_per_group", "orders", lambda o: o.withColumn("r", F.row_number().over(W.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))).where("r <= 2").select("o_custkey", "o_orderkey"), "select o_custkey, o_orderkey from orders qualify row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) <= 2")
 simple("T_4_limit_offset", "customer", lambda c: c.orderBy("c_custkey").offset(20).limit(10).select("c_custkey"), "select c_custkey from customer order by c_custkey limit 10 offset 20")
-simple("T_5_null_order", "documents labels", lambda t, l: t.join(l, "doc_id", "left").orderBy(C("quality").asc_nulls_last(), "doc_id").limit(50).select("doc_id", "quality"), "select doc_id, quality from documents left join labels using (doc_id) order by quality asc nulls last, doc_id limit 50")
 
 
-@query("T_5_null_order_whole", "select doc_id, quality, row_number() over (order by quality asc nulls last, doc_id) as place from documents left join labels using (doc_id)")
+@query("T_5_null_order", "select doc_id, quality, row_number() over (order by quality asc nulls last, doc_id) as place from documents left join labels using (doc_id)")
 def _(spark, d):
     """Every row with its place under the order: places within sorted partitions, then an offset for each partition."""
     t = table(spark, d, "documents").select("doc_id").join(table(spark, d, "labels").select("doc_id", "quality"), "doc_id", "left")

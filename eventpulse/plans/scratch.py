@@ -1,7 +1,7 @@
 """Tables that cut lineage: written to the folder every executor shares.
 
-The folder is the session's ``spark.checkpoint.dir``. Only where that is unset (tests,
-a single machine) a folder of this process is used instead.
+The folder is the session's ``spark.checkpoint.dir``. Only where that is unset and all of Spark runs in this process's
+machine (``local[...]``) a temporary folder is used instead; on a cluster that is refused.
 """
 
 from __future__ import annotations
@@ -16,16 +16,30 @@ _OWN: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's shared folder; a process-wide temporary one only where none is set."""
+    """The session's shared folder; a process-wide temporary one only where none is set and Spark is local."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         found = spark.sparkContext.getCheckpointDir()
         base = found.rsplit("/", 1)[0] if found else None
     if not base:
-        base = _OWN.setdefault("dir", tempfile.mkdtemp(prefix="eventpulse-"))
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise RuntimeError(f"set spark.checkpoint.dir to a folder that all machines of {master} share")
+        if "dir" not in _OWN:
+            _OWN["dir"] = tempfile.mkdtemp(prefix="eventpulse-")
+        base = _OWN["dir"]
     return base.rstrip("/")
 
 
+def new_dir(spark: SparkSession, tag: str) -> str:
+    """A fresh folder in the session's shared place; it goes when the driver ends."""
+    path = f"{shared_dir(spark)}/eventpulse/{tag}-{uuid.uuid4().hex}"
+    p, fs = hadoop_path(spark, path)
+    fs.mkdirs(p)
+    fs.deleteOnExit(p)
+    return path
+
+
 def hadoop_path(spark: SparkSession, path: str):
     """A path and its file system, on the driver's JVM."""
     p = spark._jvm.org.apache.hadoop.fs.Path(path)

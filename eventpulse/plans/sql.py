@@ -60,7 +60,7 @@ def cleaned(text: str, cfg: PrepConfig = PrepConfig()) -> str:
 
 def doc_posts(region: str = "'ALL'") -> str:
     return rf"""posts as (
-  select doc_id * 10000 + pos as post_id, {T0} + doc_id * 36000000 as ts, {region} as region, s as text, doc_id, lang
+  select doc_id * 1000000 + pos as post_id, {T0} + doc_id * 36000000 as ts, {region} as region, s as text, doc_id, lang
   from (select doc_id, lang, unnest(parts) as s, unnest(range(len(parts))) as pos
         from (select doc_id, lang, string_split_regex(text, '[.!?\n]+') as parts from documents))
   where trim(s) <> '')"""

@@ -10,14 +10,20 @@ from eventpulse.functions.clean import SENTENCE_END, drop_stopwords, tokenize
 
 #: Microseconds of 2024-01-01, whatever the session's zone.
 START_US = 1_704_067_200_000_000
-#: Room for the sentences of a document in its posts' ids.
-IDS_PER_DOC = 10_000
+#: Room in the ids of posts: sentences of a document, turns of a conversation, lines of an order.
+IDS_PER_DOC, IDS_PER_CONVERSATION, IDS_PER_ORDER = 1_000_000, 1_000, 10
 
 
 def _at(seconds: Column) -> Column:
     return F.timestamp_micros((F.lit(START_US) + seconds * 1_000_000).cast("long"))
 
 
+def two_part_id(of: Column, part: Column, room: int) -> Column:
+    """One id of two; a part that has no room fails the job, as its post would pass for another's."""
+    full = F.raise_error(F.concat(F.lit("no room for part "), part.cast("string"), F.lit(f" of {room}")))
+    return F.when((part < 0) | (part >= room), full.cast("long")).otherwise((of * room + part).cast("long"))
+
+
 def posts_from_documents(docs: DataFrame, seconds: int = 36, sentence: bool = True, region: str | None = None) -> DataFrame:
     """Sentences, or whole documents, as posts; one document every ``seconds``. Blank sentences are dropped."""
     place = F.col(region) if region else F.lit("ALL")
@@ -25,7 +31,7 @@ def posts_from_documents(docs: DataFrame, seconds: int = 36, sentence: bool = Tr
     if not sentence:
         return docs.select(F.col("doc_id").alias("post_id"), ts.alias("ts"), place.alias("region"), F.coalesce("text", F.lit("")).alias("text"))
     parts = docs.select("doc_id", ts.alias("ts"), place.alias("region"), F.posexplode(F.split("text", SENTENCE_END)).alias("_n", "text"))
-    return parts.where(F.trim("text") != "").select((F.col("doc_id") * IDS_PER_DOC + F.col("_n")).alias("post_id"), "ts", "region", "text")
+    return parts.where(F.trim("text") != "").select(two_part_id(F.col("doc_id"), F.col("_n"), IDS_PER_DOC).alias("post_id"), "ts", "region", "text")
 
 
 def with_region(df: DataFrame, customer: DataFrame, nation: DataFrame, region: DataFrame, user: str = "user_id") -> DataFrame:
@@ -54,12 +60,12 @@ def posts_from_order_lines(orders: DataFrame, lines: DataFrame, part: DataFrame)
     text = F.concat_ws(" ", "p_name", F.regexp_replace("p_brand", "#", ""), F.concat(F.lit("part"), F.col("p_partkey")))
     df = lines.select("l_orderkey", "l_linenumber", "l_partkey").join(orders.select("o_orderkey", "o_orderdate"), F.col("l_orderkey") == F.col("o_orderkey"))
     df = df.join(part.select("p_partkey", "p_name", "p_brand"), F.col("l_partkey") == F.col("p_partkey"))
-    return df.select((F.col("l_orderkey") * 10 + F.col("l_linenumber")).cast("long").alias("post_id"), F.col("o_orderdate").cast("timestamp").alias("ts"), F.lit("ALL").alias("region"), text.alias("text"))
+    return df.select(two_part_id(F.col("l_orderkey"), F.col("l_linenumber"), IDS_PER_ORDER).alias("post_id"), F.col("o_orderdate").cast("timestamp").alias("ts"), F.lit("ALL").alias("region"), text.alias("text"))
 
 
 def posts_from_conversations(c: DataFrame) -> DataFrame:
     """Turns as posts: a conversation every six minutes, a turn every twenty seconds."""
-    return c.select((F.col("conv_id") * 1000 + F.col("turn")).cast("long").alias("post_id"), _at(F.col("conv_id") * 360 + F.col("turn") * 20).alias("ts"), F.lit("ALL").alias("region"), F.coalesce("text", F.lit("")).alias("text"))
+    return c.select(two_part_id(F.col("conv_id"), F.col("turn"), IDS_PER_CONVERSATION).alias("post_id"), _at(F.col("conv_id") * 360 + F.col("turn") * 20).alias("ts"), F.lit("ALL").alias("region"), F.coalesce("text", F.lit("")).alias("text"))
 
 
 def page_title(html: Column) -> Column:

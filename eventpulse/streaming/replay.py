@@ -3,14 +3,13 @@
 from __future__ import annotations
 
 import time
-import uuid
 from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from eventpulse.plans.scratch import hadoop_path, shared_dir
+from eventpulse.plans.scratch import new_dir
 
 #: Region of the row whose time closes the last block.
 SENTINEL = "__end__"
@@ -23,15 +22,6 @@ class Pause:
     seconds: float = 0.05
 
 
-def new_dir(spark: SparkSession, tag: str) -> str:
-    """A fresh folder in the session's shared place; it goes when the driver ends."""
-    path = f"{shared_dir(spark)}/eventpulse/stream-{tag}-{uuid.uuid4().hex}"
-    p, fs = hadoop_path(spark, path)
-    fs.mkdirs(p)
-    fs.deleteOnExit(p)
-    return path
-
-
 def write_replay(df: DataFrame, path: str, files: int = 6, ts: str = "ts", sentinel: bool = True) -> int:
     """Store ``df`` as files in time order, each written after the one before, then a file with the sentinel:
     a row a day after the last one, of the sentinel's region and else null. Returns the number of files."""

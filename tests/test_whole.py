@@ -12,7 +12,7 @@ from eventpulse.plans.burst_queries import W4, event_tokens
 
 
 def test_range_join_takes_every_order_and_line_item(spark, small):
-    got = {r["o_orderkey"]: r["n"] for r in relational.QUERIES["J_11_range_join_whole"](spark, small).collect()}
+    got = {r["o_orderkey"]: r["n"] for r in relational.QUERIES["J_11_range_join"](spark, small).collect()}
     o, l = pd.read_parquet(f"{small}/orders.parquet"), pd.read_parquet(f"{small}/lineitem.parquet")
     days = lambda x: (pd.to_datetime(x) - pd.Timestamp(0)).dt.days.tolist()
     shipped = Counter(days(l["l_shipdate"]))
@@ -22,7 +22,7 @@ def test_range_join_takes_every_order_and_line_item(spark, small):
 
 
 def test_as_of_returns_every_score_row(spark, small):
-    got = {(r["word"], r["block_no"]): r["earlier"] for r in relational.QUERIES["J_12_as_of_whole"](spark, small).collect()}
+    got = {(r["word"], r["block_no"]): r["earlier"] for r in relational.QUERIES["J_12_as_of"](spark, small).collect()}
     want, last = {}, {}
     for r in bursts.score(event_tokens(spark, small), W4).orderBy("block_no").collect():
         want[r["word"], r["block_no"]] = last.get(r["word"])
@@ -32,7 +32,7 @@ def test_as_of_returns_every_score_row(spark, small):
 
 
 def test_null_order_places_every_row(spark, small):
-    got = sorted(relational.QUERIES["T_5_null_order_whole"](spark, small).collect(), key=lambda r: r["place"])
+    got = sorted(relational.QUERIES["T_5_null_order"](spark, small).collect(), key=lambda r: r["place"])
     t = pd.read_parquet(f"{small}/documents.parquet")[["doc_id"]].merge(pd.read_parquet(f"{small}/labels.parquet"), on="doc_id", how="left")
     want = [(k, None if q != q else int(q)) for k, q in zip(t["doc_id"].tolist(), t["quality"].tolist(), strict=True)]
     want.sort(key=lambda x: (x[1] is None, x[1] or 0, x[0]))
