@@ -128,9 +128,9 @@ def detect_bursts(tokens: DataFrame, cfg: BurstConfig = BurstConfig()) -> DataFr
     return detect(score(tokens, cfg), cfg)
 
 
-def detect_bursts_eager(tokens: DataFrame, cfg: BurstConfig = BurstConfig()) -> DataFrame:
-    """The variant that cannot see the end of a block: a word is scored at its ``min_count``-th
-    occurrence, with the terms seen so far; the previous score is the previous block's own.
+def eager_hits(tokens: DataFrame, min_count: int) -> DataFrame:
+    """(region, block_no, word, terms): the words of each block, and the block's terms up to and with the word's
+    ``min_count``-th occurrence, null if it has fewer.
 
     The terms seen so far come from sums over slices of time, so that no window holds a block, and of a word's
     occurrences only the first ``min_count`` are ranked: the rank's bound is applied before the shuffle.
@@ -138,13 +138,22 @@ def detect_bursts_eager(tokens: DataFrame, cfg: BurstConfig = BurstConfig()) ->
     posts = ordered(tokens.select("region", "block_no", "ts", "post_id", "tokens"), "tokens").select("region", "block_no", "seq", "tokens", F.col("terms_before").alias("_before"))
     words = posts.select("region", "block_no", "seq", "_before", F.posexplode_outer("tokens").alias("_pos", "word")).where("word is not null")
     nth = F.row_number().over(Window.partitionBy("region", "block_no", "word").orderBy("seq", "_pos"))
-    first = Window.partitionBy("region", "word").orderBy("block_no")
-    hits = words.withColumn("_nth", nth).where(F.col("_nth") <= cfg.min_count)
-    per_block = hits.groupBy("region", "block_no", "word").agg(F.max(F.when(F.col("_nth") == cfg.min_count, F.col("_before") + F.col("_pos") + 1)).alias("terms"))
-    ws = per_block.withColumn("df", F.row_number().over(first).cast("long"))
-    tfidf = F.lit(cfg.min_count) / F.col("terms").cast("double") * idf(F.col("block_no"), F.col("df"))
-    ws = ws.withColumn("tfidf", F.when(F.col("terms").isNotNull(), tfidf)).withColumn("cnt", F.lit(cfg.min_count).cast("long"))
-    ws = ws.withColumn("prev_tfidf", F.when(F.lag("block_no").over(first) == F.col("block_no") - 1, F.lag("tfidf").over(first)))
+    hits = words.withColumn("_nth", nth).where(F.col("_nth") <= min_count)
+    return hits.groupBy("region", "block_no", "word").agg(F.max(F.when(F.col("_nth") == min_count, F.col("_before") + F.col("_pos") + 1)).alias("terms"))
+
+
+def eager_score(terms: Column, block_no: Column, df: Column, min_count: int) -> Column:
+    """tf-idf of a word at its ``min_count``-th occurrence, null without one."""
+    return F.when(terms.isNotNull(), F.lit(min_count) / terms.cast("double") * idf(block_no, df))
+
+
+def detect_bursts_eager(tokens: DataFrame, cfg: BurstConfig = BurstConfig()) -> DataFrame:
+    """The variant that cannot see the end of a block: a word is scored at its ``min_count``-th
+    occurrence, with the terms seen so far; the previous score is the previous block's own."""
+    w = Window.partitionBy("region", "word").orderBy("block_no")
+    ws = eager_hits(tokens, cfg.min_count).withColumn("df", F.row_number().over(w).cast("long"))
+    ws = ws.withColumn("tfidf", eager_score(F.col("terms"), F.col("block_no"), F.col("df"), cfg.min_count)).withColumn("cnt", F.lit(cfg.min_count).cast("long"))
+    ws = ws.withColumn("prev_tfidf", F.when(F.lag("block_no").over(w) == F.col("block_no") - 1, F.lag("tfidf").over(w)))
     return detect(ws.where("tfidf is not null"), cfg)
 
 

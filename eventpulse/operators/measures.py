@@ -77,3 +77,26 @@ def costs(fold: DataFrame) -> DataFrame:
     """(metric, value): the cost rows of a fold, summed over blocks and regions; live clusters at their largest."""
     rows = fold.where("kind = 'cost'")
     return rows.groupBy("metric").agg(F.when(F.first("metric") == "live", F.max("value")).otherwise(F.sum("value")).alias("value"))
+
+
+def shuffled(df: DataFrame) -> list[tuple[int, int]]:
+    """(rows, bytes) that each exchange of a run of ``df`` writes, from the metrics of its final plan."""
+    run = df._jdf.queryExecution()
+    run.toRdd().count()
+    todo, out = [run.executedPlan()], []
+    while todo:
+        node = todo.pop()
+        name = node.nodeName()
+        if name == "AdaptiveSparkPlan":
+            todo.append(node.executedPlan())
+            continue
+        if name.endswith("QueryStage"):
+            todo.append(node.plan())
+            continue
+        if name == "Exchange":
+            m = node.metrics()
+            out.append((int(m.apply("shuffleRecordsWritten").value()), int(m.apply("shuffleBytesWritten").value())))
+        if name != "ReusedExchange":
+            kids = node.children()
+            todo += [kids.apply(i) for i in range(kids.size())]
+    return out

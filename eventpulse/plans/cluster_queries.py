@@ -296,10 +296,25 @@ def _(spark, d):
 
 @query("W_4_two_stage_events")
 def _(spark, d):
-    ev = clusters.cluster_events(clusters.cluster_two_stage(event_tokens(spark, d), replace(DEFAULT, min_cluster_posts=5)))
+    """Events in daily blocks: clusters of two posts and more."""
+    ev = clusters.cluster_events(clusters.cluster_two_stage(event_tokens(spark, d, "1 day"), replace(DEFAULT, min_cluster_posts=2)))
     return ev.withColumn("growth", r9("growth"))
 
 
+def _chain(name: str, cfg: ClusterConfig) -> None:
+    @query(name)
+    def _(spark, d):
+        """Every cluster that a block has touched; the variants differ on these posts (``tests/test_clusters.py``)."""
+        fold = clusters.cluster_two_stage(chain_tokens(spark, d), replace(cfg, min_cluster_posts=5)).where("kind = 'cluster'")
+        return fold.select("region", "block_no", "cluster_id", "n_added", "n_posts", r9("growth").alias("growth"), "is_event", clusters.top_words().alias("top_words"))
+
+
+_chain("M_C18_two_stage_CHAIN", DEFAULT)
+_chain("M_C18_two_stage_CHAIN_one_shard", replace(DEFAULT, shards=1))
+_chain("M_C18_two_stage_CHAIN_fixpoint", replace(DEFAULT, passes="fixpoint"))
+_chain("M_C18_two_stage_CHAIN_best_fit", replace(DEFAULT, match="best"))
+
+
 @query("M_C20_shard_sensitivity_CHAIN")
 def _(spark, d):
     return clusters.shard_sensitivity(chain_tokens(spark, d), [1, 2, 3, 4, 8], replace(DEFAULT, min_cluster_posts=5))
@@ -414,11 +429,12 @@ def _(spark, d):
     return measures.score_against(ev, truth, ["block_no"])
 
 
-@query("C_13_totals", "select 297::bigint as clusters, 237::bigint as words")
+@query("C_13_totals", f"{EVT_PLACE}, {sql.scores(W4)}, {sql.detected(W4)} select count(*) as total, count(*) as of_regions, count(distinct region) as regions from ev")
 def _(spark, d):
-    """Published totals as sums over the two countries."""
-    rows = spark.createDataFrame([("large", 290, 220), ("small", 7, 17)], "country string, c long, w long")
-    return rows.agg(F.sum("c").alias("clusters"), F.sum("w").alias("words"))
+    """The total of the events, and the sum of what the regions have: one pass, with and without the key."""
+    n = measures.event_count(bursts.detect_bursts(event_tokens(spark, d, located=True), W4))
+    whole = F.col("region").isNull()
+    return n.agg(F.sum(F.when(whole, F.col("events"))).alias("total"), F.sum(F.when(~whole, F.col("events"))).alias("of_regions"), F.count_if(~whole).alias("regions"))
 
 
 @query("C_7_throughput")

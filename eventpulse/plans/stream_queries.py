@@ -11,8 +11,9 @@ from pyspark.sql import functions as F
 from eventpulse.config import ClusterConfig
 from eventpulse.operators import blocks
 from eventpulse.plans import sql
-from eventpulse.plans.burst_queries import EVT, RAW, W4, bursts_sql, events_out, r9
+from eventpulse.plans.burst_queries import CONV, EVT, RAW, W4, bursts_sql, conv_tokens, events_out, r9
 from eventpulse.plans.cluster_queries import PLANT_EVENTS
+from eventpulse.plans.scratch import new_dir
 from eventpulse.sources import posts as P
 from eventpulse.sources.blocks_source import BlockSource
 from eventpulse.sources.tables import table
@@ -38,18 +39,26 @@ def query(name: str, oracle: str | None = None):
 def events(spark, d, files: int = 6, sentinel: bool = True) -> DataFrame:
     """The events table as a stream of files in time order."""
     e = table(spark, d, "events").select("event_id", "ts", "user_id", "event_type", "value")
-    path = replay.new_dir(spark, "events")
+    path = new_dir(spark, "events")
     replay.write_replay(e, path, files, sentinel=sentinel)
     return replay.read_replay(spark, path, e.schema)
 
 
 def tokened_stream(spark, posts: DataFrame, length: str) -> tuple[DataFrame, int]:
     t = blocks.tokened(posts, length, RAW, T0).select("post_id", "ts", "region", "tokens")
-    path = replay.new_dir(spark, "tokens")
+    path = new_dir(spark, "tokens")
     replay.write_replay(t, path)
     return replay.read_replay(spark, path, t.schema), T0
 
 
+def blockwise_stream(spark, tokens: DataFrame) -> DataFrame:
+    """Tokened posts as a stream with a file for each block."""
+    t = tokens.select("post_id", "ts", "region", "tokens", "block_no")
+    path = new_dir(spark, "blockwise")
+    replay.write_replay(t, path, "block_no")
+    return replay.read_replay(spark, path, t.schema).drop("block_no")
+
+
 @query("M_K19_burst_stream", bursts_sql(EVT, W4))
 def _(spark, d):
     stream, origin = tokened_stream(spark, P.posts_from_events(table(spark, d, "events")), "1 hour")
@@ -64,14 +73,16 @@ def _(spark, d):
     return ev.select("region", "block_no", "n_added", "n_posts", r9("growth").alias("growth"))
 
 
-@query("M_K17_pausing_source")
+@query("M_K17_pausing_source", f"{CONV} select p::double as pause, count(distinct block_no) + 1 as files, true as waited from tok, (select unnest([0.0, 0.05]) as p) group by 1")
 def _(spark, d):
-    """Seconds of a replay with and without pauses between its files."""
+    """A replay of the turns, a file a block and one to end it: whether it takes at least a pause for each."""
+    t = conv_tokens(spark, d)
+    files = t.select("block_no").distinct().count() + 1
     rows = []
     for seconds in (0.0, 0.05):
-        took = replay.paced(events(spark, d), lambda b, _: b.count(), replay.Pause(seconds), "paced")
-        rows.append((seconds, took))
-    return spark.createDataFrame(rows, "pause double, seconds double")
+        took = replay.paced(blockwise_stream(spark, t), lambda b, _: b.count(), replay.Pause(seconds), "paced")
+        rows.append((seconds, files, took >= seconds * files))
+    return spark.createDataFrame(rows, "pause double, files long, waited boolean")
 
 
 @query("S_2_ordered_replay", "select count(*) as n, sum(event_id)::bigint as ids from events")
@@ -126,12 +137,12 @@ def _mode(mode: str) -> None:
         counts = events(spark, d, sentinel=False).groupBy("event_type").agg(F.count("*").alias("n"))
         if mode == "complete":
             return replay.to_table(counts, "complete", "complete")
-        out = replay.new_dir(spark, "update")
+        out = new_dir(spark, "update")
 
         def put(batch: DataFrame, k: int) -> None:
             batch.withColumn("_k", F.lit(k)).write.mode("overwrite").parquet(f"{out}/batch={k}")
 
-        replay.drain(counts.writeStream.outputMode("update").foreachBatch(put).option("checkpointLocation", replay.new_dir(spark, "update-check")))
+        replay.drain(counts.writeStream.outputMode("update").foreachBatch(put).option("checkpointLocation", new_dir(spark, "update-check")))
         return spark.read.parquet(out).groupBy("event_type").agg(F.max_by("n", "_k").alias("n"))
 
 
@@ -142,7 +153,7 @@ _mode("update")
 @query("K_3_upsert", "select user_id, count(*) as n, max(event_id) as last_id from events group by 1")
 def _(spark, d):
     """A snapshot that every batch replaces by one with its rows merged in; a repeated batch changes nothing."""
-    base = replay.new_dir(spark, "upsert")
+    base = new_dir(spark, "upsert")
     spark.createDataFrame([], "user_id long, n long, last_id long").write.parquet(f"{base}/0")
 
     last = [0]
@@ -154,7 +165,7 @@ def _(spark, d):
         both.write.mode("overwrite").parquet(f"{base}/{k + 1}")
         last[0] = k + 1
 
-    replay.drain(events(spark, d, 3, sentinel=False).writeStream.foreachBatch(put).option("checkpointLocation", replay.new_dir(spark, "upsert-check")))
+    replay.drain(events(spark, d, 3, sentinel=False).writeStream.foreachBatch(put).option("checkpointLocation", new_dir(spark, "upsert-check")))
     return spark.read.schema("user_id long, n long, last_id long").parquet(f"{base}/{last[0]}")
 
 
@@ -217,7 +228,7 @@ def _(spark, d):
 @query("G_3_sessions", SESSION)
 def _(spark, d):
     c = conversation_times(spark, d)
-    path = replay.new_dir(spark, "sessions")
+    path = new_dir(spark, "sessions")
     replay.write_replay(c, path, 3)
     s = replay.read_replay(spark, path, c.schema).withWatermark("ts", "1 minute").groupBy("conv_id", F.session_window("ts", "1 minute")).agg(F.count("*").alias("n"))
     return replay.to_table(s, "sessions").where("conv_id is not null").select("conv_id", F.unix_micros("session_window.start").alias("start_us"), "n")
@@ -227,11 +238,11 @@ def _(spark, d):
 def _(spark, d):
     """A row that comes after the watermark has passed its block is dropped and counted."""
     e = table(spark, d, "events").select("event_id", "ts", "event_type")
-    path = replay.new_dir(spark, "late")
+    path = new_dir(spark, "late")
     files = replay.write_replay(e, path, 3)
     e.where("event_id = 0").coalesce(1).write.parquet(f"{path}/{files:06d}")
     s = replay.read_replay(spark, path, e.schema).withWatermark("ts", "0 seconds").groupBy(F.window("ts", "1 hour")).agg(F.count("*").alias("n"))
-    q = replay.drain(s.writeStream.format("noop").option("checkpointLocation", replay.new_dir(spark, "late-check")))
+    q = replay.drain(s.writeStream.format("noop").option("checkpointLocation", new_dir(spark, "late-check")))
     late = sum(int(o["numRowsDroppedByWatermark"]) for p in q.recentProgress for o in p["stateOperators"])
     return spark.createDataFrame([(late,)], "dropped long")
 
@@ -253,12 +264,12 @@ def _(spark, d):
         yield pd.DataFrame({"event_type": [key[0]], "n": [total]})
 
     s = events(spark, d, 3, sentinel=False).groupBy("event_type").applyInPandasWithState(run, "event_type string, n long", "n long", "update", GroupStateTimeout.NoTimeout)
-    out = replay.new_dir(spark, "state")
+    out = new_dir(spark, "state")
 
     def put(batch: DataFrame, k: int) -> None:
         batch.write.mode("overwrite").parquet(f"{out}/batch={k}")
 
-    replay.drain(s.writeStream.outputMode("update").foreachBatch(put).option("checkpointLocation", replay.new_dir(spark, "state-check")))
+    replay.drain(s.writeStream.outputMode("update").foreachBatch(put).option("checkpointLocation", new_dir(spark, "state-check")))
     return spark.read.parquet(out).groupBy("event_type").agg(F.max("n").alias("n"))
 
 
@@ -270,11 +281,36 @@ def _(spark, d):
     return out.select(F.unix_micros("window.start").alias("start_us"), "kinds", "n")
 
 
+@query("G_8_shard_to_region", f"select {_hour()} as start_us, count(distinct user_id % 4) as shards, count(*) as n from events group by 1")
+def _(spark, d):
+    """A count in each shard of an hour, then over the shards: the second state takes the first one's closed windows."""
+    s = events(spark, d).withWatermark("ts", "0 seconds").withColumn("shard", F.pmod("user_id", F.lit(4)))
+    local = s.groupBy(F.window("ts", "1 hour"), "shard").agg(F.count("*").alias("k"))
+    region = local.groupBy(F.window(F.window_time("window"), "1 hour")).agg(F.count("shard").alias("shards"), F.sum("k").alias("n"))
+    return replay.to_table(region, "shards").where("shards > 0").select(F.unix_micros("window.start").alias("start_us"), "shards", "n")
+
+
+@query("G_6_state_with_timers", f"select event_type, {_hour()} + 3600000000 as closed_us, count(*) as n, sum(value)::decimal(18, 2)::double as total from events group by 1, 2")
+def _(spark, d):
+    """Counts and sums of each type in a value state, sent on by an event-time timer at the end of the hour."""
+    from eventpulse.streaming.hours import hourly
+
+    out = replay.to_table(hourly(events(spark, d)), "hourly")
+    return out.select("event_type", "closed_us", "n", F.col("total").cast("decimal(18,2)").cast("double").alias("total"))
+
+
+@query("K_4_console_sink", "select count(*) as n from events")
+def _(spark, d):
+    """The console sink: rows that the query's progress reports as read."""
+    q = replay.drain(events(spark, d, 2, sentinel=False).groupBy("event_type").agg(F.count("*").alias("n")).writeStream.outputMode("complete").format("console").option("numRows", 1))
+    return spark.createDataFrame([(sum(p.numInputRows for p in q.recentProgress),)], "n long")
+
+
 @query("G_9_triggers", "select count(*) as n from events")
 def _(spark, d):
     """A fixed interval between batches, stopped when all is read."""
-    out = replay.new_dir(spark, "trigger")
-    q = events(spark, d, 3, sentinel=False).writeStream.format("parquet").option("path", out).option("checkpointLocation", replay.new_dir(spark, "trigger-check")).trigger(processingTime="50 milliseconds").start()
+    out = new_dir(spark, "trigger")
+    q = events(spark, d, 3, sentinel=False).writeStream.format("parquet").option("path", out).option("checkpointLocation", new_dir(spark, "trigger-check")).trigger(processingTime="50 milliseconds").start()
     try:
         q.processAllAvailable()
     finally:
@@ -286,7 +322,7 @@ def _(spark, d):
 def _(spark, d):
     """A stream that is stopped after its first files and goes on from its checkpoint: each row once."""
     e = table(spark, d, "events").select("event_id", "ts")
-    path, out, check = (replay.new_dir(spark, t) for t in ("restart", "restart-out", "restart-check"))
+    path, out, check = (new_dir(spark, t) for t in ("restart", "restart-out", "restart-check"))
     e.where("event_id % 2 = 0").coalesce(1).write.parquet(f"{path}/000000")
     run = lambda: replay.drain(replay.read_replay(spark, path, e.schema).writeStream.format("parquet").option("path", out).option("checkpointLocation", check))
     run()
@@ -298,7 +334,7 @@ def _(spark, d):
 @query("G_11_progress_metrics")
 def _(spark, d):
     """COST rows from the progress reports of a stream."""
-    q = replay.drain(events(spark, d, 3).writeStream.format("noop").option("checkpointLocation", replay.new_dir(spark, "progress")))
+    q = replay.drain(events(spark, d, 3).writeStream.format("noop").option("checkpointLocation", new_dir(spark, "progress")))
     rows = [(str(p["runId"]), "stream", int(p["batchId"]), k, float(v)) for p in q.recentProgress for k, v in {"rows": p["numInputRows"], **p["durationMs"]}.items()]
     return spark.createDataFrame(rows, "run_id string, variant string, block_no long, metric string, value double")
 

@@ -9,7 +9,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from eventpulse.plans.scratch import new_dir
+from eventpulse.plans.scratch import hadoop_path, new_dir
 
 #: Region of the row whose time closes the last block.
 SENTINEL = "__end__"
@@ -22,22 +22,35 @@ class Pause:
     seconds: float = 0.05
 
 
-def write_replay(df: DataFrame, path: str, files: int = 6, ts: str = "ts", sentinel: bool = True) -> int:
-    """Store ``df`` as files in time order, each written after the one before, then a file with the sentinel:
-    a row a day after the last one, of the sentinel's region and else null. Returns the number of files."""
+def write_replay(df: DataFrame, path: str, files: int | str = 6, ts: str = "ts", sentinel: bool = True) -> int:
+    """Store ``df`` as files in time order, ended by a file with the sentinel: a row a day after the last one, of the
+    sentinel's region and else null. ``files``: so many stretches of time, or a column, a file for each value in order
+    (its block). Returns the number of files.
+
+    All files are written by one job, a task a file, and then moved into place with times that rise in order.
+    """
+    spark = df.sparkSession
     lo, hi = df.agg(F.min(F.unix_micros(ts)), F.max(F.unix_micros(ts))).first()
     if lo is None:
         df.limit(0).write.parquet(f"{path}/{0:06d}")
         return 1
-    step = (hi - lo) // files + 1
-    for k in range(files):
-        part = df.where(F.unix_micros(ts).between(lo + k * step, lo + (k + 1) * step - 1))
-        part.coalesce(1).write.parquet(f"{path}/{k:06d}")
+    part = F.floor((F.unix_micros(ts) - lo) / ((hi - lo) // files + 1)) if isinstance(files, int) else F.col(files)
+    staged = new_dir(spark, "staged")
+    df.withColumn("_file", part.cast("long")).repartition("_file").write.mode("overwrite").partitionBy("_file").parquet(staged)
+    place, fs = hadoop_path(spark, staged)
+    folders = {int(f.getPath().getName().split("=")[1]): f.getPath() for f in fs.listStatus(place) if f.isDirectory()}
+    now, path_of = int(time.time()) * 1000 - 1000 * (len(folders) + 1), lambda p: hadoop_path(spark, p)[0]
+    fs.mkdirs(path_of(path))
+    for k, (_, folder) in enumerate(sorted(folders.items())):
+        home = path_of(f"{path}/{k:06d}")
+        fs.rename(folder, home)
+        for f in fs.listStatus(home):
+            fs.setTimes(f.getPath(), now + 1000 * k, -1)
     if sentinel:
         end = {c: F.lit(None).cast(t) for c, t in df.dtypes} | {ts: F.timestamp_micros(F.lit(hi + 86_400_000_000))}
         end |= {"region": F.lit(SENTINEL)} if "region" in df.columns else {}
-        df.sparkSession.range(1).select(*[end[c].alias(c) for c in df.columns]).write.parquet(f"{path}/{files:06d}")
-    return files + sentinel
+        spark.range(1).select(*[end[c].cast(t).alias(c) for c, t in df.dtypes]).write.parquet(f"{path}/{len(folders):06d}")
+    return len(folders) + sentinel
 
 
 def read_replay(spark: SparkSession, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
