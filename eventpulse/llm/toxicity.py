@@ -18,8 +18,7 @@ import math
 import re
 import sys
 import zlib
-from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -32,8 +31,6 @@ from eventpulse.llm.crc import held_out, sample
 WINDOW = 64
 #: Labelled documents of each class that are learnt from, and their characters.
 MOST_DOCS, MOST_CHARS = 2000, 16_000_000
-#: Documents of the sample that a word must occur in to have a weight of its own; all others share one.
-LEAST_DOCS = 2
 #: Distinct witnesses of a toxic word.
 WITNESSES = 5
 _WORD = re.compile(r"[^\W\d_]+")
@@ -69,23 +66,32 @@ def toxic_words(docs: list[list[str]], y: np.ndarray, least: float = 20.0, witne
     e squared and a log-likelihood ratio over ``least``.
     """
     n1 = int(y.sum())
-    own = [set(words) for words in docs]
-    common: Counter = Counter()
-    for words, label in zip(own, y, strict=True):
+    features = lambda words: words.union(*map(stems, words))
+    slot = lambda f: zlib.crc32(f.encode()) & 0x3FFFFF
+    table = np.zeros(1 << 22, dtype=np.int32)  # toxic documents by a feature's slot: rules out those too rare to have their witnesses
+    for words, label in zip(docs, y, strict=True):
         if label:
-            common.update(words.union(*map(stems, words)))
-    possible = {f for f, c in common.items() if c >= witnesses}
-    del common
-    place = {f: i for i, f in enumerate(sorted(possible))}
+            table[np.unique(np.fromiter(map(slot, features(set(words))), dtype=np.int64))] += 1
+    place: dict[str, int] = {}
     known: dict[int, int] = {}
     met: tuple[list, list] = ([], [])  # by label: feature and witness, as one number
-    for words, label in zip(own, y, strict=True):
+    for doc, label in sorted(zip(docs, y, strict=True), key=lambda d: -d[1]):  # toxic ones name the features
+        words = set(doc)
         long = [zlib.crc32(w.encode()) for w in words if len(w) >= 8]
         witness = min(long) if long else zlib.crc32(" ".join(sorted(words)).encode())
         nth = known.setdefault(witness, len(known))
-        features = [place[f] for f in possible.intersection(words.union(*map(stems, words)))]
-        met[int(label)].append(np.array(features, dtype=np.int64) * len(y) + nth)
-    seen = [np.bincount(np.unique(np.concatenate([np.zeros(0, np.int64), *m])) // max(len(y), 1), minlength=len(place)) for m in met]
+        if label:
+            own = [place.setdefault(f, len(place)) for f in features(words) if table[slot(f)] >= witnesses]
+        else:
+            own = [place[f] for f in features(words) if f in place]
+        met[int(label)].append(np.array(own, dtype=np.int64) * len(y) + nth)
+    del table
+    seen = []
+    for m in met:
+        pairs = np.sort(np.concatenate([np.zeros(0, np.int64), *m]))
+        m.clear()
+        new = np.concatenate([[True], pairs[1:] != pairs[:-1]])[: len(pairs)]
+        seen.append(np.bincount(pairs[new] // max(len(y), 1), minlength=len(place)))
     n0 = int(len(y) - n1)
     out = {}
     part = lambda k, n, share: k * math.log(k / n / share) if k else 0.0
@@ -218,11 +224,12 @@ def marginals(ids: np.ndarray, first: np.ndarray, weights: np.ndarray, trans: np
 
 def fit_chain(ids: np.ndarray, first: np.ndarray, y: np.ndarray, words: int, steps: int = 40, ridge: float = 1e-4) -> tuple[np.ndarray, np.ndarray]:
     """Word weights and transitions that make the token labels likely (all chains in each step, adaptive steps)."""
-    chains, yy = Chains(ids, first), (y > 0).astype(np.int64)
+    chains, yy = Chains(ids, first), (y > 0).astype(np.int8)
     inside = np.ones(len(ids), dtype=bool)
     inside[first[:-1][np.diff(first) > 0]] = False
-    then, now = yy[np.flatnonzero(inside) - 1], yy[inside]
-    seen = np.bincount(2 * then + now, minlength=4).reshape(2, 2)
+    both = (2 * yy[:-1] + yy[1:])[inside[1:]]
+    seen = np.array([[np.count_nonzero(both == 2 * then + now) for now in (0, 1)] for then in (0, 1)])
+    del both, yy, inside
     n = np.maximum(np.bincount(ids, minlength=words), 1).astype(float)
     hits = np.bincount(ids, weights=y, minlength=words)
     weights = np.log((hits + 0.01) / (n - hits + 1.0))
@@ -260,19 +267,26 @@ def _summaries(prob: np.ndarray, first: np.ndarray) -> np.ndarray:
 
 
 class Tagger:
-    """A fitted chain and document model."""
+    """A fitted chain and document model. A word that two documents of the sample hold has a weight of its own; all others
+    share one."""
 
-    def __init__(self, texts: list[str], y: list[int]):
+    def __init__(self, texts: Iterable[str], y: list[int]):
         docs = [list(map(sys.intern, tokens(t))) for t in texts]
         label = np.array(y, dtype=int)
         lexicon = toxic_words(docs, label) if 0 < label.sum() < len(label) else {}
-        seen = Counter(w for words in docs for w in set(words))
-        self.known = Features(lexicon, sorted(w for w, c in seen.items() if c >= LEAST_DOCS and w not in lexicon))
+        once: set[str] = set()
+        often: set[str] = set()
+        for words in docs:
+            new = set(words) - often
+            often |= new & once
+            once ^= new  # in for the first document, out for the second
+        self.known = Features(lexicon, sorted(w for w in often if w not in lexicon))
+        del once, often
         ids, first = self.ids(docs)
         del docs
         toxic = np.zeros(len(self.known.place) + 1)
         toxic[[self.known.place[f] for f in lexicon]] = 1
-        token_y = toxic[ids] * np.repeat(label, np.diff(first)) if len(ids) else np.zeros(0)
+        token_y = toxic[ids].astype(np.int8) * np.repeat(label.astype(np.int8), np.diff(first)) if len(ids) else np.zeros(0)
         if len(ids):
             self.weights, self.trans = fit_chain(ids, first, token_y, len(toxic))
         else:
@@ -323,7 +337,7 @@ def fit(docs: DataFrame, labels: DataFrame, text: str = "text", target: str = "t
     found = found.withColumn("_sum", F.sum(F.length("text")).over(order)).where((F.col("_sum") <= chars) | (F.col("_sum") == F.length("text"))).drop("_sum")
     rows = found.toArrow()
     rows = rows.take(np.argsort(rows.column("doc_id").to_numpy(), kind="stable"))
-    return Tagger(rows.column("text").to_pylist(), rows.column("y").to_pylist())
+    return Tagger((t.as_py() for t in rows.column("text")), rows.column("y").to_pylist())
 
 
 #: Characters of text whose chains are in memory at once.
