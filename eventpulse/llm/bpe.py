@@ -185,8 +185,8 @@ def digests(df: DataFrame, path: str, text: str = "text") -> DataFrame:
     """Token count and digests of the ids and of the decoded text, for each row of ``df``.
 
     Special strings inside a text become their own ids, as the library has it. Null texts count as
-    empty, an empty text has no token; repeated rows give repeated results. ``path`` names the
-    vocabulary file on every executor.
+    empty, an empty text has no token; repeated rows give repeated results, an empty table gives an empty
+    table. ``path`` names the vocabulary file on every executor.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -204,7 +204,7 @@ def digests(df: DataFrame, path: str, text: str = "text") -> DataFrame:
 
 
 def encode(df: DataFrame, path: str, text: str = "text") -> DataFrame:
-    """(doc_id, ids array<int>) of each text."""
+    """(doc_id, ids array<int>) of each text; a null text has none, an empty table gives an empty table."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = load(path)

@@ -493,13 +493,53 @@ def test_quality_held_out_and_compiled_rules(spark, small):
     docs, lab = spark.read.parquet(f"{small}/documents.parquet"), spark.read.parquet(f"{small}/labels.parquet")
     model = quality.fit(docs, lab)
     got = quality.classify(docs, lab, model=model).join(lab, "doc_id").toPandas()
-    assert (got["predicted"] == got["quality"]).mean() > 0.9
+    assert (got["predicted"] == got["quality"]).mean() > 0.9  # a whole table, for the columns; the held-out fold is below
     df, names = quality.statistics(docs)
     table = df.select("doc_id", *names, model.column().alias("s")).toPandas()
     want = 1 / (1 + np.exp(-(quality.holds(model.rules, table[names].to_numpy()) @ model.weights + model.intercept)))
     assert np.allclose(table["s"], want, atol=1e-6)
 
 
+def test_quality_held_out(spark):
+    share, n = held_out_share(quality.classify, "quality", spark, LABELLED)
+    assert share > 0.95 and n > 50
+
+
+def test_lasso_meets_its_optimality_conditions():
+    rng = np.random.default_rng(2)
+    z = rng.integers(0, 2, (400, 30)).astype(float)
+    y = (rng.random(400) < 1 / (1 + np.exp(-(2 * z[:, 0] - 3 * z[:, 1] + 0.5)))).astype(float)
+    for penalty in (0.02, 0.003):
+        b, w = quality.lasso(z, y, penalty, 20_000)
+        r = 1 / (1 + np.exp(-(z @ w + b))) - y
+        slope = z.T @ r / len(y)
+        on = w != 0
+        assert abs(r.mean()) < 1e-5 and 0 < on.sum() < 30
+        assert np.allclose(slope[on], -penalty * np.sign(w[on]), atol=1e-5) and (np.abs(slope[~on]) <= penalty + 1e-5).all()
+
+
+def test_a_tree_takes_the_best_cut():
+    rng = np.random.default_rng(3)
+    x = rng.random((300, 3))
+    y = ((x[:, 1] > 0.6) ^ (rng.random(300) < 0.1)).astype(float)
+    g, h = y - 0.5, np.full(300, 0.25)
+    cuts = [np.unique(np.quantile(x[:, f], np.linspace(0, 1, 34)[1:-1])) for f in range(3)]
+    rules, out = set(), np.zeros(300)
+    quality._tree(x, g, h, cuts, 1, np.arange(300), (), rules, out)
+
+    def gain(f, cut):
+        up = x[:, f] > cut
+        if min(up.sum(), (~up).sum()) < quality.LEAF:
+            return -1
+        return sum(g[s].sum() ** 2 / (h[s].sum() + 1) for s in (up, ~up))
+
+    best = max(((gain(f, c), f, c) for f in range(3) for c in cuts[f]))
+    assert rules == {((best[1], False, best[2]),), ((best[1], True, best[2]),)}
+    for up in (False, True):
+        side = (x[:, best[1]] > best[2]) == up
+        assert np.allclose(out[side], g[side].sum() / (h[side].sum() + 1))
+
+
 # --- 7 URLs ------------------------------------------------------------------------------------
 
 RULES = [("allow", "org/"), ("block", "example.org/es/"), ("block", "example.org/en/1"), ("allow", "com/fr/"), ("block", "com/de/"), ("allow", "a.b.example.org/es/x")]
