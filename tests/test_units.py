@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import re
 
 import pytest
 from hypothesis import given, settings
@@ -132,29 +133,83 @@ def test_bursts_do_not_depend_on_partitions(spark, small):
     assert runs[0] == runs[1] == runs[2]
 
 
-def test_one_shard_equals_plain_python(spark, small):
-    """The clustering job against a loop over the same posts in the same order."""
-    from eventpulse.plans.cluster_queries import chain_tokens
+def test_two_wide_exchanges_for_the_burst_method(spark, small):
+    """Words are shuffled once to be counted (counts and totals read that exchange, which the plan names for each) and once to bring
+    a word's blocks together; the rest goes by block."""
+    from eventpulse.plans.burst_queries import W1, doc_tokens
 
-    cfg = ClusterConfig(shards=1, min_cluster_posts=5)
-    t = chain_tokens(spark, small)
-    posts = vectors.vectorize(blocks.with_seq(t)).orderBy("block_no", "seq").collect()
-    live, events = [], 0
-    for b in sorted({r["block_no"] for r in posts}):
-        local = clusters.assign_posts([(r["post_id"], r["vec"]) for r in posts if r["block_no"] == b], cfg.theta, "first", clusters.Book())
-        merged = clusters.merge_similar(local, cfg.merge_theta, "single", clusters.Book())
-        for c in merged:
-            c.vec = {w: x for w, x in c.vec.items() if x >= cfg.prune_weight} if c.n > cfg.prune_posts else c.vec
-        events += sum(e for _, e in clusters.fold_block(live, [c for c in merged if c.n >= 5], b, cfg, clusters.Book()))
-    assert clusters.cluster_events(clusters.cluster_two_stage(t, cfg)).count() == events
+    plan = bursts.detect_bursts(doc_tokens(spark, small, region="lang"), W1)._jdf.queryExecution().executedPlan().toString()
+    keys = [re.findall(r"([a-z_]+)#", e) for e in re.findall(r"Exchange hashpartitioning\(([^)]*)\)", plan)]
+    keys = [["region" if c == "lang" else c for c in k] for k in keys]
+    assert keys.count(["region", "block_no", "word"]) == 2 and keys.count(["region", "word"]) == 1
+    assert all(k == ["region", "block_no"] for k in keys if "word" not in k)
+    assert "CartesianProduct" not in plan and "Python" not in plan
 
 
-def test_two_exchanges_for_the_burst_method(spark, small):
-    """Counting and the sort by word shuffle words; totals are small."""
-    from eventpulse.plans.burst_queries import W1, doc_tokens
+def test_arrival_order_over_slices_equals_a_block_window(spark, small):
+    from pyspark.sql.window import Window
+
+    from eventpulse.plans.burst_queries import doc_tokens
+
+    t = doc_tokens(spark, small)
+    w = Window.partitionBy("region", "block_no").orderBy("ts", "post_id")
+    want = t.select("post_id", (F.row_number().over(w) - 1).alias("seq"), F.coalesce(F.sum(F.size("tokens")).over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("terms_before"), F.count("*").over(Window.partitionBy("region", "block_no")).alias("block_posts"))
+    got = blocks.ordered(t, "tokens", 60_000_000).select("post_id", "seq", "terms_before", "block_posts")
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_made_streams_need_no_job_for_their_first_time(spark, small):
+    from eventpulse.plans import burst_queries as B
+
+    tracker = spark.sparkContext.statusTracker()
+    spark.sparkContext.setJobGroup("building", "")
+    for make in (B.doc_tokens, B.conv_tokens, B.plant_tokens):
+        make(spark, small)
+    jobs = tracker.getJobIdsForGroup("building")
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(jobs) <= 3  # at most the read of a file's footer each
+
+
+def test_ids_that_have_no_room_fail(spark):
+    df = spark.createDataFrame([(1, 999), (1, 1000)], "a long, b long")
+    assert df.where("b < 1000").select(P.two_part_id(F.col("a"), F.col("b"), 1000)).first()[0] == 1999
+    with pytest.raises(Exception, match="no room"):
+        df.select(P.two_part_id(F.col("a"), F.col("b"), 1000)).collect()
+
+
+def test_long_lists_of_a_word_are_dealt_over_blocks(spark, monkeypatch):
+    from eventpulse.operators import pairs as own
+
+    rows = [("r", 1, i, w, 0.5) for i in range(60) for w in (("hot", f"w{i % 7}") if i % 2 else ("hot", "cold"))]
+    v = spark.createDataFrame(rows, "region string, block_no long, post_id long, word string, weight double")
+    keys = lambda df: sorted((r["a"], r["b"], round(r["cosine"], 9)) for r in df.collect())
+    want = keys(own.similar_pairs(v, 0.5))
+    assert len(want) == 60 * 59 // 2
+    monkeypatch.setattr(own, "BLOCK", 7)
+    assert keys(own.similar_pairs(v, 0.5)) == want == keys(own.similar_pairs(v, 0.5, False))
+
+
+def test_word_state_compacts_and_forgets(spark):
+    from eventpulse.plans.scratch import hadoop_path, new_dir
+    from eventpulse.streaming.bursts import STATE, WordState
+
+    state = WordState(spark, new_dir(spark, "t-state"), every=3)
+    for k in range(10):
+        assert state.before(k).count() == min(k, 4)
+        state.after(k, spark.createDataFrame([("r", f"w{k % 4}", k, k, float(k))], STATE))
+    assert {r["word"]: r["last_block"] for r in state.before(10).collect()} == {"w0": 8, "w1": 9, "w2": 6, "w3": 7}
+    p, fs = hadoop_path(spark, state.path)
+    assert {f.getPath().getName() for f in fs.listStatus(p)} == {"base=6", "base=9", *[f"change={k}" for k in range(6, 10)]}
+
+
+def test_cluster_without_shared_folder_is_refused():
+    from types import SimpleNamespace
+
+    from eventpulse.plans.scratch import shared_dir
 
-    plan = bursts.detect_bursts(doc_tokens(spark, small), W1)._jdf.queryExecution().executedPlan().toString()
-    assert plan.count("Exchange hashpartitioning(region") <= 6 and "CartesianProduct" not in plan and "BatchEvalPython" not in plan
+    fake = SimpleNamespace(conf=SimpleNamespace(get=lambda *_: None), sparkContext=SimpleNamespace(getCheckpointDir=lambda: None, master="yarn"))
+    with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
+        shared_dir(fake)
 
 
 words = st.dictionaries(st.sampled_from("abcdef"), st.floats(0.01, 1), max_size=5)
