@@ -457,9 +457,10 @@ def describe_clusters(fold: DataFrame, k: int = 10) -> DataFrame:
 
 
 def shard_sensitivity(tokens: DataFrame, shards: list[int], cfg: ClusterConfig = ClusterConfig()) -> DataFrame:
-    """(shards, events, clusters) of the two-stage method under different numbers of shards."""
+    """(shards, events, clusters) of the two-stage method under different numbers of shards; posts are cleaned once."""
     from dataclasses import replace
 
+    tokens = materialize(tokens, "clusters-tokens")
     out: DataFrame | None = None
     for s in shards:
         fold = cluster_two_stage(tokens, replace(cfg, shards=s)).where("kind = 'cluster'")

@@ -12,7 +12,7 @@ from eventpulse.config import BurstConfig, PrepConfig
 from eventpulse.functions import clean, stem
 from eventpulse.operators import blocks, bursts, routing
 from eventpulse.plans import sql
-from eventpulse.plans.scratch import new_dir
+from eventpulse.plans.scratch import materialize, new_dir
 from eventpulse.sources import posts as P
 from eventpulse.sources.tables import table
 
@@ -324,14 +324,14 @@ def _(spark, d):
 span as (select region, word, block_no as event_block, unnest(generate_series(block_no - 9, block_no)) as block_no from ev)
 select region, word, event_block, block_no, {sql.r9('coalesce(tfidf, 0.0)')} as tfidf from span left join (select region, word, block_no, tfidf from sc) using (region, word, block_no)""")
 def _(spark, d):
-    ws = bursts.score(event_tokens(spark, d), W4)
+    ws = materialize(bursts.score(event_tokens(spark, d), W4), "scores")
     return bursts.trend(ws, bursts.detect(ws, W4)).select("region", "word", "event_block", "block_no", r9("tfidf").alias("tfidf"))
 
 
 @query("M_K13_render_trend")
 def _(spark, d):
     """Charts of the five strongest events."""
-    ws = bursts.score(event_tokens(spark, d), W4)
+    ws = materialize(bursts.score(event_tokens(spark, d), W4), "scores")
     top = bursts.detect(ws, W4).orderBy(F.round("tfidf", 9).desc(), "word", "block_no").limit(5)
     rows = bursts.trend_arrays(ws, top).collect()  # five rows
     charts = [(r["word"], r["block_no"], bursts.render_trend([(p["block_no"], p["tfidf"]) for p in r["trend"]])) for r in rows]
@@ -382,7 +382,7 @@ def _(spark, d):
 @query("W_LEAK_changed_events", None)
 def _(spark, d):
     """Events that differ from the synchronised run, by the share of posts that leak."""
-    tokens = event_tokens(spark, d)
+    tokens = materialize(event_tokens(spark, d), "event-tokens")
     keys = ["region", "block_no", "word"]
     right = bursts.detect_bursts(tokens, W4).select(*keys).withColumn("_r", F.lit(1))
     out = None
@@ -458,7 +458,7 @@ def _(spark, d):
 @query("W_6_bursts_by_parallelism", f"{DOC}, {sql.scores(W1)}, {sql.detected(W1)} select s::bigint as shards, (select count(*) from ev) as events from (select unnest([1, 2, 4, 8]) as s)")
 def _(spark, d):
     """The same events whatever the number of tasks that words are dealt to."""
-    tokens = doc_tokens(spark, d)
+    tokens = materialize(doc_tokens(spark, d), "doc-tokens")  # cleaned once
     out = None
     for s in (1, 2, 4, 8):
         one = bursts.detect_bursts(routing.route_direct(tokens, s, "post_id"), W1).agg(F.lit(s).cast("long").alias("shards"), F.count("*").alias("events"))

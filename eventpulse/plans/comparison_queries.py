@@ -87,8 +87,7 @@ def _(spark, d):
 @query("W_6_clusters_by_parallelism")
 def _(spark, d):
     """Cluster events of documents under 1, 2, 4 and 8 shards: they move, as the burst words do not."""
-    tokens = materialize(B.doc_tokens(spark, d), "doc-tokens")
-    return clusters.shard_sensitivity(tokens, [1, 2, 4, 8], C.DOC_CFG)
+    return clusters.shard_sensitivity(B.doc_tokens(spark, d), [1, 2, 4, 8], C.DOC_CFG)
 
 
 @query("W_7_burst_words", f"{B.DOC_LANG}, {sql.scores(replace(B.W1, min_count=5))}, {sql.detected(replace(B.W1, min_count=5))} select region, count(distinct word) as words from ev group by 1")
