@@ -328,14 +328,15 @@ def _(spark, d):
     return bursts.trend(ws, bursts.detect(ws, W4)).select("region", "word", "event_block", "block_no", r9("tfidf").alias("tfidf"))
 
 
-@query("M_K13_render_trend")
+@query("M_K13_render_trend", f"{EVT}, {sql.scores(W4)}, {sql.detected(W4)} select word, block_no, 10::bigint as points from ev order by round(tfidf, 9) desc, word, block_no limit 5")
 def _(spark, d):
-    """Charts of the five strongest events."""
+    """Charts of the five strongest events, and the points on their lines (the drawing itself is held to a test)."""
     ws = materialize(bursts.score(event_tokens(spark, d), W4), "scores")
     top = bursts.detect(ws, W4).orderBy(F.round("tfidf", 9).desc(), "word", "block_no").limit(5)
     rows = bursts.trend_arrays(ws, top).collect()  # five rows
     charts = [(r["word"], r["block_no"], bursts.render_trend([(p["block_no"], p["tfidf"]) for p in r["trend"]])) for r in rows]
-    return spark.createDataFrame(charts, "word string, block_no long, svg string")
+    drawn = spark.createDataFrame(charts, "word string, block_no long, svg string")
+    return drawn.select("word", "block_no", F.size(F.split(F.regexp_extract("svg", 'points="([^"]*)"', 1), " ")).cast("long").alias("points"))
 
 
 @query("M_K14_write_events", f"{EVT_PLACE}, {sql.scores(W4)}, {sql.detected(W4)} select region, count(*) as events from ev group by 1")

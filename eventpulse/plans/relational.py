@@ -236,7 +236,18 @@ def _(spark, d):
     return t.withColumn("part", part).join(F.broadcast(before), "part").select("doc_id", "quality", (C("first") + row).alias("place"))
 
 
-simple("T_6_range_partition", "events", lambda e: e.repartitionByRange(4, "event_id").sortWithinPartitions("event_id").groupBy(F.spark_partition_id().alias("p")).agg(F.min("event_id").alias("lo"), F.max("event_id").alias("hi"), n()), None)
+
+
+@query("T_6_range_partition", "select 4::bigint as parts, true as apart, count(*) as n from events")
+def _(spark, d):
+    """Ranges of ids: how many, whether each ends before the next begins, and the rows in them."""
+    p = F.spark_partition_id().alias("p")
+    each = table(spark, d, "events").repartitionByRange(4, "event_id").groupBy(p).agg(F.min("event_id").alias("lo"), F.max("event_id").alias("hi"), n())
+    before = F.lag("hi").over(W.orderBy("p"))  # a row a range
+    each = each.withColumn("apart", F.coalesce(before < C("lo"), L(True)))
+    return each.agg(F.count("*").alias("parts"), F.bool_and("apart").alias("apart"), S("n").alias("n"))
+
+
 _a, _b = "select user_id from events where event_type = 'click'", "select user_id from events where event_type = 'purchase'"
 _sets = lambda f: lambda e: f(e.where("event_type = 'click'").select("user_id"), e.where("event_type = 'purchase'").select("user_id"))
 simple("E_1_union_all", "events", _sets(lambda a, b: a.unionByName(b).groupBy("user_id").agg(n())), f"select user_id, count(*) as n from ({_a} union all {_b}) group by 1")

@@ -90,7 +90,7 @@ def _(spark, d):
     return replay.to_table(events(spark, d, sentinel=False), "replay").agg(F.count("*").alias("n"), F.sum("event_id").alias("ids"))
 
 
-@query("S_4_rate_source")
+@query("S_4_rate_source", "select true as any_rows, 0::bigint as first_value")
 def _(spark, d):
     """A few rows of the rate source, through the memory sink."""
     q = spark.readStream.format("rate").option("rowsPerSecond", 50).load().writeStream.format("memory").queryName("ep_rate").start()
@@ -331,12 +331,12 @@ def _(spark, d):
     return spark.read.parquet(out).agg(F.count("*").alias("n"), F.count_distinct("event_id").alias("ids"))
 
 
-@query("G_11_progress_metrics")
+@query("G_11_progress_metrics", "select 'rows' as metric, count(*)::double + 1 as value from events union all select 'batches with durations', 4.0::double")
 def _(spark, d):
-    """COST rows from the progress reports of a stream."""
+    """COST rows from the progress reports of a stream (three files and the sentinel), summed: rows read, and batches that tell their durations."""
     q = replay.drain(events(spark, d, 3).writeStream.format("noop").option("checkpointLocation", new_dir(spark, "progress")))
-    rows = [(str(p["runId"]), "stream", int(p["batchId"]), k, float(v)) for p in q.recentProgress for k, v in {"rows": p["numInputRows"], **p["durationMs"]}.items()]
-    return spark.createDataFrame(rows, "run_id string, variant string, block_no long, metric string, value double")
+    rows = [("rows", float(p.numInputRows)) for p in q.recentProgress] + [("batches with durations", 1.0) for p in q.recentProgress if p.numInputRows and p.durationMs.get("triggerExecution", 0) > 0]
+    return spark.createDataFrame(rows, "metric string, value double").groupBy("metric").agg(F.sum("value").alias("value"))
 
 
 @query("G_12_last_block", f"select count(distinct {_hour()}) as blocks from events")
