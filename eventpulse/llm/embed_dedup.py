@@ -16,6 +16,7 @@ a count for each vector and a spanning set of its links, not the links.
 
 from __future__ import annotations
 
+import hashlib
 import math
 from collections.abc import Iterator
 
@@ -138,8 +139,8 @@ def _rows(col: pa.Array, dtype: str) -> np.ndarray:
 
 
 def _directions(rows: DataFrame, dtype: str) -> DataFrame:
-    """(vec_id, d, way, vector) of rows whose vectors are usable or null: the length, the unit vector's bytes, in which equal
-    directions are equal, and the vector's own bytes."""
+    """(vec_id, d, way, vector) of rows whose vectors are usable or null: the length, a 128-bit digest of the unit vector, in
+    which equal directions are equal, and the vector's own bytes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -150,7 +151,7 @@ def _directions(rows: DataFrame, dtype: str) -> DataFrame:
                 at = np.flatnonzero(length == d)
                 x = np.asarray(col.take(pa.array(at)).flatten()).reshape(-1, d)
                 for i, u, v in zip(at.tolist(), unit(x) + 0.0, x.astype(dtype), strict=True):
-                    way[i], own[i] = u.tobytes(), v.tobytes()
+                    way[i], own[i] = hashlib.blake2b(u.tobytes(), digest_size=16).digest(), v.tobytes()
             yield pa.RecordBatch.from_arrays([b.column("vec_id"), pa.array(length, pa.int32()), pa.array(way, pa.binary()), pa.array(own, pa.binary())], ["vec_id", "d", "way", "vector"])
 
     return map_batches(rows, run, "vec_id long, d int, way binary, vector binary")
