@@ -14,12 +14,15 @@ BLOCK = 512
 
 
 def _posts(vectors: DataFrame, keys: list[str]) -> DataFrame:
-    """(keys..., post_id, words, x, vec): each post's words, the block's rare ones first, with unit weights."""
+    """(keys..., post_id, w, norm): each post's words with weights, the block's rare ones first, and its length. Both are
+    results of the aggregate, so that no later expression repeats them."""
     freq = vectors.groupBy(*keys, "word").agg(F.count("*").alias("n"))
-    rows = vectors.join(freq, [*keys, "word"]).groupBy(*keys, "post_id").agg(F.array_sort(F.collect_list(F.struct("n", "word", "weight"))).alias("w"))
-    norm = F.sqrt(F.aggregate("w", F.lit(0.0), lambda s, e: s + e["weight"] * e["weight"]))
-    rows = rows.withColumn("_norm", norm).withColumn("words", F.transform("w", lambda e: e["word"])).withColumn("x", F.transform("w", lambda e: e["weight"] / F.col("_norm")))
-    return rows.withColumn("vec", F.map_from_arrays("words", "x")).drop("w", "_norm")
+    rows = vectors.join(freq, [*keys, "word"]).groupBy(*keys, "post_id")
+    return rows.agg(F.array_sort(F.collect_list(F.struct("n", "word", "weight"))).alias("w"), F.sqrt(F.sum(F.col("weight") * F.col("weight"))).alias("norm"))
+
+
+_WORDS = lambda: F.transform("w", lambda e: e["word"])
+_VEC = lambda: F.map_from_arrays(_WORDS(), F.transform("w", lambda e: e["weight"] / F.col("norm")))
 
 
 def _meeting(posts: DataFrame, keys: list[str], theta: float) -> DataFrame:
@@ -51,9 +54,11 @@ def similar_pairs(vectors: DataFrame, theta: float, prune: bool = True, within:
     """
     keys = list(within)
     posts = _posts(vectors.select(*keys, "post_id", "word", "weight"), keys)
-    rest = F.transform(F.sequence(F.lit(1), F.size("x")), lambda i: F.sqrt(F.aggregate(F.slice("x", i, F.size("x")), F.lit(0.0), lambda s, v: s + v * v)))
-    lead = F.slice("words", 1, F.size(F.filter(rest, lambda r: r >= theta - EPS))) if prune else F.col("words")
-    return _meeting(posts.select(*keys, "post_id", lead.alias("signs"), "vec"), keys, theta)
+    room = F.col("norm") * F.col("norm") * (1 - (theta - EPS) ** 2)  # what may stand before a word of the prefix
+    step = lambda s, e: F.struct((s["before"] + e["weight"] * e["weight"]).alias("before"), (s["n"] + F.when(s["before"] <= room, 1).otherwise(0)).alias("n"))
+    lead = F.aggregate("w", F.struct(F.lit(0.0).alias("before"), F.lit(0).alias("n")), step)["n"]
+    signs = F.slice(_WORDS(), F.lit(1), lead) if prune else _WORDS()
+    return _meeting(posts.select(*keys, "post_id", signs.alias("signs"), _VEC().alias("vec")), keys, theta)
 
 
 def similar_pairs_lsh(vectors: DataFrame, theta: float, bands: int = 24, width: int = 2, within: tuple[str, ...] = ("region", "block_no")) -> DataFrame:
@@ -62,9 +67,9 @@ def similar_pairs_lsh(vectors: DataFrame, theta: float, bands: int = 24, width:
     (1 - (c / (2 - c)) ** width) ** bands."""
     keys = list(within)
     posts = _posts(vectors.select(*keys, "post_id", "word", "weight"), keys)
-    least = lambda k: F.array_min(F.transform("words", lambda w: F.xxhash64(w, F.lit(k))))
+    least = lambda k: F.array_min(F.transform("w", lambda e: F.xxhash64(e["word"], F.lit(k))))
     signs = F.array(*[F.xxhash64(F.lit(b), *[least(b * width + r) for r in range(width)]) for b in range(bands)])
-    return _meeting(posts.select(*keys, "post_id", signs.alias("signs"), "vec"), keys, theta)
+    return _meeting(posts.select(*keys, "post_id", signs.alias("signs"), _VEC().alias("vec")), keys, theta)
 
 
 def cluster_components(vectors: DataFrame, theta: float) -> DataFrame:
