@@ -28,13 +28,18 @@ _VEC = lambda: F.map_from_arrays(_WORDS(), F.transform("w", lambda e: e["weight"
 def _meeting(posts: DataFrame, keys: list[str], theta: float) -> DataFrame:
     """Pairs of posts with a common element in ``signs``, verified: each pair comes out at its first common sign.
 
-    The lists of a sign are counted first. Signs of one post are dropped; lists over ``BLOCK`` are dealt over pairs of
+    ``sizes``, if a column, bounds the lists of the signs; else they are counted first. Signs of one post are dropped; lists over ``BLOCK`` are dealt over pairs of
     blocks, two members of one block meeting where both blocks are theirs. Vectors travel with the signs, so that
     no join fetches them again and no pair is shuffled.
     """
-    rows = posts.withColumn("sign", F.explode("signs"))
-    lists = rows.groupBy(*keys, "sign").agg(F.count("*").alias("_n")).where("_n > 1").withColumn("_blocks", F.ceil(F.col("_n") / BLOCK).cast("int")).drop("_n")
-    rows = rows.join(lists, [*keys, "sign"]).withColumn("own", F.pmod(F.xxhash64("post_id"), F.col("_blocks")).cast("int"))
+    if "sizes" in posts.columns:
+        rows = posts.withColumn("_z", F.explode(F.arrays_zip("signs", "sizes"))).withColumn("sign", F.col("_z.signs")).where("_z.sizes > 1")
+        rows = rows.withColumn("_blocks", F.ceil(F.col("_z.sizes") / BLOCK).cast("int")).drop("_z", "sizes")
+    else:
+        rows = posts.withColumn("sign", F.explode("signs"))
+        lists = rows.groupBy(*keys, "sign").agg(F.count("*").alias("_n")).where("_n > 1").withColumn("_blocks", F.ceil(F.col("_n") / BLOCK).cast("int")).drop("_n")
+        rows = rows.join(lists, [*keys, "sign"])
+    rows = rows.withColumn("own", F.pmod(F.xxhash64("post_id"), F.col("_blocks")).cast("int"))
     rows = rows.withColumn("_p", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1))).withColumn("i", F.least("own", "_p")).withColumn("j", F.greatest("own", "_p"))
     on = [*keys, "sign", "i", "j"]
     rows = rows.select(*on, "post_id", "own", "signs", "vec")
@@ -57,8 +62,9 @@ def similar_pairs(vectors: DataFrame, theta: float, prune: bool = True, within:
     room = F.col("norm") * F.col("norm") * (1 - (theta - EPS) ** 2)  # what may stand before a word of the prefix
     step = lambda s, e: F.struct((s["before"] + e["weight"] * e["weight"]).alias("before"), (s["n"] + F.when(s["before"] <= room, 1).otherwise(0)).alias("n"))
     lead = F.aggregate("w", F.struct(F.lit(0.0).alias("before"), F.lit(0).alias("n")), step)["n"]
-    signs = F.slice(_WORDS(), F.lit(1), lead) if prune else _WORDS()
-    return _meeting(posts.select(*keys, "post_id", signs.alias("signs"), _VEC().alias("vec")), keys, theta)
+    upto = lambda a: F.slice(a, F.lit(1), lead) if prune else a
+    sizes = F.transform("w", lambda e: e["n"])  # posts of the block that hold the word: those whose prefix does are no more
+    return _meeting(posts.select(*keys, "post_id", upto(_WORDS()).alias("signs"), upto(sizes).alias("sizes"), _VEC().alias("vec")), keys, theta)
 
 
 def similar_pairs_lsh(vectors: DataFrame, theta: float, bands: int = 24, width: int = 2, within: tuple[str, ...] = ("region", "block_no")) -> DataFrame:
