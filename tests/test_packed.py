@@ -11,8 +11,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from eventpulse.operators import bursts, measures, packed, routing
-from eventpulse.plans import burst_queries
-from eventpulse.plans.burst_queries import W1, doc_tokens
+from eventpulse.plans import burst_queries, comparison_queries
+from eventpulse.plans.burst_queries import W1, W10, conv_tokens, doc_tokens
 from tests.oracle import rows
 
 
@@ -64,3 +64,13 @@ def test_words_cross_only_if_they_are_common_somewhere(spark, small, monkeypatch
     for t, cfg in given:
         assert t.count() == posts
         assert max(n for n, _ in measures.shuffled(detect(t, cfg))) < counts / 2
+
+
+def test_timed_runs_count_where_posts_are_dealt_to(spark, small, monkeypatch):
+    """C_1_execution_time: no barrier run lets a row for each word of a block cross, and the events are those of the tokens."""
+    given, detect = [], bursts.detect_bursts
+    monkeypatch.setattr(bursts, "detect_bursts", lambda t, cfg: given.append((t, cfg)) or detect(t, cfg))
+    found = [r for r in comparison_queries.QUERIES["C_1_execution_time"](spark, small).collect() if r["method"] == "barrier"]
+    assert [r["parallelism"] for r in found] == [2, 4, 8] * 2 and all(packed.is_packed(t) for t, _ in given)
+    want = {"documents": detect(doc_tokens(spark, small), W1).count(), "conversations": detect(conv_tokens(spark, small), W10).count()}
+    assert all(r["events"] == want[r["stream"]] for r in found)
